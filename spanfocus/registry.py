@@ -6,14 +6,18 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from spanfocus.plans import method_queries
+
+TABLES = (method_queries.TABLE,)
+
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    return method_queries.flagship(spark, sf_dir)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return {n: q for t in TABLES for n, q in t.queries.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {n: q for t in TABLES for n, q in t.oracles.items()}
