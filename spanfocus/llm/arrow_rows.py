@@ -51,6 +51,7 @@ def map_texts(
             arrays = [block.column(block.schema.get_field_index(k)) for k in keys]
             arrays += [pa.array(columns[n], type=t) for n, t in types.items()]
             yield pa.RecordBatch.from_arrays(arrays, names=[*keys, *types])
+            pa.default_memory_pool().release_unused()
 
     ship_package(df.sparkSession)
     return df.select(*dict.fromkeys([*keys, text])).mapInArrow(run, out)

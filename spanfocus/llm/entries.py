@@ -41,7 +41,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def op1_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
-    made = media_columns.read_png(media_columns.store_png(table(spark, sf_dir, "documents")))
+    made = media_columns.store_and_read_png(table(spark, sf_dir, "documents"))
     return made.withColumn("feature", F.lower(F.hex("cosine_hash"))).drop("cosine_hash")
 
 

@@ -157,32 +157,63 @@ def cosine_hash(image: np.ndarray) -> bytes:
     return np.packbits(low > np.median(low[1:])).tobytes()
 
 
+_STORED = "n_bytes bigint, media binary"
+_FEATURES = "payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, cosine_hash binary"
+
+Batches = Iterator[pa.RecordBatch]
+
+
+def _storing(batches: Batches, key: str, width: int, level: int) -> Batches:
+    """(key, text) to (key, n_bytes, media), some megabytes at a time."""
+    for batch in batches:
+        keys, sizes, media, held, start = batch.column(0), [], [], 0, 0
+        for i, value in enumerate(batch.column(1)):
+            data = (value.as_py() or "").encode()
+            stored = encode_png(np.frombuffer(padded(data, width), np.uint8).reshape(-1, width), level=level)
+            sizes.append(len(data))
+            media.append(stored)
+            held += len(stored)
+            if held > 4_000_000 or i + 1 == batch.num_rows:
+                yield pa.RecordBatch.from_arrays(
+                    [keys.slice(start, len(sizes)), pa.array(sizes, pa.int64()), pa.array(media, pa.binary())],
+                    names=[key, "n_bytes", "media"],
+                )
+                sizes, media, held, start = [], [], 0, i + 1
+        pa.default_memory_pool().release_unused()
+
+
+def _features(stored: bytes | None) -> tuple:
+    if stored is None:
+        return (None,) * 6
+    image = decode_png(stored)
+    payload = image.tobytes()
+    return (
+        len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-WIDTH:]),
+        len(stored), hashlib.sha256(stored).hexdigest(), cosine_hash(image),
+    )
+
+
+def _reading(batches: Batches, names: list[str]) -> Batches:
+    """(carried columns, media) to (carried columns, features)."""
+    kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.binary()]
+    for batch in batches:
+        made = list(zip(*(_features(v.as_py()) for v in batch.column(batch.num_columns - 1)), strict=True)) or [()] * len(kinds)
+        arrays = batch.columns[:-1] + [pa.array(c, k) for c, k in zip(made, kinds, strict=True)]
+        yield pa.RecordBatch.from_arrays(arrays, names=names)
+
+
+def _schema(df: DataFrame, keys: list[str], ddl: str) -> StructType:
+    return StructType([*df.select(*keys).schema.fields, *StructType.fromDDL(ddl).fields])
+
+
 def store_png(df: DataFrame, key: str = "doc_id", text: str = "text", width: int = WIDTH, level: int = 6) -> DataFrame:
     """(key, n_bytes, media): every text's UTF-8 bytes, padded with zeros, as a PNG in a binary column.
 
     Null text counts as empty: one row of zeros. Repeated rows stay; other columns are not read.
     Equal texts give equal images. An empty table gives an empty result.
     """
-    schema = StructType([*df.select(key).schema.fields, *StructType.fromDDL("n_bytes bigint, media binary").fields])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keys, sizes, media, held, start = batch.column(0), [], [], 0, 0
-            for i, value in enumerate(batch.column(1)):
-                data = (value.as_py() or "").encode()
-                stored = encode_png(np.frombuffer(padded(data, width), np.uint8).reshape(-1, width), level=level)
-                sizes.append(len(data))
-                media.append(stored)
-                held += len(stored)
-                if held > 8_000_000 or i + 1 == batch.num_rows:
-                    yield pa.RecordBatch.from_arrays(
-                        [keys.slice(start, len(sizes)), pa.array(sizes, pa.int64()), pa.array(media, pa.binary())],
-                        names=[key, "n_bytes", "media"],
-                    )
-                    sizes, media, held, start = [], [], 0, i + 1
-
     ship_package(df.sparkSession)
-    return df.select(key, text).mapInArrow(run, schema)
+    return df.select(key, text).mapInArrow(lambda batches: _storing(batches, key, width, level), _schema(df, [key], _STORED))
 
 
 def read_png(df: DataFrame, key: str = "doc_id", media: str = "media", carry: tuple[str, ...] = ("n_bytes",)) -> DataFrame:
@@ -190,26 +221,15 @@ def read_png(df: DataFrame, key: str = "doc_id", media: str = "media", carry: tu
 
     A stored form that fails a check raises; a null one gives null digests.
     """
-    made = "payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, cosine_hash binary"
-    schema = StructType([*df.select(key, *carry).schema.fields, *StructType.fromDDL(made).fields])
-    kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.binary()]
+    ship_package(df.sparkSession)
+    schema = _schema(df, [key, *carry], _FEATURES)
+    names = schema.fieldNames()
+    return df.select(key, *carry, media).mapInArrow(lambda batches: _reading(batches, names), schema)
 
-    def features(stored: bytes | None) -> tuple:
-        if stored is None:
-            return (None,) * len(kinds)
-        image = decode_png(stored)
-        payload = image.tobytes()
-        return (
-            len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]),
-            len(stored), hashlib.sha256(stored).hexdigest(), cosine_hash(image),
-        )
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            made = list(zip(*(features(v.as_py()) for v in batch.column(batch.num_columns - 1)), strict=True))
-            made = made or [()] * len(kinds)
-            arrays = batch.columns[:-1] + [pa.array(c, k) for c, k in zip(made, kinds, strict=True)]
-            yield pa.RecordBatch.from_arrays(arrays, names=schema.fieldNames())
 
+def store_and_read_png(df: DataFrame, key: str = "doc_id", text: str = "text", width: int = WIDTH, level: int = 6) -> DataFrame:
+    """:func:`store_png` and :func:`read_png` in one Python worker: images pass between them in batches."""
     ship_package(df.sparkSession)
-    return df.select(key, *carry, media).mapInArrow(run, schema)
+    schema = _schema(df, [key], f"n_bytes bigint, {_FEATURES}")
+    names = schema.fieldNames()
+    return df.select(key, text).mapInArrow(lambda batches: _reading(_storing(batches, key, width, level), names), schema)
