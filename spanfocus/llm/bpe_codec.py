@@ -28,7 +28,7 @@ from spanfocus.llm.token_counts import byte_alphabet
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\p{White_Space}\p{L}\p{N}]+"
 
 #: Distinct words a worker remembers, and words held at once of a long text.
-REMEMBERED, HELD = 200_000, 200_000
+REMEMBERED, HELD = 500_000, 200_000
 _SPACES = regex.compile(r"\p{White_Space}+")
 _NONE = 1 << 40
 
@@ -85,14 +85,17 @@ class Codec:
         """Symbols after all merges, lowest rank first and left to right."""
         if len(symbols) > 32:
             return self._merged_long(symbols)
-        rank = self.rank.get
-        while len(symbols) > 1:
-            ranks = [rank(p, _NONE) for p in zip(symbols, symbols[1:], strict=False)]
-            best = min(ranks)
-            if best == _NONE:
-                break
+        rank, symbols = self.rank.get, list(symbols)
+        ranks = [rank(p, _NONE) for p in zip(symbols, symbols[1:], strict=False)]
+        while ranks and (best := min(ranks)) != _NONE:
             i = ranks.index(best)
-            symbols = symbols[:i] + [symbols[i] + symbols[i + 1]] + symbols[i + 2 :]
+            symbols[i] += symbols.pop(i + 1)
+            # Only the pairs on either side of the new token change.
+            del ranks[i]
+            if i:
+                ranks[i - 1] = rank((symbols[i - 1], symbols[i]), _NONE)
+            if i < len(ranks):
+                ranks[i] = rank((symbols[i], symbols[i + 1]), _NONE)
         return symbols
 
     def _merged_long(self, symbols: list[str]) -> list[str]:
@@ -142,7 +145,9 @@ class Codec:
         if ids is None:
             symbols = [self.bytes[b] for b in word.encode()]
             symbols[-1] += self.end
-            ids = [self.vocab[t] for t in self.stream(symbols)]
+            # A word that fits the window is one step of the transducer.
+            tokens = self.merged(symbols) if len(symbols) <= self.window else self.stream(symbols)
+            ids = [self.vocab[t] for t in tokens]
             if len(word) < 64:
                 if len(self.known) >= REMEMBERED:
                     self.known.clear()
