@@ -7,6 +7,7 @@ from collections.abc import Sequence
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 from spanfocus.functions.text import tokens_of
 from spanfocus.geometry import Geometry, cost_of
@@ -177,7 +178,7 @@ def edit_similarity(answer: Column, truth: Column) -> Column:
     return F.when(longest == 0, F.lit(1.0)).otherwise(1 - F.levenshtein(answer, truth) / longest)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def rouge_l(answer: pd.Series, truth: pd.Series) -> pd.Series:
     """F1 of the longest common subsequence of blank-separated tokens."""
 

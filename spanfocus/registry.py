@@ -6,9 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from spanfocus.plans import method_queries
+from spanfocus.operators import relational
+from spanfocus.plans import method_queries, workloads
+from spanfocus.streaming import arriving
 
-TABLES = (method_queries.TABLE,)
+arriving.register(method_queries.TABLE.oracles["dependency_arrow"], method_queries.TABLE.oracles["select_domain_budget"])
+
+TABLES = (method_queries.TABLE, workloads.TABLE, relational.TABLE, arriving.TABLE)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
