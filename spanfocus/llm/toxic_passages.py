@@ -18,12 +18,13 @@ from itertools import islice
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanfocus.llm.arrow_rows import map_texts, text_blocks
 from spanfocus.llm.samples import bounded_sample, fold
-from spanfocus.session import ship_package
+from spanfocus.session import cut, ship_package
 
 _WORD = re.compile(r"[^\W\d_]+")
 _HELD = 200_000
@@ -135,66 +136,74 @@ class ToxicityModel:
         return min(1.0, max(0.0, 0.999 * p + 0.001 * (raw + 20) / (abs(raw) + 40)))
 
 
-def token_table(docs: DataFrame, judged: DataFrame, key: str, text: str, label: str) -> DataFrame:
-    """(token, seen, toxic, clean): in how many texts of the whole corpus, and of the judged rows, a token is.
+def _counted(df: DataFrame, text: str, label: str | None, wanted: Broadcast | None) -> DataFrame:
+    """(token, toxic, n): in how many texts a token occurs, by label; blocks are counted before the shuffle.
 
-    ``judged`` (key, label) must be of bounded size: it is broadcast. Blocks are counted before the shuffle.
+    With ``wanted`` only those tokens are counted, and a null token bears the number of all occurrences.
     """
-    ship_package(docs.sparkSession)
+    ship_package(df.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums: list[Counter[str]] = [Counter(), Counter(), Counter()]
+        sums: dict[int, Counter[str | None]] = {0: Counter(), 1: Counter()}
 
-        def flush() -> pa.RecordBatch:
-            tokens = list(sums[0])
-            columns = [[s.get(t, 0) for t in tokens] for s in sums]
-            for s in sums:
+        def flush() -> Iterator[pa.RecordBatch]:
+            for toxic, s in sums.items():
+                tokens, counts = list(s), list(s.values())
                 s.clear()
-            return pa.RecordBatch.from_arrays(
-                [pa.array(tokens, pa.string()), *(pa.array(c, pa.int64()) for c in columns)],
-                names=["token", "seen", "toxic", "clean"],
-            )
+                arrays = [pa.array(tokens, pa.string()), pa.array([toxic] * len(tokens), pa.int32()), pa.array(counts, pa.int64())]
+                yield pa.RecordBatch.from_arrays(arrays, names=["token", "toxic", "n"])
+            pa.default_memory_pool().release_unused()
 
         for block, texts in text_blocks(batches, text):
-            marks = block.column(block.schema.get_field_index(label)).to_pylist()
+            marks = block.column(block.schema.get_field_index(label)).to_pylist() if label else [0] * len(texts)
             for t, mark in zip(texts, marks, strict=True):
                 words = set(_WORD.findall(t.lower()))
-                sums[0].update(words)
-                if mark is not None:
-                    sums[1 if mark == 1 else 2].update(words)
-            if len(sums[0]) > 200_000:
-                yield flush()
-        if sums[0]:
-            yield flush()
-
-    marked = docs.select(key, text).join(F.broadcast(judged.select(key, label)), key, "left").select(text, label)
-    made = marked.mapInArrow(run, "token string, seen bigint, toxic bigint, clean bigint")
-    return made.groupBy("token").agg(*(F.sum(c).alias(c) for c in ("seen", "toxic", "clean")))
-
-
-def log_odds(table: DataFrame, prior: float = 1.0, least_z: float = 3.0, max_tokens: int = 50_000) -> tuple[dict[str, float], float]:
+                if wanted is not None:
+                    sums[0][None] += len(words)
+                    words &= wanted.value
+                sums[1 if mark == 1 else 0].update(words)
+            if len(sums[0]) + len(sums[1]) > 200_000:
+                yield from flush()
+        yield from flush()
+
+    columns = [text, label] if label else [text]
+    made = df.select(*columns).mapInArrow(run, "token string, toxic int, n bigint")
+    return made.groupBy("token", "toxic").agg(F.sum("n").alias("n"))
+
+
+def candidate_tokens(sample: DataFrame, text: str, label: str, least_texts: int = 3, most: int = 500_000) -> tuple[list, float, float]:
+    """Rows (token, toxic, clean) of tokens that at least ``least_texts`` toxic texts hold and that are commoner
+    there than in clean ones, the most frequent ``most`` of them; and both totals of counts."""
+    counts = _counted(sample, text, label, None)
+    table = cut(counts.groupBy("token").agg(*(F.coalesce(F.sum(F.when(F.col("toxic") == k, F.col("n"))), F.lit(0)).alias(c) for k, c in ((1, "toxic"), (0, "clean")))))
+    toxic, clean = (float(x or 0) for x in table.agg(F.sum("toxic"), F.sum("clean")).first())
+    likely = (F.col("toxic") >= least_texts) & (F.col("toxic") * F.lit(clean) > F.col("clean") * F.lit(toxic))
+    return table.where(likely).orderBy(F.desc("toxic"), "token").limit(most).collect(), toxic, clean
+
+
+def log_odds(
+    docs: DataFrame, sample: DataFrame, text: str, label: str, prior: float = 1.0, least_z: float = 3.0, max_tokens: int = 50_000
+) -> tuple[dict[str, float], float]:
     """Significant tokens with their lower-bound log-odds, and their expected number per clean token.
 
-    Prior: a pseudo-corpus of ``prior`` times the toxic counts, distributed as the whole corpus is.
+    Prior: a pseudo-corpus of ``prior`` times the toxic counts, distributed as the whole corpus is; the
+    candidates' shares of it are counted over all of ``docs``.
     """
-    sums = table.agg(*(F.sum(c) for c in ("seen", "toxic", "clean"))).first()
-    seen, toxic, clean = (float(x or 0) for x in sums)
-    if not toxic or not clean:
+    rows, toxic, clean = candidate_tokens(sample, text, label)
+    if not rows or not toxic or not clean:
         return {}, 0.0
-    mass = prior * toxic
-    pseudo = F.col("seen") / seen * mass
-    one, two = F.col("toxic") + pseudo, F.col("clean") + pseudo
-    delta = F.log(one / (toxic + mass - one)) - F.log(two / (clean + mass - two))
-    spread = F.sqrt(1 / one + 1 / two)
-    kept = (
-        table.where("toxic >= 3")
-        .select("token", "clean", delta.alias("delta"), spread.alias("spread"))
-        .where((F.col("delta") > 0) & (F.col("delta") / F.col("spread") >= least_z))
-        .orderBy(F.desc(F.col("delta") / F.col("spread")), "token")
-        .limit(max_tokens)
-        .collect()
-    )
-    return {r.token: r.delta - r.spread for r in kept}, sum(r.clean + 0.5 for r in kept) / clean
+    wanted = docs.sparkSession.sparkContext.broadcast({r.token for r in rows})  # bounded by the candidates' limit
+    seen = {r.token: float(r.n) for r in _counted(docs, text, None, wanted).collect()}
+    mass, total, scored = prior * toxic, max(1.0, seen.get(None, 1.0)), []
+    for r in rows:
+        pseudo = max(seen.get(r.token, 0.0), r.toxic + r.clean) / total * mass
+        one, two = r.toxic + pseudo, r.clean + pseudo
+        delta = math.log(one / (toxic + mass - one)) - math.log(two / (clean + mass - two))
+        spread = math.sqrt(1 / one + 1 / two)
+        if delta > 0 and delta / spread >= least_z:
+            scored.append((-delta / spread, r.token, delta - spread, r.clean))
+    kept = sorted(scored)[:max_tokens]
+    return {t: gain for _, t, gain, _ in kept}, sum(c + 0.5 for *_, c in kept) / clean
 
 
 def _decay(gains: list[float], rate: float, penalty: float) -> float:
@@ -251,14 +260,12 @@ def fit_toxicity(
     if len(set(marks)) < 2:
         return model
     judged = spark.createDataFrame(rows, judged.schema)
-    table = token_table(docs, judged, key, text, label).persist()
-    model.gain, rate = log_odds(table)
-    table.unpersist()
+    sample = docs.select(key, text).join(F.broadcast(judged), key)
+    model.gain, rate = log_odds(docs, sample, text, label)
     if not model.gain:
         return model
     model.decay = _decay(list(model.gain.values()), min(rate, 0.5), penalty)
 
-    sample = docs.select(key, text).join(F.broadcast(judged), key)
     shared = spark.sparkContext.broadcast(model)
 
     def best(texts: list[str]) -> dict[str, list]:
