@@ -11,6 +11,7 @@ from pyspark.sql.types import DoubleType
 
 from spanfocus.functions.text import tokens_of
 from spanfocus.geometry import Geometry, cost_of
+from spanfocus.operators.ranks import average_rank, global_row_number
 
 DEPTHS = (0.0, 0.25, 0.5, 0.75, 1.0)
 
@@ -29,16 +30,12 @@ def needle_cases(
     last span of the context repeats the needle's first span and asks for it. Cells without room are left out.
     """
     g = geometry
-    count = needles.count()
-    if not count:
-        raise ValueError("no needles")
-    pins = needles.select(
-        "item_id", F.row_number().over(Window.orderBy("item_id")).alias("place"), tokens_of("text").alias("pin")
-    ).where(F.size("pin") >= g.span)
+    pins = needles.select("item_id", tokens_of("text").alias("pin")).where(F.size("pin") >= g.span)
+    pins = global_row_number(pins, F.col("item_id"))
     usable = pins.count()
-    pins = pins.select("item_id", F.row_number().over(Window.orderBy("place")).alias("place"), "pin")
-    order = Window.orderBy("doc_id")
-    ids = hay.select("doc_id").withColumn("place", (F.row_number().over(order) - 1) % max(1, usable) + 1)
+    if not usable:
+        raise ValueError("no needle of at least one span")
+    ids = global_row_number(hay.select("doc_id"), F.col("doc_id")).withColumn("place", (F.col("place") - 1) % usable + 1)
     placed = hay.join(ids, "doc_id").join(pins, "place")
     cells = F.array(*(F.struct(F.lit(c).alias("context_len"), F.lit(float(d)).alias("depth")) for c in lengths or context_lengths(g) for d in depths))
     rows = placed.select("doc_id", "item_id", "tokens", "pin", F.explode(cells).alias("cell")).select("*", "cell.*")
@@ -98,9 +95,11 @@ def improvement(rollup: DataFrame, method: str, base: str) -> DataFrame:
 
 def score_correlation(scores: DataFrame, reference: str, columns: Sequence[str], top_n: int) -> DataFrame:
     """(setting, n_docs, pearson, spearman, overlap_at_n): each score column against the reference column."""
-    ranks = {c: F.rank().over(Window.orderBy(F.round(c, 6))) + (F.count("*").over(Window.partitionBy(F.round(c, 6))) - 1) / 2 for c in {reference, *columns}}
-    tops = {c: F.row_number().over(Window.orderBy(F.desc(F.round(c, 6)), "doc_id")) <= top_n for c in {reference, *columns}}
-    rows = scores.select("*", *(r.alias(f"rank:{c}") for c, r in ranks.items()), *(t.alias(f"top:{c}") for c, t in tops.items()))
+    rows = scores
+    for c in dict.fromkeys([reference, *columns]):
+        rows = average_rank(rows.withColumn("_r", F.round(c, 6)), "_r", "doc_id", f"rank:{c}")
+        top = scores.orderBy(F.desc(F.round(c, 6)), "doc_id").limit(top_n).select("doc_id", F.lit(True).alias(f"top:{c}"))
+        rows = rows.drop("_r").join(top, "doc_id", "left").withColumn(f"top:{c}", F.coalesce(f"`top:{c}`", F.lit(False)))
     made = [
         F.struct(
             F.lit(c).alias("setting"),
@@ -148,7 +147,7 @@ def extremes(scores: DataFrame, docs: DataFrame, k: int, score: str = "score", c
 def label_agreement(scores: DataFrame, labels: DataFrame, score: str = "score", label: str = "quality") -> DataFrame:
     """(n_docs, positives, auc, point_biserial): area under the curve by rank sum, ties half; correlation with the label."""
     rows = scores.select("doc_id", F.round(score, 6).alias("s")).join(labels.select("doc_id", F.col(label).alias("y")), "doc_id")
-    ranked = rows.withColumn("r", F.rank().over(Window.orderBy("s")) + (F.count("*").over(Window.partitionBy("s")) - 1) / 2)
+    ranked = average_rank(rows, "s", "doc_id", "r")
     n1, n = F.sum("y"), F.count("*")
     area = (F.sum(F.when(F.col("y") == 1, F.col("r"))) - n1 * (n1 + 1) / 2) / (n1 * (n - n1))
     return ranked.agg(n.alias("n_docs"), n1.cast("bigint").alias("positives"), area.alias("auc"), F.corr("s", F.col("y").cast("double")).alias("point_biserial"))

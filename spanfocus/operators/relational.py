@@ -5,7 +5,7 @@ Each is a query of its own on the given tables, registered with a DuckDB oracle.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from spanfocus.functions.text import tokens_of
@@ -146,25 +146,42 @@ def op_dedupe_near(spark, sf_dir):
     return dedupe_near(t(spark, sf_dir, "documents", "doc_id", "text")).withColumn("jaccard", F.round("jaccard", 6))
 
 
+#: Passages without an inner word that one query may look for by plain containment.
+BARE_PASSAGES = 1000
+
+
 def contaminated(docs: DataFrame, passages: DataFrame, words: int = 8) -> DataFrame:
     """(doc_id, item_id): documents that hold a whole passage. A shingle join proposes, ``contains`` decides.
 
-    Passages shorter than the shingle are looked for by their first word run of that length or less.
+    A passage is looked for by its first ``words`` inner words (the first word may continue one of the
+    document's, the last may go on), or by as many as it has. Passages of one or two words have none; up to
+    BARE_PASSAGES of them are tested one by one. Empty passages are in no document.
     """
-    head = F.slice(tokens_of("text"), 2, words)  # the first word may continue one of the document's
-    keys = passages.where(F.length("text") > 0).select("item_id", F.col("text").alias("passage"), head.alias("h")).withColumn("size", F.size("h"))
-    exact = keys.where(F.col("size") == words).withColumn("s", F.xxhash64(F.array_join("h", " ")))
-    w = tokens_of("text")
-    starts = F.sequence(F.lit(1), F.greatest(F.size("w") - words + 1, F.lit(1)))
-    made = F.array_distinct(F.transform(starts, lambda i: F.xxhash64(F.array_join(F.slice("w", i, words), " "))))
-    found = docs.select("doc_id", w.alias("w")).select("doc_id", F.explode(made).alias("s")).join(exact.select("item_id", "s"), "s").select("doc_id", "item_id").distinct()
-    checked = found.join(docs.select("doc_id", "text"), "doc_id").join(exact.select("item_id", "passage"), "item_id")
-    hits = checked.where(F.contains("text", "passage")).select("doc_id", "item_id")
-    rest = keys.where(F.col("size") < words)
-    if rest.isEmpty():
-        return hits
-    short = docs.select("doc_id", "text").join(F.broadcast(rest.select("item_id", "passage")), F.contains("text", "passage"))
-    return hits.unionByName(short.select("doc_id", "item_id"))
+    tokens = tokens_of("text")
+    inner = F.slice(tokens, 2, F.greatest(F.least(F.size(tokens) - 2, F.lit(words)), F.lit(0)))
+    keys = passages.where(F.length("text") > 0).select("item_id", F.col("text").alias("passage"), inner.alias("h")).withColumn("size", F.size("h"))
+    sizes = [r[0] for r in keys.where("size > 0").select("size").distinct().collect()]  # at most ``words`` numbers
+    rows = docs.select("doc_id", tokens.alias("w"))
+
+    def of_size(k: int) -> Column:
+        starts = F.when(F.size("w") >= k, F.sequence(F.lit(1), F.size("w") - k + 1)).otherwise(F.array().cast("array<int>"))
+        return F.transform(starts, lambda i: F.xxhash64(F.lit(k), F.array_join(F.slice("w", i, k), " ")))
+
+    hits = None
+    if sizes:
+        made = F.array_distinct(F.concat(*map(of_size, sizes)))
+        wanted = keys.where("size > 0").select("item_id", "passage", F.xxhash64("size", F.array_join("h", " ")).alias("s"))
+        found = rows.select("doc_id", F.explode(made).alias("s")).join(wanted.select("item_id", "s"), "s").select("doc_id", "item_id").distinct()
+        checked = found.join(docs.select("doc_id", "text"), "doc_id").join(wanted.select("item_id", "passage"), "item_id")
+        hits = checked.where(F.contains("text", "passage")).select("doc_id", "item_id")
+    bare = keys.where("size = 0").select("item_id", "passage").limit(BARE_PASSAGES + 1).collect()
+    if len(bare) > BARE_PASSAGES:
+        raise ValueError(f"more than {BARE_PASSAGES} passages of one or two words")
+    if bare or hits is None:
+        tests = [F.when(F.contains("text", F.lit(r.passage)), F.lit(r.item_id)) for r in bare] or [F.lit(None).cast(passages.schema["item_id"].dataType)]
+        plain = docs.select("doc_id", F.explode(F.array_compact(F.array(*tests))).alias("item_id"))
+        hits = plain if hits is None else hits.unionByName(plain)
+    return hits
 
 
 @TABLE.query("SELECT d.doc_id, b.item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from spanfocus.functions import text as T
 from spanfocus.geometry import Geometry
+from spanfocus.operators.ranks import global_row_number
 from spanfocus.sources.tables import require
 
 
@@ -76,11 +77,11 @@ def concatenate(df: DataFrame, length: int, piece: int, seed: int = 1) -> DataFr
     k = length // piece
     if piece * k != length:
         raise ValueError("piece must divide length")
-    order = Window.orderBy(T.random_order("doc_id", seed), "doc_id")
     placed = df.where(F.size("tokens") >= piece).select("doc_id", F.slice("tokens", 1, piece).alias("tokens"))
-    # The order is over ids alone; texts join afterwards, so the single-partition window carries no text.
-    ids = placed.select("doc_id").withColumn("place", F.row_number().over(order) - 1)
-    ids = ids.select("doc_id", F.floor(F.col("place") / k).cast("int").alias("sample_id"), (F.col("place") % k).alias("piece_no"))
+    # The order is over ids alone; the tokens join afterwards.
+    ids = placed.select("doc_id", T.random_order("doc_id", seed).alias("o"))
+    ids = global_row_number(ids, F.col("o"), F.col("doc_id")).withColumn("place", F.col("place") - 1)
+    ids = ids.select("doc_id", F.floor(F.col("place") / k).cast("int").alias("sample_id"), (F.col("place") % k).cast("int").alias("piece_no"))
     grouped = placed.join(ids, "doc_id").groupBy("sample_id").agg(F.sort_array(F.collect_list(F.struct("piece_no", "doc_id", "tokens"))).alias("p"))
     return grouped.where(F.size("p") == k).select(
         "sample_id",
