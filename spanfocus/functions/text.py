@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -9,8 +11,11 @@ from pyspark.sql import functions as F
 SPACE, WORD = r"[^ \t\n\r]+", r"[\p{L}\p{N}]+"
 
 
-def tokens_of(text: Column | str, mode: str = "space") -> Column:
-    """Array of tokens: maximal runs without blanks (``space``) or of letters and digits (``word``)."""
+def tokens_of(text: Column | str, mode: str | Callable[[Column], Column] = "space") -> Column:
+    """Array of tokens: maximal runs without blanks (``space``), of letters and digits (``word``), or what a
+    callable makes of the text's column."""
+    if callable(mode):
+        return mode(F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit("")))
     if mode not in ("space", "word"):
         raise ValueError("mode must be 'space' or 'word'")
     pattern = SPACE if mode == "space" else WORD

@@ -8,6 +8,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from spanfocus.functions import sql_surface
 from spanfocus.functions.text import tokens_of
 from spanfocus.plans.entry_table import EntryTable
 from spanfocus.sources.tables import read_table
@@ -531,22 +532,11 @@ def op_lateral(spark, sf_dir):
         SELECT max_by(c_custkey, struct(c_acctbal, -c_custkey)) AS c_custkey FROM spanfocus_customer WHERE c_nationkey = n_nationkey HAVING count(*) > 0) x""")
 
 
-@F.udtf(returnType="j int, span_tokens string")
-class SpanTable:
-    """Rows (j, span_tokens) of a text cut into spans of ``length`` tokens; an incomplete last span is left out."""
-
-    def eval(self, text: str, length: int):
-        words = (text or "").replace("\t", " ").replace("\n", " ").replace("\r", " ").split(" ")
-        words = [w for w in words if w]
-        for j in range(len(words) // length):
-            yield j, " ".join(words[j * length : (j + 1) * length])
-
-
 @TABLE.query(f"""WITH a AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '{TOKEN}') AS w FROM documents),
     s AS (SELECT doc_id, w, unnest(range(len(w) // 128))::INT AS j FROM a)
     SELECT doc_id, j, md5(array_to_string(w[j * 128 + 1:(j + 1) * 128], ' ')) AS span_md5 FROM s""")
 def op_udtf_spans(spark, sf_dir):
-    spark.udtf.register("spanfocus_span_table", SpanTable)
+    sql_surface.register(spark)
     t(spark, sf_dir, "documents", "doc_id", "text").createOrReplaceTempView("spanfocus_texts")
     return spark.sql("SELECT doc_id, j, md5(span_tokens) AS span_md5 FROM spanfocus_texts, LATERAL spanfocus_span_table(text, 128)")
 
@@ -556,3 +546,72 @@ def op_sample_hash(spark, sf_dir):
     """A reproducible quarter of the rows: the feature is the sample."""
     draw = F.md5(F.concat_ws(":", F.lit("5"), F.col("doc_id").cast("string")))
     return t(spark, sf_dir, "documents", "doc_id").withColumn("draw", draw).where(F.substring("draw", 1, 1) < "4")
+
+
+@TABLE.query("SELECT label, count(*) AS n, round(sum(x), 4) AS mass FROM (SELECT label, unnest(embedding)::DOUBLE AS x FROM embeddings) GROUP BY label")
+def op_unnest(spark, sf_dir):
+    rows = t(spark, sf_dir, "embeddings", "label", "embedding").select("label", F.explode(F.col("embedding").cast("array<double>")).alias("x"))
+    return rows.groupBy("label").agg(F.count("*").alias("n"), F.round(F.sum("x"), 4).alias("mass"))
+
+
+@TABLE.query("SELECT event_type, sum((props::JSON->>'k')::BIGINT)::BIGINT AS k, count(*) FILTER (props::JSON->>'k' IS NULL) AS without FROM events GROUP BY event_type")
+def op_json_variant(spark, sf_dir):
+    rows = t(spark, sf_dir, "events", "event_type", "props").withColumn("v", F.parse_json("props"))
+    k = F.try_variant_get("v", "$.k", "bigint")
+    return rows.groupBy("event_type").agg(F.sum(k).alias("k"), F.count_if(k.isNull()).alias("without"))
+
+
+@TABLE.query("""SELECT DISTINCT o_custkey, nth_value(o_orderkey, 2) OVER w AS second, last_value(o_orderkey) OVER w AS last FROM orders
+    WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)""")
+def op_window_nth(spark, sf_dir):
+    w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    rows = t(spark, sf_dir, "orders", "o_custkey", "o_orderkey", "o_orderdate")
+    return rows.select("o_custkey", F.nth_value("o_orderkey", 2).over(w).alias("second"), F.last("o_orderkey").over(w).alias("last")).distinct()
+
+
+@TABLE.query("""SELECT lang, source, docs * 2 AS doubled, docs + coalesce(q, 0) AS joined FROM (SELECT lang, source, count(*) AS docs, count(quality) AS q
+    FROM documents LEFT JOIN labels USING (doc_id) GROUP BY ALL)""")
+def op_map_functions(spark, sf_dir):
+    """Per language a map of source to count; values transformed, two maps zipped."""
+    counts = _labelled(spark, sf_dir).groupBy("lang", "source").agg(F.count("*").alias("docs"), F.count("quality").alias("q"))
+    entry = lambda c: F.map_from_entries(F.collect_list(F.struct("source", c)))
+    maps = counts.groupBy("lang").agg(entry("docs").alias("a"), entry("q").alias("b"))
+    doubled = F.transform_values("a", lambda _, n: n * 2)
+    joined = F.map_zip_with("a", "b", lambda _, x, y: x + F.coalesce(y, F.lit(0)))
+    rows = maps.select("lang", F.explode(F.map_zip_with(doubled, joined, lambda _, x, y: F.struct(x.alias("doubled"), y.alias("joined")))).alias("source", "v"))
+    return rows.select("lang", "source", "v.doubled", "v.joined")
+
+
+@TABLE.query("SELECT doc_id, (n_chars // 128)::INT AS span FROM documents")
+def op_sql_function(spark, sf_dir):
+    sql_surface.register(spark)
+    t(spark, sf_dir, "documents", "doc_id", "n_chars").createOrReplaceTempView("spanfocus_sizes")
+    return spark.sql("SELECT doc_id, spanfocus_span_index(CAST(n_chars AS INT), 128) AS span FROM spanfocus_sizes")
+
+
+@TABLE.query("""WITH r AS (SELECT lang, quality AS y, rank() OVER (PARTITION BY lang ORDER BY n_chars)
+        + (count(*) OVER (PARTITION BY lang, n_chars) - 1) / 2 AS r FROM documents JOIN labels USING (doc_id))
+    SELECT lang, round((sum(r) FILTER (y = 1) - sum(y) * (sum(y) + 1) / 2) / (sum(y) * (count(*) - sum(y))), 6) AS auc FROM r
+    GROUP BY lang HAVING sum(y) > 0 AND sum(y) < count(*)""")
+def op_grouped_pandas(spark, sf_dir):
+    """Grouped pandas aggregate: does length tell quality, by language."""
+    from spanfocus.session import ship_package
+
+    ship_package(spark)
+    rows = _labelled(spark, sf_dir).where("quality IS NOT NULL").withColumn("n", F.col("n_chars").cast("double"))
+    made = rows.groupBy("lang").agg(sql_surface.rank_auc("n", "quality").alias("auc"))
+    return made.where(~F.isnan("auc")).select("lang", F.round("auc", 6).alias("auc"))
+
+
+@TABLE.query()
+def op_sample_strata(spark, sf_dir):
+    """Spark's own stratified sample depends on its generator: rows only."""
+    return t(spark, sf_dir, "documents", "doc_id", "lang").sampleBy("lang", {"en": 0.2, "de": 0.5}, seed=3)
+
+
+@TABLE.query("SELECT lang, count(DISTINCT source) AS sources, list_sort(list(DISTINCT source))[1] AS first_source, bool_or(n_chars > 10000) AS any_long FROM documents GROUP BY lang")
+def op_agg_collections(spark, sf_dir):
+    return t(spark, sf_dir, "documents", "lang", "source", "n_chars").groupBy("lang").agg(
+        F.count_distinct("source").alias("sources"), F.get(F.sort_array(F.collect_set("source")), F.lit(0)).alias("first_source"),
+        F.bool_or(F.col("n_chars") > 10_000).alias("any_long"),
+    )

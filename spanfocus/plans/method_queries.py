@@ -10,6 +10,7 @@ from spanfocus.geometry import Geometry
 from spanfocus.operators import delta, focus, lexical, samples, select, states, trained
 from spanfocus.plans import oracles as O
 from spanfocus.plans.entry_table import EntryTable
+from spanfocus.session import spread
 from spanfocus.sources.tables import read_table
 
 TABLE = EntryTable()
@@ -19,7 +20,7 @@ BUDGET_SHARE = 0.25
 
 
 def docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return read_table(spark, sf_dir, "documents")
+    return spread(read_table(spark, sf_dir, "documents"))
 
 
 def desk(spark: SparkSession, sf_dir: str, domain: str = "source", g: Geometry = DESK) -> DataFrame:

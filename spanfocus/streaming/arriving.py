@@ -153,6 +153,13 @@ def op_stream_dedupe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drained(rows.select(F.md5(F.coalesce("text", F.lit(""))).alias("digest")).dropDuplicates(["digest"]))
 
 
+@TABLE.query("SELECT event_id FROM events GROUP BY event_id")
+def op_stream_dedupe_watermark(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events once each, remembered only as long as the watermark asks for."""
+    rows = stream_events(spark, _files(sf_dir, "events")).withWatermark("ts", WATERMARK)
+    return drained(rows.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
+
+
 def spread_files(df: DataFrame, n: int, key: str = "doc_id") -> str:
     """Write ``df`` as ``n`` files in random order of its key into a new local folder: a source for tests."""
     folder = tempfile.mkdtemp(prefix="spanfocus-source-")

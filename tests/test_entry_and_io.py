@@ -100,3 +100,32 @@ def test_stream_of_many_files_equals_batch(spark, sf):
     made = arriving.drained(arriving.score_stream(tables.stream_documents(spark, folder), table, g))
     batch = lexical.score_documents(samples.samples(docs, g), table, g)
     assert sorted(made.select("doc_id", "full_2_2").collect()) == sorted(batch.select("doc_id", "full_2_2").collect())
+
+
+def test_token_shards_round_trip(spark, tmp_path):
+    from spanfocus.sources import shards
+
+    shards.register(spark)
+    rows = spark.createDataFrame([(i, [i, i + 1, i + 2]) for i in range(20)], "doc_id bigint, ids array<int>").repartition(3)
+    folder = str(tmp_path / "shards")
+    rows.write.format("token_shards").option("length", 3).mode("append").save(folder)
+    made = spark.read.format("token_shards").option("length", 3).load(folder)
+    assert sorted(r.ids for r in made.collect()) == [[i, i + 1, i + 2] for i in range(20)]
+
+
+def test_sql_functions(spark):
+    from spanfocus.functions import sql_surface
+
+    sql_surface.register(spark)
+    made = spark.sql("SELECT * FROM spanfocus_focus_pairs(array(1L, 2L, 3L, 1L, 2L, 4L, 1L, 2L), array_repeat(2.0D, 8), 2, 0, 1, 1, 1, 2)").collect()
+    assert {(r.j, r.i): round(r.pair_focus, 9) for r in made} == {(2, 0): round(25 / 36, 9), (3, 0): round(54 / 91, 9), (3, 1): round(41 / 91, 9)}
+
+
+def test_callable_tokens(spark):
+    from pyspark.sql import functions as F
+
+    from spanfocus.operators import samples
+
+    df = spark.createDataFrame([(1, "a-b-c"), (2, None)], "doc_id bigint, text string")
+    made = samples.tokenize(df, mode=lambda c: F.split(c, "-")).collect()
+    assert made[0].tokens == ["a", "b", "c"]
