@@ -28,6 +28,14 @@ from spanfocus.session import cut, ship_package
 
 _WORD = re.compile(r"[^\W\d_]+")
 _HELD = 200_000
+#: Lengths of word beginnings that are counted beside whole words, for words not seen before.
+STEMS = (4, 6)
+_REMEMBERED = 300_000
+
+
+def stems(word: str) -> list[str]:
+    """A longer word's beginnings, marked so that no word equals one."""
+    return ["^" + word[:n] for n in STEMS if len(word) > n]
 
 
 @dataclass
@@ -81,31 +89,44 @@ class ToxicityModel:
     curve_x: list[float] = field(default_factory=list)
     curve_y: list[float] = field(default_factory=list)
     base: float = 0.0
+    known: dict[str, float] = field(default_factory=dict, repr=False)
+
+    def gains(self, words: list[str]) -> list[float]:
+        """Gain of each word: its own or that of its best beginning, zero if neither is significant."""
+        known, gain = self.known, self.gain.get
+        if new := set(words).difference(known):
+            if len(known) + len(new) > _REMEMBERED:
+                known.clear()
+                new = set(words)
+            for w in new:
+                known[w] = gain(w) or max((gain(x, 0.0) for x in stems(w)), default=0.0)
+        return list(map(known.__getitem__, words))
 
     def _tokens(self, text: str) -> tuple[int, list[int], list[float], list[tuple[int, int]]]:
         """Number of tokens; place, gain and character span of those with a positive score."""
-        n, places, gains, spans, get = 0, [], [], [], self.gain.get
+        n, places, gains, spans = 0, [], [], []
+        times: Counter[str] = Counter()
         lowered = text.lower()
-        if len(lowered) < _HELD * 4:
-            words = _WORD.findall(lowered)
-            n = len(words)
-            hits = [i for i, w in enumerate(words) if w in self.gain]
-            if hits:
-                wanted, found = set(hits), []
-                for i, m in enumerate(_WORD.finditer(lowered)):
-                    if i in wanted:
-                        found.append(m)
-                places, gains, spans = hits, [get(m.group(), 0.0) for m in found], [m.span() for m in found]
-            return n, places, gains, spans
-        matches = _WORD.finditer(lowered)
-        while some := list(islice(matches, _HELD)):
-            for i, m in enumerate(some):
-                if (g := get(m.group())) is not None:
-                    places.append(n + i)
-                    gains.append(g)
-                    spans.append(m.span())
-            n += len(some)
-        return n, places, gains, spans
+        whole = len(lowered) < _HELD * 4
+        matches = None if whole else _WORD.finditer(lowered)
+        while True:
+            some = None if whole else list(islice(matches, _HELD))
+            words = _WORD.findall(lowered) if whole else [m.group() for m in some]
+            found = self.gains(words)
+            at = [i for i, g in enumerate(found) if g]
+            for i in at:
+                # A word said again is no independent evidence: each time counts half the time before.
+                gains.append(found[i] * 0.5 ** min(times[words[i]], 60))
+                times[words[i]] += 1
+            places += [n + i for i in at]
+            if whole and at:
+                wanted = set(at)
+                spans = [m.span() for i, m in enumerate(_WORD.finditer(lowered)) if i in wanted]
+            elif at:
+                spans += [some[i].span() for i in at]
+            n += len(words)
+            if whole or not words:
+                return n, places, gains, spans
 
     def analyse(self, text: str) -> tuple[float, list[Passage]]:
         """Raw value and significant passages (those above zero nats) of a whole text.
@@ -158,6 +179,7 @@ def _counted(df: DataFrame, text: str, label: str | None, wanted: Broadcast | No
             marks = block.column(block.schema.get_field_index(label)).to_pylist() if label else [0] * len(texts)
             for t, mark in zip(texts, marks, strict=True):
                 words = set(_WORD.findall(t.lower()))
+                words |= {x for w in words for x in stems(w)}
                 if wanted is not None:
                     sums[0][None] += len(words)
                     words &= wanted.value
@@ -186,6 +208,9 @@ def log_odds(
 ) -> tuple[dict[str, float], float]:
     """Significant tokens with their lower-bound log-odds, and their expected number per clean token.
 
+    The more candidates there are, the higher is the largest deviation that chance gives: the bar rises with
+    the root of twice the logarithm of their number, from ``least_z`` up.
+
     Prior: a pseudo-corpus of ``prior`` times the toxic counts, distributed as the whole corpus is; the
     candidates' shares of it are counted over all of ``docs``.
     """
@@ -195,6 +220,7 @@ def log_odds(
     wanted = docs.sparkSession.sparkContext.broadcast({r.token for r in rows})  # bounded by the candidates' limit
     seen = {r.token: float(r.n) for r in _counted(docs, text, None, wanted).collect()}
     mass, total, scored = prior * toxic, max(1.0, seen.get(None, 1.0)), []
+    least_z = max(least_z, math.sqrt(2 * math.log(len(rows))) - 0.5)
     for r in rows:
         pseudo = max(seen.get(r.token, 0.0), r.toxic + r.clean) / total * mass
         one, two = r.toxic + pseudo, r.clean + pseudo
