@@ -20,6 +20,7 @@ from spanfocus.llm import (
     toxic_passages,
     url_filters,
 )
+from spanfocus.session import spread
 
 URL_RULES = (
     ("allow", "org", "/"),
@@ -37,7 +38,7 @@ MIX = {"budget_share": 0.6, "max_epochs": 2, "seed": 17}
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return spread(spark.read.parquet(f"{sf_dir}/{name}.parquet"))
 
 
 def op1_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
