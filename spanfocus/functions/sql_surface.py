@@ -38,7 +38,7 @@ class FocusPairs:
 
 @F.pandas_udf(DoubleType())
 def rank_auc(score: pd.Series, positive: pd.Series) -> float:
-    """Area under the curve by rank sum, ties half; for groups that fit a task."""
+    """Area under the curve by rank sum, ties half, null without both classes; for groups that fit a task."""
     ranks, n = score.rank(), int((positive == 1).sum())
     rest = len(score) - n
     return float((ranks[positive == 1].sum() - n * (n + 1) / 2) / (n * rest)) if n and rest else float("nan")

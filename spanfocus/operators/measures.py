@@ -93,6 +93,11 @@ def improvement(rollup: DataFrame, method: str, base: str) -> DataFrame:
     return rows.unionByName(mean.select(F.lit("mean").alias("model"), F.lit("overall").alias("category"), "score", "base_score", "gain"))
 
 
+def safe_corr(a: Column, b: Column) -> Column:
+    """Pearson's r, null where one side does not vary (plain ``corr`` raises there under ANSI rules)."""
+    return F.try_divide(F.covar_pop(a, b), F.stddev_pop(a) * F.stddev_pop(b))
+
+
 def score_correlation(scores: DataFrame, reference: str, columns: Sequence[str], top_n: int) -> DataFrame:
     """(setting, n_docs, pearson, spearman, overlap_at_n): each score column against the reference column."""
     rows = scores
@@ -104,8 +109,8 @@ def score_correlation(scores: DataFrame, reference: str, columns: Sequence[str],
         F.struct(
             F.lit(c).alias("setting"),
             F.count("*").alias("n_docs"),
-            F.corr(F.round(c, 6), F.round(reference, 6)).alias("pearson"),
-            F.corr(f"`rank:{c}`", f"`rank:{reference}`").alias("spearman"),
+            safe_corr(F.round(c, 6), F.round(reference, 6)).alias("pearson"),
+            safe_corr(F.col(f"`rank:{c}`"), F.col(f"`rank:{reference}`")).alias("spearman"),
             (F.count_if(F.col(f"`top:{c}`") & F.col(f"`top:{reference}`")) / F.lit(top_n)).alias("overlap_at_n"),
         )
         for c in columns
@@ -145,12 +150,13 @@ def extremes(scores: DataFrame, docs: DataFrame, k: int, score: str = "score", c
 
 
 def label_agreement(scores: DataFrame, labels: DataFrame, score: str = "score", label: str = "quality") -> DataFrame:
-    """(n_docs, positives, auc, point_biserial): area under the curve by rank sum, ties half; correlation with the label."""
+    """(n_docs, positives, auc, point_biserial): area under the curve by rank sum, ties half, null where one class
+    has no row; correlation with the label."""
     rows = scores.select("doc_id", F.round(score, 6).alias("s")).join(labels.select("doc_id", F.col(label).alias("y")), "doc_id")
     ranked = average_rank(rows, "s", "doc_id", "r")
     n1, n = F.sum("y"), F.count("*")
-    area = (F.sum(F.when(F.col("y") == 1, F.col("r"))) - n1 * (n1 + 1) / 2) / (n1 * (n - n1))
-    return ranked.agg(n.alias("n_docs"), n1.cast("bigint").alias("positives"), area.alias("auc"), F.corr("s", F.col("y").cast("double")).alias("point_biserial"))
+    area = F.try_divide(F.sum(F.when(F.col("y") == 1, F.col("r"))) - n1 * (n1 + 1) / 2, n1 * (n - n1))
+    return ranked.agg(n.alias("n_docs"), n1.cast("bigint").alias("positives"), area.alias("auc"), safe_corr(F.col("s"), F.col("y").cast("double")).alias("point_biserial"))
 
 
 def _bag(text: Column) -> Column:

@@ -600,7 +600,7 @@ def op_grouped_pandas(spark, sf_dir):
     ship_package(spark)
     rows = _labelled(spark, sf_dir).where("quality IS NOT NULL").withColumn("n", F.col("n_chars").cast("double"))
     made = rows.groupBy("lang").agg(sql_surface.rank_auc("n", "quality").alias("auc"))
-    return made.where(~F.isnan("auc")).select("lang", F.round("auc", 6).alias("auc"))
+    return made.where(F.col("auc").isNotNull() & ~F.isnan("auc")).select("lang", F.round("auc", 6).alias("auc"))
 
 
 @TABLE.query()

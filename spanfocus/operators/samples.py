@@ -126,6 +126,6 @@ def length_census(df: DataFrame, length: int, domain: str = "source") -> DataFra
     )
     whole = Window.partitionBy(F.lit(0))
     return rows.select(
-        "domain", "docs", "tokens", (F.col("tokens") / F.sum("tokens").over(whole)).alias("share"), "long_docs", "long_tokens",
-        (F.col("long_tokens") / F.sum("long_tokens").over(whole)).alias("kept_share"),
+        "domain", "docs", "tokens", F.try_divide("tokens", F.sum("tokens").over(whole)).alias("share"), "long_docs", "long_tokens",
+        F.try_divide("long_tokens", F.sum("long_tokens").over(whole)).alias("kept_share"),
     )

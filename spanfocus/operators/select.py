@@ -29,7 +29,7 @@ def domain_shares(df: DataFrame) -> DataFrame:
 def quotas(shares: DataFrame, budget: int) -> DataFrame:
     """(domain, quota_tokens): the budget in proportion to tokens, rounded by largest remainder, ties by name."""
     whole = Window.partitionBy(F.lit(0))
-    exact = F.lit(float(budget)) * F.col("tokens") / F.sum("tokens").over(whole)
+    exact = F.coalesce(F.try_divide(F.lit(float(budget)) * F.col("tokens"), F.sum("tokens").over(whole)), F.lit(0.0))
     rows = shares.withColumn("exact", F.round(exact, PLACES)).withColumn("floor", F.floor("exact").cast("bigint"))
     order = Window.partitionBy(F.lit(0)).orderBy(F.desc(F.round(F.col("exact") - F.col("floor"), PLACES)), "domain")
     extra = F.row_number().over(order) <= F.lit(budget) - F.sum("floor").over(whole)
@@ -135,12 +135,12 @@ def overlap(a: DataFrame, b: DataFrame) -> DataFrame:
     both = a.select("doc_id").distinct().withColumn("a", F.lit(1)).join(b.select("doc_id").distinct().withColumn("b", F.lit(1)), "doc_id", "full")
     n_a, n_b, n_ab = F.count("a"), F.count("b"), F.count_if(F.col("a").isNotNull() & F.col("b").isNotNull())
     return both.agg(n_a.alias("in_a"), n_b.alias("in_b"), n_ab.alias("in_both"), F.count("*").alias("either")).select(
-        "in_a", "in_b", "in_both", (F.col("in_both") / F.col("either")).alias("jaccard"),
-        (F.col("in_both") / F.least("in_a", "in_b")).alias("overlap_share"),
+        "in_a", "in_b", "in_both", F.try_divide("in_both", "either").alias("jaccard"),
+        F.try_divide(F.col("in_both"), F.least("in_a", "in_b")).alias("overlap_share"),
     )
 
 
 def mix(selection: DataFrame) -> DataFrame:
     """(domain, docs, tokens, share) of a selection."""
     rows = selection.groupBy("domain").agg(F.count("*").alias("docs"), F.sum("n_tokens").cast("bigint").alias("tokens"))
-    return rows.withColumn("share", F.col("tokens") / F.sum("tokens").over(Window.partitionBy(F.lit(0))))
+    return rows.withColumn("share", F.try_divide("tokens", F.sum("tokens").over(Window.partitionBy(F.lit(0)))))

@@ -501,7 +501,7 @@ def score_extremes(spark: SparkSession, sf_dir: str) -> DataFrame:
 @TABLE.query(f"""{O.with_(O.scored(DESK))}, j AS (SELECT round(score, 6) AS s, quality AS y FROM dep JOIN labels USING (doc_id)),
     k AS (SELECT *, rank() OVER (ORDER BY s) + (count(*) OVER (PARTITION BY s) - 1) / 2 AS r FROM j)
     SELECT count(*) AS n_docs, sum(y)::BIGINT AS positives,
-        round((sum(r) FILTER (y = 1) - sum(y) * (sum(y) + 1) / 2) / (sum(y) * (count(*) - sum(y))), 6) AS auc, round(corr(s, y::DOUBLE), 6) AS point_biserial FROM k""")
+        round((sum(r) FILTER (y = 1) - sum(y) * (sum(y) + 1) / 2) / nullif(sum(y) * (count(*) - sum(y)), 0), 6) AS auc, round(corr(s, y::DOUBLE), 6) AS point_biserial FROM k""")
 def label_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = measures.label_agreement(desk_scores(spark, sf_dir), read_table(spark, sf_dir, "labels"))
     return rounded(made, "auc", "point_biserial")
