@@ -67,6 +67,7 @@ def select_by_threshold(df: DataFrame, budget: int, score: str = "score", bins:
     without sorting, and only the rows of the cut bin are summed one by one.
     """
     rows = require(df, "doc_id", "domain", "n_tokens", score).select("doc_id", "domain", "n_tokens", F.round(score, PLACES).alias("score"))
+    rows = cut(rows)  # four passes follow; the scores are not computed again
     ends = rows.groupBy("domain").agg(F.min("score").alias("low"), F.max("score").alias("high"))
     plan = ends.join(quotas(domain_shares(rows), budget), "domain")
     width = F.when(F.col("high") > F.col("low"), F.col("high") - F.col("low")).otherwise(F.lit(1.0))

@@ -10,7 +10,7 @@ from spanfocus.geometry import Geometry
 from spanfocus.operators import delta, focus, lexical, samples, select, states, trained
 from spanfocus.plans import oracles as O
 from spanfocus.plans.entry_table import EntryTable
-from spanfocus.session import spread
+from spanfocus.session import cut, spread
 from spanfocus.sources.tables import read_table
 
 TABLE = EntryTable()
@@ -32,11 +32,12 @@ def rounded(df: DataFrame, *columns: str) -> DataFrame:
     return df.withColumns({c: F.round(c, 6) + F.lit(0.0) for c in columns})
 
 
-def desk_scores(spark: SparkSession, sf_dir: str, domain: str = "source", variant: str = "full", g: Geometry = DESK) -> DataFrame:
-    """(doc_id, domain, n_tokens, score) by the one-pass kernel."""
+def desk_scores(spark: SparkSession, sf_dir: str, domain: str = "source", variant: str = "full", g: Geometry = DESK, keep: bool = True) -> DataFrame:
+    """(doc_id, domain, n_tokens, score) by the one-pass kernel; written once, since selections read it several times."""
     table = lexical.weight_table(docs(spark, sf_dir))
     made = lexical.score_documents(desk(spark, sf_dir, domain, g), table, g, [variant])
-    return made.select("doc_id", "domain", "n_tokens", F.col(f"{variant}_{g.row_stride}_{g.col_stride}").alias("score"))
+    made = made.select("doc_id", "domain", "n_tokens", F.col(f"{variant}_{g.row_stride}_{g.col_stride}").alias("score"))
+    return cut(made) if keep else made
 
 
 def budget_of(scored: DataFrame, share: float = BUDGET_SHARE) -> int:
@@ -45,8 +46,7 @@ def budget_of(scored: DataFrame, share: float = BUDGET_SHARE) -> int:
 
 def delta_scores(spark: SparkSession, sf_dir: str, options: delta.DeltaOptions = delta.DeltaOptions()) -> DataFrame:
     table = delta.unigram_table(docs(spark, sf_dir))
-    made = delta.delta_perplexity(desk(spark, sf_dir), table, {"score": options})
-    return made
+    return cut(delta.delta_perplexity(desk(spark, sf_dir), table, {"score": options}))
 
 
 def long_pairs(spark: SparkSession, sf_dir: str, g: Geometry = DESK, **how: bool) -> DataFrame:
@@ -275,7 +275,7 @@ _dependency_query("dependency_phased", "full", _PHASED)
 
 @TABLE.query(f"{O.with_(O.scored(DESK))} {_DEP}")
 def dependency_arrow(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return rounded(desk_scores(spark, sf_dir).select("doc_id", F.col("score").alias("dependency")), "dependency")
+    return rounded(desk_scores(spark, sf_dir, keep=False).select("doc_id", F.col("score").alias("dependency")), "dependency")
 
 
 @TABLE.query(

@@ -5,6 +5,8 @@ from __future__ import annotations
 import re
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -29,7 +31,7 @@ from spanfocus.plans.method_queries import (
     rounded,
     small_calculator,
 )
-from spanfocus.session import cut
+from spanfocus.session import cut, ship_package
 from spanfocus.sources.tables import read_table
 
 TABLE = EntryTable()
@@ -53,35 +55,26 @@ def with_hits(cases: DataFrame, focus_of_last: DataFrame) -> DataFrame:
     return cases.select(*key, "needle_span", "needle_spans").join(looks, key, "left").select(*key, F.coalesce(hit, F.lit(False)).cast("int").alias("hit"))
 
 
-def last_span_focus(cases: DataFrame, table: lexical.WeightTable) -> DataFrame:
-    """(hay_doc, context_len, depth, n_spans, i, pair_focus): the last span's focus on every span, by the kernel."""
-    import pyarrow as pa
-
-    from spanfocus.session import ship_package
-
-    spark, g = cases.sparkSession, DESK
+def lexical_hits(spark: SparkSession, sf_dir: str, hay: DataFrame) -> DataFrame:
+    """(hay_doc, context_len, depth, hit) by the kernel: the last span's strongest earlier span, ties to the first."""
+    g = DESK
     ship_package(spark)
-    shared = spark.sparkContext.broadcast(table)
-    schema = "hay_doc bigint, context_len int, depth double, n_spans int, i int, pair_focus double"
+    shared = spark.sparkContext.broadcast(lexical.weight_table(docs(spark, sf_dir)))
+    cases = measures.needle_cases(hay.select("doc_id", "tokens"), read_table(spark, sf_dir, "benchmark"), g)
 
     def run(batches):
         for batch in batches:
-            for k in range(batch.num_rows):
-                h = batch.column(4)[k].values.to_numpy(zero_copy_only=False)
-                n = len(h) // g.span
-                mass = lexical.focus_matrix(h, shared.value.of(h), Geometry(len(h), g.span), [n - 1])[:, 0]
-                yield pa.RecordBatch.from_arrays(
-                    [*(pa.repeat(batch.column(c)[k], n) for c in range(4)), pa.array(range(n), pa.int32()), pa.array(mass)],
-                    names=["hay_doc", "context_len", "depth", "n_spans", "i", "pair_focus"],
-                )
-
-    return cases.select("hay_doc", "context_len", "depth", "n_spans", T.token_hashes("tokens").alias("h")).mapInArrow(run, schema)
+            hits = []
+            for first, size, hashes in zip(*(batch.column(c) for c in (3, 4, 5)), strict=True):
+                h = hashes.values.to_numpy(zero_copy_only=False)
+                last = len(h) // g.span - 1
+                mass = lexical.focus_matrix(h, shared.value.of(h), Geometry(len(h), g.span), [last])[g.skip_first : last - g.skip_near, 0]
+                best = g.skip_first + int(np.round(mass, 6).argmax()) if mass.size else -1
+                hits.append(int(first.as_py() <= best < first.as_py() + size.as_py()))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(hits, pa.int32())], names=["hay_doc", "context_len", "depth", "hit"])
 
-
-def lexical_hits(spark: SparkSession, sf_dir: str, hay: DataFrame) -> DataFrame:
-    cases = measures.needle_cases(hay.select("doc_id", "tokens"), read_table(spark, sf_dir, "benchmark"), DESK)
-    cases = cases.withColumn("n_spans", F.col("n_spans").cast("int"))
-    return with_hits(cases, last_span_focus(cases, lexical.weight_table(docs(spark, sf_dir))))
+    columns = ("hay_doc", "context_len", "depth", "needle_span", "needle_spans")
+    return cases.select(*columns, T.token_hashes("tokens").alias("h")).mapInArrow(run, "hay_doc bigint, context_len int, depth double, hit int")
 
 
 _NEEDLES = O.with_(O.base(DESK), O.needles(DESK, "el", LENGTHS, measures.DEPTHS))
@@ -149,18 +142,18 @@ def selections(spark: SparkSession, sf_dir: str, share: float = BUDGET_SHARE, se
     """Token tables of the documents that each method selects, held-out texts apart."""
     rows = desk(spark, sf_dir)
     free = docs(spark, sf_dir).where(~T.is_heldout("text")).select("doc_id")
-    tokens = rows.join(free, "doc_id", "left_semi")
+    tokens = cut(rows.join(free, "doc_id", "left_semi"))
     scored = desk_scores(spark, sf_dir).join(free, "doc_id", "left_semi")
     changed = delta_scores(spark, sf_dir).withColumn("score", F.round("score", 3)).join(free, "doc_id", "left_semi")
     budget = budget_of(tokens, share)
     chosen = {"dependency": select.select_by_domain(scored, budget), "delta": select.select_by_domain(changed, budget)}
     chosen |= {f"random_{s}": select.select_random(tokens.select("doc_id", "domain", "n_tokens"), budget, s) for s in seeds}
-    return {m: tokens.join(c.select("doc_id"), "doc_id", "left_semi") for m, c in chosen.items()}
+    return {m: cut(tokens.join(c.select("doc_id"), "doc_id", "left_semi")) for m, c in chosen.items()}
 
 
 def heldout(spark: SparkSession, sf_dir: str) -> DataFrame:
     texts = docs(spark, sf_dir).where(T.is_heldout("text"))
-    return samples.samples(texts, DESK)
+    return cut(samples.samples(texts, DESK))
 
 
 def perplexities(chosen: dict[str, DataFrame], test: DataFrame, windows: tuple[int, ...] = WINDOWS) -> DataFrame:
@@ -294,11 +287,11 @@ def ablation_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     table, rows = lexical.weight_table(docs(spark, sf_dir)), desk(spark, sf_dir)
     free = docs(spark, sf_dir).where(~T.is_heldout("text")).select("doc_id")
     scored = cut(lexical.score_documents(rows, table, DESK, _ABLATION).join(free, "doc_id", "left_semi"))
-    tokens, test, out = rows.join(free, "doc_id", "left_semi"), heldout(spark, sf_dir), []
+    tokens, test, out = cut(rows.join(free, "doc_id", "left_semi")), heldout(spark, sf_dir), []
     budget = budget_of(scored)
     for v in _ABLATION:
         chosen = select.select_by_domain(scored, budget, f"{v}_4_4")
-        made = perplexities({v: tokens.join(chosen.select("doc_id"), "doc_id", "left_semi")}, test)
+        made = perplexities({v: cut(tokens.join(chosen.select("doc_id"), "doc_id", "left_semi"))}, test)
         out.append(made.select(F.lit(v).alias("variant"), "model", "window_size", "ppl"))
     return union(out)
 
