@@ -31,10 +31,10 @@ def unigram_table(df: DataFrame, alpha: float = 1.0, text: str = "text", mode: s
     try:
         v, total = counts.agg(F.count("*"), F.sum("n")).first()
         folded = v > max_exact
-        rows = (counts.groupBy(F.pmod("h", F.lit(slots)).alias("h")).agg(F.sum("n").alias("n")) if folded else counts).toPandas()
+        rows = (counts.groupBy(F.pmod("h", F.lit(slots)).alias("h")).agg(F.sum("n").alias("n")) if folded else counts).toArrow()
     finally:
         counts.unpersist()
-    h, p = rows["h"].to_numpy(np.int64), (rows["n"].to_numpy(np.float64) + alpha) / ((total or 0) + alpha * (v + 1))
+    h, p = rows["h"].to_numpy().astype(np.int64), (rows["n"].to_numpy().astype(np.float64) + alpha) / ((total or 0) + alpha * (v + 1))
     if folded:
         table = np.full(slots, alpha / (total + alpha * (v + 1)))
         table[h] = p

@@ -119,12 +119,12 @@ def weight_table(df: DataFrame, beta: float = 1.0, text: str = "text", mode: str
         if folded:
             # Signed hashes shifted to unsigned order modulo a power of two keep their low bits.
             counts_by_slot = counts.groupBy(F.pmod("h", F.lit(slots)).alias("h")).agg(F.sum("df").alias("df"))
-            rows = counts_by_slot.toPandas()
+            rows = counts_by_slot.toArrow()
         else:
-            rows = counts.toPandas()
+            rows = counts.toArrow()
     finally:
         counts.unpersist()
-    h, n = rows["h"].to_numpy(np.int64), np.minimum(rows["df"].to_numpy(np.float64), n_docs)
+    h, n = rows["h"].to_numpy().astype(np.int64), np.minimum(rows["df"].to_numpy().astype(np.float64), n_docs)
     w = np.exp(beta * np.log((1 + n_docs) / (1 + n))) - 1
     if folded:
         table = np.zeros(slots)

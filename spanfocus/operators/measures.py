@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType
 
-from spanfocus.functions.text import tokens_of
+from spanfocus.functions.text import token_hashes, tokens_of
 from spanfocus.geometry import Geometry, cost_of
 from spanfocus.operators.ranks import average_rank, global_row_number
 
@@ -21,22 +21,27 @@ def context_lengths(geometry: Geometry, steps: int = 8) -> list[int]:
 
 
 def needle_cases(
-    hay: DataFrame, needles: DataFrame, geometry: Geometry, lengths: Sequence[int] | None = None, depths: Sequence[float] = DEPTHS
+    hay: DataFrame, needles: DataFrame, geometry: Geometry, lengths: Sequence[int] | None = None, depths: Sequence[float] = DEPTHS, hashed: bool = False
 ) -> DataFrame:
     """(hay_doc, needle_id, context_len, depth, needle_span, needle_spans, n_spans, tokens).
 
     Haystacks (doc_id, tokens) and needles (item_id, text) pair up by rank: each haystack gets one needle.
     The needle's whole spans go to span m + floor(depth * room), outside the first m and nearest n spans; the
     last span of the context repeats the needle's first span and asks for it. Cells without room are left out.
+    ``hashed`` gives token hashes instead of tokens: they are made once per text, not once per cell.
     """
     g = geometry
     pins = needles.select("item_id", tokens_of("text").alias("pin")).where(F.size("pin") >= g.span)
+    if hashed:
+        hay, pins = hay.withColumn("tokens", token_hashes("tokens")), pins.withColumn("pin", token_hashes("pin"))
     pins = global_row_number(pins, F.col("item_id"))
     usable = pins.count()
     if not usable:
         raise ValueError("no needle of at least one span")
     ids = global_row_number(hay.select("doc_id"), F.col("doc_id")).withColumn("place", (F.col("place") - 1) % usable + 1)
-    placed = hay.join(ids, "doc_id").join(pins, "place")
+    # Each haystack becomes dozens of cases: adaptive coalescing would judge the rows by their size before that.
+    parts = max(hay.sparkSession.sparkContext.defaultParallelism, hay.rdd.getNumPartitions())
+    placed = hay.join(ids, "doc_id").join(pins, "place").repartition(parts, "doc_id")
     cells = F.array(*(F.struct(F.lit(c).alias("context_len"), F.lit(float(d)).alias("depth")) for c in lengths or context_lengths(g) for d in depths))
     rows = placed.select("doc_id", "item_id", "tokens", "pin", F.explode(cells).alias("cell")).select("*", "cell.*")
     n, k = (F.col("context_len") / g.span).cast("int"), F.floor(F.size("pin") / g.span).cast("int")

@@ -60,7 +60,7 @@ def lexical_hits(spark: SparkSession, sf_dir: str, hay: DataFrame) -> DataFrame:
     g = DESK
     ship_package(spark)
     shared = spark.sparkContext.broadcast(lexical.weight_table(docs(spark, sf_dir)))
-    cases = measures.needle_cases(hay.select("doc_id", "tokens"), read_table(spark, sf_dir, "benchmark"), g)
+    cases = measures.needle_cases(hay.select("doc_id", "tokens"), read_table(spark, sf_dir, "benchmark"), g, hashed=True)
 
     def run(batches):
         for batch in batches:
@@ -74,7 +74,7 @@ def lexical_hits(spark: SparkSession, sf_dir: str, hay: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(hits, pa.int32())], names=["hay_doc", "context_len", "depth", "hit"])
 
     columns = ("hay_doc", "context_len", "depth", "needle_span", "needle_spans")
-    return cases.select(*columns, T.token_hashes("tokens").alias("h")).mapInArrow(run, "hay_doc bigint, context_len int, depth double, hit int")
+    return cases.select(*columns, "tokens").mapInArrow(run, "hay_doc bigint, context_len int, depth double, hit int")
 
 
 _NEEDLES = O.with_(O.base(DESK), O.needles(DESK, "el", LENGTHS, measures.DEPTHS))
