@@ -87,6 +87,20 @@ def test_links_and_components_equal_brute_force(spark):
         assert sorted(map(sorted, groups.values())) == sorted(map(sorted, wanted.values()))
 
 
+def test_cells_that_span_batches(spark):
+    fps = planted(seed=8)
+    key, old = "spark.sql.execution.arrow.maxRecordsPerBatch", spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set(key, 37)
+    try:
+        found, signed = run(spark, fps, block=64)
+    finally:
+        spark.conf.set(key, old)
+    whole, _ = run(spark, fps)
+    assert {x: found.get(x, x) for x in signed} == {x: whole.get(x, x) for x in signed}
+    expected = plain_components(dict(enumerate(fps)))
+    assert len(set(expected.values())) == len({found.get(x, x) for x in signed})
+
+
 def test_long_chain(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(300)] + [(1000, 1001), (5, 5)], "u bigint, v bigint")
     roots = {r.node: r.root for r in N.components(edges).collect()}
