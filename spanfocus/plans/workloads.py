@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from spanfocus.functions import published
 from spanfocus.functions import text as T
 from spanfocus.geometry import Geometry
-from spanfocus.operators import delta, lexical, lm, measures, samples, select, states, trained
+from spanfocus.operators import delta, lexical, lm, measures, relational, samples, select, states, trained
 from spanfocus.operators.focus import VARIANTS
 from spanfocus.plans import oracles as O
 from spanfocus.plans.entry_table import EntryTable
@@ -500,6 +500,36 @@ def label_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(made, "auc", "point_biserial")
 
 
+_CLEAN = """good AS (SELECT doc_id FROM (%s) WHERE NOT (symbol_ratio > 0.2 OR distinct_ratio < 0.1 OR repeated_lines > 0.5))""" % relational._JUNK
+
+
+@TABLE.query(f"""{O.with_(O.scored(DESK), _CLEAN)}, j AS (SELECT round(score, 6) AS s, quality AS y FROM dep JOIN labels USING (doc_id) WHERE doc_id IN (SELECT doc_id FROM good)),
+    k AS (SELECT *, rank() OVER (ORDER BY s) + (count(*) OVER (PARTITION BY s) - 1) / 2 AS r FROM j)
+    SELECT count(*) AS n_docs, sum(y)::BIGINT AS positives,
+        round((sum(r) FILTER (y = 1) - sum(y) * (sum(y) + 1) / 2) / nullif(sum(y) * (count(*) - sum(y)), 0), 6) AS auc, round(corr(s, y::DOUBLE), 6) AS point_biserial FROM k""")
+def label_agreement_cleaned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same over documents that pass the junk filters, which else take the top scores."""
+    good = relational.clean(docs(spark, sf_dir).select("doc_id", "text")).select("doc_id")
+    scored = desk_scores(spark, sf_dir).join(good, "doc_id", "left_semi")
+    return rounded(measures.label_agreement(scored, read_table(spark, sf_dir, "labels")), "auc", "point_biserial")
+
+
+@TABLE.query()
+def perplexity_cleaned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Held-out perplexity of selections made after the junk filters; rows only, the parts have oracles."""
+    good = relational.clean(docs(spark, sf_dir).where(~T.is_heldout("text")).select("doc_id", "text")).select("doc_id")
+    tokens = cut(desk(spark, sf_dir).join(good, "doc_id", "left_semi"))
+    scored, changed = (t.join(good, "doc_id", "left_semi") for t in (desk_scores(spark, sf_dir), delta_scores(spark, sf_dir).withColumn("score", F.round("score", 3))))
+    budget = budget_of(tokens)
+    chosen = {
+        "dependency": select.select_by_domain(scored, budget), "delta": select.select_by_domain(changed, budget),
+        "random_1": select.select_random(tokens.select("doc_id", "domain", "n_tokens"), budget, 1),
+    }
+    texts = docs(spark, sf_dir).where(T.is_heldout("text"))
+    test = cut(samples.samples(relational.clean(texts), DESK))
+    return perplexities({m: cut(tokens.join(c.select("doc_id"), "doc_id", "left_semi")) for m, c in chosen.items()}, test)
+
+
 # Answer scores, on the turns of conversations as answers and their successors as truths.
 
 _TURNS = """t AS (SELECT conv_id, turn, text AS answer, lead(text) OVER (PARTITION BY conv_id ORDER BY turn) AS truth FROM conversations),
