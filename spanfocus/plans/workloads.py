@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from spanfocus.functions import published
 from spanfocus.functions import text as T
-from spanfocus.geometry import Geometry
+from spanfocus.geometry import Geometry, cost_of
 from spanfocus.operators import delta, lexical, lm, measures, relational, samples, select, states, trained
 from spanfocus.operators.focus import VARIANTS
 from spanfocus.plans import oracles as O
@@ -606,9 +606,25 @@ def workload_selections(spark: SparkSession, sf_dir: str) -> DataFrame:
     return union(made).select("method", "domain", "docs", "tokens")
 
 
-def all_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _variants_sql() -> str:
+    ctes, cols, joins = [O.base(DESK)], [], []
+    for a, b in _STRIDES:
+        g, t = DESK.with_strides(a, b), f"{a}{b}"
+        p = O.pairs(g)
+        for n in ("mass", "total", "pf"):
+            p = p.replace(f"{n} AS (", f"{n}{t} AS (").replace(f"FROM {n} ", f"FROM {n}{t} ").replace(f"JOIN {n} ", f"JOIN {n}{t} ")
+        ctes.append(p)
+        for v in VARIANTS:
+            ctes.append(O.span_rows(g, v).replace("sf AS (", f"sf{t}_{v} AS (").replace("FROM pf ", f"FROM pf{t} "))
+            ctes.append(O.dependency(g, v, f"dep{t}_{v}", f"sf{t}_{v}"))
+            cols.append(f"round(d{t}_{v}.score, 6) AS {v}_{a}_{b}")
+            joins.append(f"JOIN dep{t}_{v} d{t}_{v} ON d{t}_{v}.doc_id = el.doc_id")
+    cost = ", ".join(f"{n}::BIGINT AS {c}" for c, n in zip(("rows_used", "pairs_used", "logits"), cost_of(DESK).values(), strict=True))
+    return f"{O.with_(*ctes)} SELECT el.doc_id, el.domain, el.n_tokens, {', '.join(cols)}, {cost} FROM el {' '.join(joins)}"
+
+
+@TABLE.query(_variants_sql())
+def score_all_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every variant and stride setting of every document in one kernel pass."""
-    return lexical.score_documents(desk(spark, sf_dir), lexical.weight_table(docs(spark, sf_dir)), DESK, tuple(VARIANTS), _STRIDES)
-
-
-TABLE.add("score_all_variants", all_variants)
+    made = lexical.score_documents(desk(spark, sf_dir), lexical.weight_table(docs(spark, sf_dir)), DESK, tuple(VARIANTS), _STRIDES)
+    return rounded(made, *(f"{v}_{a}_{b}" for v in VARIANTS for a, b in _STRIDES))
