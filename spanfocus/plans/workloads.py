@@ -21,7 +21,6 @@ from spanfocus.plans.method_queries import (
     BUDGET_SHARE,
     DESK,
     _piece_ctes,
-    _random_order,
     budget_of,
     delta_scores,
     desk,
