@@ -14,8 +14,9 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spanfocus.llm import bpe_codec, language_id, near_copies, source_mixing, toxic_passages
+from spanfocus.llm import bpe_codec, language_id, similar_texts, source_mixing, toxic_passages
 from spanfocus.llm.entries import MIX, MIX_WEIGHTS, with_levels
+from spanfocus.session import cut
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -36,12 +37,14 @@ def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group: the one with the smallest id."""
-    groups = near_copies.near_duplicate_groups(docs)
-    keep = groups.where("doc_id = component_id").groupBy("doc_id").agg(F.count("*").alias("rows"))
-    kept = docs.select(*COLUMNS).join(keep.select("doc_id"), "doc_id", "left_semi")
-    # Only ids that repeat need the texts grouped once more.
-    return kept if keep.where("rows > 1").isEmpty() else kept.dropDuplicates(["doc_id"])
+    """One document of each group of texts that are alike in 5-word shingles (Jaccard 0.8 or more): the smallest id."""
+    groups = similar_texts.similar_text_groups(docs, words=5, least=0.8)
+    first = groups.groupBy("root").agg(F.min(F.struct(F.col("first_id").isNull(), "first_id", "digest")).alias("k")).select("k.first_id", "k.digest").withColumnRenamed("first_id", "doc_id")
+    rows = docs.select(*COLUMNS, similar_texts.text_digest().alias("digest"))
+    keep = cut(rows.select("doc_id", "digest").join(first, ["doc_id", "digest"]).groupBy("doc_id", "digest").agg(F.count("*").alias("rows")))
+    kept = rows.join(keep.select("doc_id", "digest"), ["doc_id", "digest"], "left_semi")
+    # Only rows that repeat need the texts grouped once more.
+    return (kept if keep.where("rows > 1").isEmpty() else kept.dropDuplicates(["doc_id", "digest"])).select(*COLUMNS)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
