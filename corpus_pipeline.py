@@ -37,20 +37,30 @@ def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of texts that are alike in 5-word shingles (Jaccard 0.8 or more): the smallest id."""
+    """One document of each group of texts that are alike in 5-word shingles (Jaccard 0.8 or more): the smallest id.
+
+    A group without any id keeps one document too: that of the smallest text digest. Null ids stay null.
+    """
     groups = similar_texts.similar_text_groups(docs, words=5, least=0.8)
     first = groups.groupBy("root").agg(F.min(F.struct(F.col("first_id").isNull(), "first_id", "digest")).alias("k")).select("k.first_id", "k.digest").withColumnRenamed("first_id", "doc_id")
+    first = first.withColumnsRenamed({"doc_id": "_id", "digest": "_digest"})
+    same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("digest") == F.col("_digest"))
     rows = docs.select(*COLUMNS, similar_texts.text_digest().alias("digest"))
-    keep = cut(rows.select("doc_id", "digest").join(first, ["doc_id", "digest"]).groupBy("doc_id", "digest").agg(F.count("*").alias("rows")))
-    kept = rows.join(keep.select("doc_id", "digest"), ["doc_id", "digest"], "left_semi")
+    keep = cut(rows.select("doc_id", "digest").join(first, same).groupBy("_id", "_digest").agg(F.count("*").alias("rows")))
+    kept = rows.join(keep.select("_id", "_digest"), same, "left_semi")
     # Only rows that repeat need the texts grouped once more.
     return (kept if keep.where("rows > 1").isEmpty() else kept.dropDuplicates(["doc_id", "digest"])).select(*COLUMNS)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents chosen for the target weights; one taken in two passes comes twice."""
-    taken = source_mixing.mix(with_levels(docs.select(*COLUMNS)), weights=MIX_WEIGHTS, **MIX)
-    chosen = docs.select(*COLUMNS).join(taken.select("doc_id", "copies"), "doc_id")
+    """Documents chosen for the target weights; one taken in two passes comes twice.
+
+    A document without an id is drawn and found again by the digest of its text.
+    """
+    named = F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("null:"), F.md5(F.coalesce("text", F.lit("")))))
+    rows = docs.select(*COLUMNS, named.alias("row_key"))
+    taken = source_mixing.mix(with_levels(rows), weights=MIX_WEIGHTS, key="row_key", **MIX)
+    chosen = rows.join(taken.select("row_key", "copies"), "row_key")
     return chosen.withColumn("pass", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*COLUMNS)
 
 
