@@ -53,17 +53,24 @@ def matched_rule(host: Column, path: Column, rules: Sequence[Rule]) -> Column:
 
 
 def host_links(pages: DataFrame, url: str = "url", html: str = "html") -> DataFrame:
-    """(src, dst, links): links between different hosts, counted; links within a host and null pages give none."""
-    found = F.regexp_extract_all(F.col(html), F.lit(r"""(?i)\bhref\s*=\s*["']?([a-z][a-z0-9+.-]*://[^"'\s>]+)"""), 1)
-    edges = pages.select(host_of(F.col(url)).alias("src"), F.explode(found).alias("to")).select("src", host_of(F.col("to")).alias("dst"))
+    """(src, dst, links): links between different hosts, counted; links within a host and null pages give none.
+
+    A link without a scheme (``//host/path``) takes that of its page.
+    """
+    found = F.regexp_extract_all(F.col(html), F.lit(r"""(?i)\bhref\s*=\s*["']?((?:[a-z][a-z0-9+.-]*:)?//[^"'\s>]+)"""), 1)
+    scheme = F.substring_index(F.col(url), "://", 1)
+    edges = pages.select(host_of(F.col(url)).alias("src"), scheme.alias("scheme"), F.explode(found).alias("to"))
+    to = F.when(F.startswith("to", F.lit("//")), F.concat("scheme", F.lit(":"), "to")).otherwise(F.col("to"))
+    edges = edges.select("src", host_of(to).alias("dst"))
     return edges.where("src <> dst and src <> '' and dst <> ''").groupBy("src", "dst").agg(F.count("*").alias("links"))
 
 
-def personalised_rank(edges: DataFrame, seeds: DataFrame, damping: float = 0.85, rounds: int = 10, cut_every: int = 5) -> DataFrame:
+def personalised_rank(edges: DataFrame, seeds: DataFrame, damping: float = 0.85, rounds: int | None = 10, tolerance: float = 1e-6) -> DataFrame:
     """(host, rank): random walk with restarts at ``seeds`` (host, weight) along ``edges`` (src, dst, links).
 
-    Power iteration for a fixed number of rounds. A walk at a host without links restarts. The weights of
-    the seeds are scaled to sum to one. No seeds: an empty result.
+    Power iteration until the ranks of all hosts together change by less than ``tolerance`` and no further
+    host is reached, or for ``rounds`` rounds where given. A walk at a host without links restarts. The
+    weights of the seeds are scaled to sum to one. No seeds: an empty result.
     """
     total = seeds.agg(F.sum("weight")).first()[0]
     if not total:
@@ -75,7 +82,8 @@ def personalised_rank(edges: DataFrame, seeds: DataFrame, damping: float = 0.85,
     rank = start.select("host", F.col("s").alias("rank"))
     if shares.isEmpty():
         return rank
-    for i in range(rounds):
+    reached, done = start.count(), 0
+    while rounds is None or done < rounds:
         moved = (
             shares.join(rank.withColumnRenamed("host", "src"), "src")
             .groupBy(F.col("dst").alias("host"))
@@ -83,19 +91,24 @@ def personalised_rank(edges: DataFrame, seeds: DataFrame, damping: float = 0.85,
         )
         moved = cut(moved)
         kept = float(moved.agg(F.sum("rank")).first()[0] or 0.0)
-        rank = (
+        new = cut(
             moved.unionByName(start.select("host", (F.col("s") * (1 - kept)).alias("rank")))
             .groupBy("host")
             .agg(F.sum("rank").alias("rank"))
         )
-        if (i + 1) % cut_every == 0:
-            rank = cut(rank)
+        was = rank.withColumnRenamed("rank", "was")
+        gap = F.abs(F.coalesce("rank", F.lit(0.0)) - F.coalesce("was", F.lit(0.0)))
+        change, hosts = new.join(was, "host", "full").agg(F.sum(gap), F.count("rank")).first()
+        rank, done = new, done + 1
+        if change < tolerance and hosts == reached:
+            break
+        reached = hosts
     return rank
 
 
 def judge_urls(
     pages: DataFrame, rules: Sequence[Rule], key: str = "page_id", url: str = "url", html: str = "html",
-    threshold: float = 0.5, damping: float = 0.85, rounds: int = 10,
+    threshold: float = 0.5, damping: float = 0.85, rounds: int | None = None,
 ) -> DataFrame:
     """(key, host, path, rule, verdict, trust, distrust) of every row.
 
