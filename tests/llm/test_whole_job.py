@@ -1,5 +1,8 @@
+from pyspark.sql import functions as F
+
 from spanfocus.llm import url_filters as U
 from spanfocus.llm.entries import URL_RULES
+from spanfocus.llm.samples import bounded_sample
 
 
 def test_distrust_reaches_the_end_of_a_long_chain(spark):
@@ -8,3 +11,8 @@ def test_distrust_reaches_the_end_of_a_long_chain(spark):
     rows += [(12, "http://h12.net/1", '<a href="//bad.com/de/x">x</a>'), (13, "http://bad.com/de/x", None), (14, "http://good.org/a", None)]
     made = U.judge_urls(spark.createDataFrame(rows, "page_id bigint, url string, html string"), URL_RULES)
     assert {r.page_id for r in made.where("verdict = 'block'").collect()} == set(range(14))
+
+
+def test_every_class_is_sampled(spark):
+    rows = spark.range(1200).select("id", F.concat(F.lit("l"), (F.col("id") % 300).cast("string")).alias("lang"))
+    assert bounded_sample(rows, "id", "lang", 100).select("lang").distinct().count() == 300
