@@ -2,8 +2,9 @@
 
 Two sets that are alike share one of the first shingles of each in any one order of all shingles. Shingles
 that are common in a bounded sample come last in that order, so few texts meet; the order changes the work,
-never the result. Texts that share such a shingle form a cell. Members are compared with the cell's first
-text, and then, in cells that still hold several components, with every member of another component.
+never the result. Texts that share such a shingle form a cell. With that prefix longer by some, a pair must meet in as
+many cells more, which few unlike texts do. Each text is first compared with the one cell leader it meets most;
+then, in cells that still hold several components, with every member of another component.
 """
 
 from __future__ import annotations
@@ -21,6 +22,8 @@ from spanfocus.session import cut
 
 #: Rows looked at for common shingles, shingles that count as common, and uses of one set in one task.
 SAMPLE, COMMON, USES = 4096, 1 << 16, 256
+#: Cells in which a pair must meet.
+SHARED = 3
 _BLANKS = str.maketrans("\t\n\r", "   ")
 
 
@@ -32,7 +35,7 @@ def shingle_set(text: str, words: int = 5) -> np.ndarray:
 
 
 def prefix_length(n: int, least: float) -> int:
-    return n - math.ceil(least * n - 1e-9) + 1
+    return min(n, n - math.ceil(least * n - 1e-9) + SHARED)
 
 
 def text_digest(text: str = "text") -> Column:
@@ -93,22 +96,31 @@ def similar_text_groups(docs: DataFrame, words: int = 5, least: float = 0.8, key
         F.first("cid").over(in_cell).alias("lead"), F.first("n").over(in_cell).alias("n_lead"),
     )
     cells = cut(cells.where("before IS NOT NULL OR after IS NOT NULL").drop("before", "after"))
-    met = classes.select("digest", "cid").join(cells.select("cid").distinct(), "cid")
-    texts = docs.select("digest", text).join(met, "digest").select("cid", text)
-    sets = map_texts(texts, ["cid"], text, "s array<bigint>", lambda texts: {"s": [shingle_set(t, words) for t in texts]})
-    sets = cut(sets.groupBy("cid").agg(F.first("s").alias("s")))
 
-    fits = lambda small, large: F.least(small, large) >= F.lit(least) * F.greatest(small, large) - 1e-9
+    def fits(small: str, large: str) -> Column:
+        return F.least(small, large) >= F.lit(least) * F.greatest(small, large) - 1e-9
+
+    def enough(one: str, two: str) -> Column:
+        return F.col("met") >= F.least(F.lit(SHARED), F.ceil(F.lit(least) * F.greatest(one, two) - 1e-9))
+
+    def verified(pairs: DataFrame) -> DataFrame:
+        pairs = cut(pairs)
+        used = pairs.select(F.col("a").alias("cid")).union(pairs.select("b")).distinct()
+        texts = docs.select("digest", text).join(classes.select("digest", "cid").join(used, "cid"), "digest").select("cid", text)
+        sets = map_texts(texts, ["cid"], text, "s array<bigint>", lambda texts: {"s": [shingle_set(t, words) for t in texts]})
+        return cut(_alike(pairs, cut(sets.groupBy("cid").agg(F.first("s").alias("s"))), least))
+
     first = cells.where((F.col("cid") != F.col("lead")) & fits("n", "n_lead"))
-    links = cut(_alike(first.select(F.col("cid").alias("a"), F.col("lead").alias("b")).distinct(), sets, least))
+    first = first.groupBy("cid", "lead", "n", "n_lead").agg(F.count("*").alias("met")).where(enough("n", "n_lead"))
+    links = verified(first.groupBy(F.col("cid").alias("a")).agg(F.max_by("lead", F.struct("met", "lead")).alias("b")))
     near = components(links)
     held = cells.join(near.withColumnsRenamed({"node": "cid", "root": "of"}), "cid", "left").withColumn("of", F.coalesce("of", "cid"))
     mixed = held.groupBy("s").agg(F.min("of").alias("x"), F.max("of").alias("y")).where("x <> y").select("s")
     open_cells = cut(held.join(mixed, "s", "left_semi").select("s", "cid", "n", "of"))
     one, two = (open_cells.select("s", *(F.col(c).alias(f"{c}_{t}") for c in ("cid", "n", "of"))) for t in "ab")
     met_again = (F.col("cid_a") < F.col("cid_b")) & (F.col("of_a") != F.col("of_b")) & fits("n_a", "n_b")
-    rest = one.join(two, "s").where(met_again).select(F.col("cid_a").alias("a"), F.col("cid_b").alias("b")).distinct()
-    more = cut(_alike(rest, sets, least))
+    rest = one.join(two, "s").where(met_again).groupBy(F.col("cid_a").alias("a"), F.col("cid_b").alias("b"), "n_a", "n_b").agg(F.count("*").alias("met"))
+    more = verified(rest.where(enough("n_a", "n_b")).select("a", "b"))
     roots = near if more.isEmpty() else components(links.unionByName(more))
     return classes.select("digest", "first_id", "cid").join(roots.withColumnRenamed("node", "cid"), "cid", "left").select(
         "digest", "first_id", F.coalesce("root", "cid").alias("root")
