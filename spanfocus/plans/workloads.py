@@ -115,15 +115,16 @@ def workload_needles_by_piece(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @TABLE.query()
 def workload_needles_by_method(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Retrieval by calculators trained on each method's selection, and by the lexical one; rows only."""
+    """Retrieval by calculators trained on each method's whole selection, and by the lexical one; rows only."""
     scored, out = selections(spark, sf_dir), []
-    cases = cut(measures.needle_cases(desk(spark, sf_dir).select("doc_id", "tokens"), read_table(spark, sf_dir, "benchmark"), DESK, lengths=LENGTHS[1::2]))
+    cases = cut(measures.needle_cases(desk(spark, sf_dir).select("doc_id", "tokens"), read_table(spark, sf_dir, "benchmark"), DESK, lengths=LENGTHS))
     cases = cases.withColumn("n_spans", F.col("n_spans").cast("int"))
     for method, selection in scored.items():
         rows = selection.select("doc_id", "tokens")
-        model = trained.train_calculator(samples.training_sequences(rows, 128, 12_800))
+        whole = cut(samples.training_sequences(rows, DESK.length, DESK.length * rows.count()))
+        model = trained.train_calculator(whole, distributed=True)
         parts = []
-        for n in LENGTHS[1::2]:
+        for n in LENGTHS:
             g = Geometry(n, DESK.span, DESK.skip_first, DESK.skip_near, 1, 1, n // DESK.span - 1)
             some = cases.where(F.col("context_len") == n).withColumn("case_id", F.concat_ws(":", "hay_doc", "depth"))
             found = states.focus_with_model(some.select("case_id", "tokens"), model, g, key="case_id")
