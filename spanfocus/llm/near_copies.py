@@ -10,7 +10,7 @@ leaves a block. Components come from alternating star contraction over those lin
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -28,24 +28,34 @@ BLOCK = 2048
 _HASHES = 65_536
 
 
-def fingerprint(text: str, words: int = 3, seed: int = 42) -> int:
-    """SimHash of a whole text over its word shingles, repeats included; zero for a text without words."""
+def shingle_hashes(text: str, words: int = 3, seed: int = 42) -> np.ndarray:
+    """XXH64 of every word shingle of a whole text, repeats included; a shorter text is one shingle, one without words none."""
     parts = text.encode().lower().split()
     if not parts:
-        return 0
+        return np.zeros(0, np.uint64)
     ends, at = [], -1
     for p in parts:
         at += len(p) + 1
         ends.append(at)
-    line, n = b" ".join(parts), max(1, len(parts) - words + 1)
+    line, n, digest = b" ".join(parts), max(1, len(parts) - words + 1), xxhash.xxh64_intdigest
     if len(parts) <= words:
-        return xxhash.xxh64_intdigest(line, seed)
+        return np.array([digest(line, seed)], np.uint64)
     starts = [0, *(e + 1 for e in ends[: n - 1])]
-    stops, set_bits, digest = ends[words - 1 :], np.zeros(64, np.int64), xxhash.xxh64_intdigest
-    for a in range(0, n, _HASHES):
-        h = np.array([digest(line[s:e], seed) for s, e in zip(starts[a : a + _HASHES], stops[a : a + _HASHES], strict=True)], ">u8")
-        set_bits += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
-    return int.from_bytes(np.packbits(2 * set_bits > n).tobytes(), "big")
+    return np.fromiter((digest(line[s:e], seed) for s, e in zip(starts, ends[words - 1 :], strict=True)), np.uint64, n)
+
+
+def majority_bits(h: np.ndarray) -> int:
+    """The number whose bits are those set in over half of the hashes; zero for none."""
+    set_bits = np.zeros(64, np.int64)
+    for a in range(0, h.size, _HASHES):
+        some = h[a : a + _HASHES].astype(">u8")
+        set_bits += np.unpackbits(some.view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
+    return int.from_bytes(np.packbits(2 * set_bits > h.size).tobytes(), "big")
+
+
+def fingerprint(text: str, words: int = 3, seed: int = 42) -> int:
+    """SimHash of a whole text over its word shingles, repeats included; zero for a text without words."""
+    return majority_bits(shingle_hashes(text, words, seed))
 
 
 def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -92,8 +102,11 @@ def anchors_of(half: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def place_at_anchors(fps: DataFrame) -> DataFrame:
-    """(half, anchor, is_home, fp): each distinct fingerprint at its home and near anchors, for both halves."""
-    schema = StructType.fromDDL("half int, anchor bigint, is_home boolean, fp bigint")
+    """(cell, is_home, fp): each distinct fingerprint at its home and near anchors, for both halves.
+
+    A cell is an anchor of 32 bits; those of the upper half lie above the others.
+    """
+    schema = StructType.fromDDL("cell bigint, is_home boolean, fp bigint")
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
@@ -105,8 +118,7 @@ def place_at_anchors(fps: DataFrame) -> DataFrame:
                     row, col = np.nonzero(near != home[:, None])
                     yield pd.DataFrame(
                         {
-                            "half": np.int32(half),
-                            "anchor": np.concatenate([home, near[row, col]]).astype(np.int64),
+                            "cell": np.concatenate([home, near[row, col]]).astype(np.int64) | half << 32,
                             "is_home": np.arange(len(fp) + len(row)) < len(fp),
                             "fp": np.concatenate([fp, fp[row]]),
                         }
@@ -116,74 +128,93 @@ def place_at_anchors(fps: DataFrame) -> DataFrame:
     return fps.select("fp").mapInPandas(run, schema)
 
 
-def _forest(home: np.ndarray, other: np.ndarray, threshold: int) -> tuple[list[int], list[int]]:
-    """Links between members at home and all members, reduced to a spanning forest: (member, root) lists."""
-    members = np.unique(np.concatenate([home, other]))
-    spot_home, spot_all = np.searchsorted(members, home), np.searchsorted(members, np.concatenate([home, other]))
-    parent = list(range(len(members)))
+class Forest:
+    """Union-find over the members of a cell: keeps the links that join something."""
 
-    def root(i: int) -> int:
+    def __init__(self, n: int) -> None:
+        self.parent = list(range(n))
+
+    def root(self, i: int) -> int:
+        parent = self.parent
         while parent[i] != i:
             parent[i] = parent[parent[i]]
             i = parent[i]
         return i
 
-    every = members[spot_all].view(np.uint64)
-    for i in spot_home.tolist():
-        near = np.bitwise_count(every ^ members[i : i + 1].view(np.uint64)) <= threshold
-        for j in spot_all[near].tolist():
-            a, b = root(i), root(j)
-            if a != b:
-                parent[max(a, b)] = min(a, b)
-    joined = [(i, root(i)) for i in range(len(members)) if root(i) != i]
-    return [int(members[i]) for i, _ in joined], [int(members[r]) for _, r in joined]
+    def join(self, i: int, j: int) -> None:
+        a, b = self.root(i), self.root(j)
+        if a != b:
+            self.parent[max(a, b)] = min(a, b)
 
+    def links(self) -> tuple[np.ndarray, np.ndarray]:
+        """Places of the joined members and of their roots."""
+        joined = [(i, r) for i in range(len(self.parent)) if (r := self.root(i)) != i]
+        pairs = np.array(joined, np.int64).reshape(-1, 2)
+        return pairs[:, 0], pairs[:, 1]
+
+
+#: Which of many members (columns of arrays) are linked to one of them.
+Linked = Callable[[list[np.ndarray], list], np.ndarray]
+
+
+def _cell_links(columns: list[np.ndarray], is_home: np.ndarray, linked: Linked) -> tuple[np.ndarray, np.ndarray]:
+    """Links between members at home and all members, reduced to a spanning forest, as values of the first column."""
+    nodes, spot = np.unique(columns[0], return_inverse=True)
+    forest, places = Forest(len(nodes)), spot.tolist()
+    for i in np.flatnonzero(is_home).tolist():
+        for j in np.flatnonzero(linked(columns, [c[i] for c in columns])).tolist():
+            forest.join(places[i], places[j])
+    u, v = forest.links()
+    return nodes[u], nodes[v]
 
-def links(fps: DataFrame, threshold: int = THRESHOLD, block: int = BLOCK) -> DataFrame:
-    """(u, v): links between distinct fingerprints, reduced per block to a spanning forest.
 
-    ``fps`` has one row for each distinct fingerprint. Anchors with more than ``block`` members are dealt
-    out as block pairs, every home block against every block, so no task holds more than two blocks.
+def differing_bits(fps: np.ndarray, fp: int) -> np.ndarray:
+    return np.bitwise_count((fps ^ fp).view(np.uint64))
+
+
+def links_in_cells(at: DataFrame, linked: Linked, block: int = BLOCK) -> DataFrame:
+    """(u, v): links between members of the same cell, reduced per block to a spanning forest.
+
+    ``at`` has (cell, is_home, node, further columns): members at home are compared with all. Cells of more
+    than ``block`` members are dealt out as block pairs, every home block against every block, so no task
+    holds more than two blocks. Repeated rows change nothing.
     """
-    if threshold > 3:
-        raise ValueError("the halves' anchors cover thresholds up to 3")
-    at = place_at_anchors(fps)  # cheap to compute twice, large to keep
-    sizes = at.groupBy("half", "anchor").agg(F.count("*").alias("n"), F.sum(F.col("is_home").cast("int")).alias("homes"))
-    # An anchor without a home, or with nothing beside one, has nothing to compare.
-    parts = F.ceil(F.col("n") / block).cast("int")
-    sizes = sizes.where((F.col("homes") > 0) & (F.col("n") > 1)).select("half", "anchor", parts.alias("parts"))
-    own = F.pmod(F.xxhash64("fp"), F.col("parts")).cast("int")
-    all_parts = F.sequence(F.lit(0), F.col("parts") - 1)
+    payload = [c for c in at.columns if c not in ("cell", "is_home")]
+    sizes = at.groupBy("cell").agg(F.count("*").alias("n_"), F.sum(F.col("is_home").cast("int")).alias("homes_"))
+    # A cell without a home, or with nothing beside one, has nothing to compare.
+    parts = F.ceil(F.col("n_") / block).cast("int")
+    sizes = sizes.where((F.col("homes_") > 0) & (F.col("n_") > 1)).select("cell", parts.alias("parts_"))
+    own = F.pmod(F.xxhash64(payload[0]), F.col("parts_")).cast("int")
+    all_parts = F.sequence(F.lit(0), F.col("parts_") - 1)
     single = F.array(F.struct(F.lit(0).alias("i"), F.lit(0).alias("j"), F.col("is_home").alias("as_home")))
     as_home = F.transform(all_parts, lambda j: F.struct(own.alias("i"), j.alias("j"), F.lit(True).alias("as_home")))
     as_other = F.transform(all_parts, lambda i: F.struct(i.alias("i"), own.alias("j"), F.lit(False).alias("as_home")))
     many = F.when(F.col("is_home"), F.concat(as_home, as_other)).otherwise(as_other)
     dealt = (
-        at.join(sizes, ["half", "anchor"])
-        .select("half", "anchor", "fp", F.explode(F.when(F.col("parts") == 1, single).otherwise(many)).alias("d"))
-        .select(F.xxhash64("half", "anchor", "d.i", "d.j").alias("cell"), "half", "anchor", "fp", "d.i", "d.j", "d.as_home")
+        at.join(sizes, "cell")
+        .select("cell", *payload, F.explode(F.when(F.col("parts_") == 1, single).otherwise(many)).alias("d"))
+        .select(F.xxhash64("cell", "d.i", "d.j").alias("pair"), "cell", "d.i", "d.j", "d.as_home", *payload)
     )
 
-    def compare(cells: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def compare(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         """Cells arrive sorted, rows of a cell together; a cell may span two Arrow batches."""
         held: list[pd.DataFrame] = []
-        names = ["cell", "half", "anchor", "i", "j"]
+        names = ["pair", "cell", "i", "j"]
 
         def settled(frame: pd.DataFrame) -> pd.DataFrame:
             cols = [frame[n].to_numpy() for n in names]
             new = np.ones(len(frame), bool)
             new[1:] = np.any([c[1:] != c[:-1] for c in cols], axis=0)
             starts = [*np.flatnonzero(new).tolist(), len(frame)]
-            fp, is_home, us, vs = frame["fp"].to_numpy(np.int64), frame["as_home"].to_numpy(bool), [], []
+            data, is_home, us, vs = [frame[n].to_numpy() for n in payload], frame["as_home"].to_numpy(bool), [], []
             for a, b in zip(starts, starts[1:], strict=False):
-                home = fp[a:b][is_home[a:b]]
-                if len(home) and b - a > 1:
-                    u, v = _forest(home, fp[a:b][~is_home[a:b]], threshold)
-                    us += u
-                    vs += v
-            return pd.DataFrame({"u": np.array(us, np.int64), "v": np.array(vs, np.int64)})
-
-        for frame in cells:
+                if b - a > 1 and is_home[a:b].any():
+                    u, v = _cell_links([c[a:b] for c in data], is_home[a:b], linked)
+                    us.append(u)
+                    vs.append(v)
+            return pd.DataFrame({"u": np.concatenate([np.zeros(0, np.int64), *us]), "v": np.concatenate([np.zeros(0, np.int64), *vs])})
+
+        for frame in frames:
             if not len(frame):
                 continue
             last = frame[names].iloc[-1]
@@ -196,8 +227,23 @@ def links(fps: DataFrame, threshold: int = THRESHOLD, block: int = BLOCK) -> Dat
         if held:
             yield settled(pd.concat(held))
 
-    cols = ["cell", "half", "anchor", "i", "j"]
-    return dealt.repartition("cell").sortWithinPartitions(*cols).mapInPandas(compare, "u bigint, v bigint").distinct()
+    ship_package(at.sparkSession)
+    cols = ["pair", "cell", "i", "j"]
+    return dealt.repartition("pair").sortWithinPartitions(*cols).mapInPandas(compare, "u bigint, v bigint").distinct()
+
+
+def links(fps: DataFrame, threshold: int = THRESHOLD, block: int = BLOCK) -> DataFrame:
+    """(u, v): links between distinct fingerprints that differ in ``threshold`` bits or fewer, as forests.
+
+    ``fps`` has one row for each distinct fingerprint.
+    """
+    if threshold > 3:
+        raise ValueError("the halves' anchors cover thresholds up to 3")
+
+    def linked(columns: list[np.ndarray], one: list) -> np.ndarray:
+        return differing_bits(columns[0], one[0]) <= threshold
+
+    return links_in_cells(place_at_anchors(fps), linked, block)  # cheap to place twice, large to keep
 
 
 def components(edges: DataFrame, rounds: int = 50) -> DataFrame:

@@ -1,127 +1,156 @@
-"""Groups of texts whose sets of word shingles are alike: exact Jaccard similarity by prefix filter.
-
-Two sets that are alike share one of the first shingles of each in any one order of all shingles. Shingles
-that are common in a bounded sample come last in that order, so few texts meet; the order changes the work,
-never the result. Texts that share such a shingle form a cell. With that prefix longer by some, a pair must meet in as
-many cells more, which few unlike texts do. Each text is first compared with the one cell leader it meets most;
-then, in cells that still hold several components, with every member of another component.
+"""Groups of texts whose five-word shingles are alike: SimHash finds the neighbourhoods, exact Jaccard decides.
+
+Three bits of 64 catch few of the pairs with a similarity of 0.8 (there, about ten bits differ), and no
+covering code over 64 bits reaches that far. So fingerprints also meet at anchors taken from the text: the
+smallest shingle hashes of each. At such an anchor, as at the anchors of the covering code, fingerprints
+are compared in blocks of bounded size, here up to ``NEAR_BITS`` differing bits, and a spanning forest of
+the links leaves the block. The components are neighbourhoods. Inside each, whole shingle sets are
+compared block by block, exactly, and again only a forest of the links leaves a block.
 """
 
 from __future__ import annotations
 
-import math
+from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import xxhash
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from spanfocus.llm.arrow_rows import map_texts
-from spanfocus.llm.near_copies import components
+from spanfocus.llm.near_copies import Forest, components, differing_bits, links, links_in_cells, majority_bits, shingle_hashes
 from spanfocus.session import cut
 
-#: Rows looked at for common shingles, shingles that count as common, and uses of one set in one task.
-SAMPLE, COMMON, USES = 4096, 1 << 16, 256
-#: Cells in which a pair must meet.
-SHARED = 3
-_BLANKS = str.maketrans("\t\n\r", "   ")
-
-
-def shingle_set(text: str, words: int = 5) -> np.ndarray:
-    """Sorted distinct hashes of the word shingles; a shorter text is one shingle, as is an empty one."""
-    parts = [p for p in text.lower().translate(_BLANKS).split(" ") if p]
-    made = [xxhash.xxh64_intdigest(" ".join(parts[i : i + words])) for i in range(max(1, len(parts) - words + 1))]
-    return np.unique(np.array(made, np.uint64)).view(np.int64)
+#: Fingerprints and whole sets of one block.
+BLOCK_PRINTS, BLOCK_SETS = 16_384, 512
+#: Smallest shingle hashes of a text that are its anchors. Two texts of similarity 0.8 share none of them with
+#: probability 0.2 ** ANCHORS.
+ANCHORS = 8
+#: Differing bits up to which fingerprints are neighbours. At similarity 0.8 the mean is 9.7, the deviation 2.9.
+NEAR_BITS = 18
+#: Texts of up to so many shingles are neighbours whatever their fingerprints: few shingles make noisy bits.
+FEW = 20
+_COLUMNS = 4096
 
 
-def prefix_length(n: int, least: float) -> int:
-    return min(n, n - math.ceil(least * n - 1e-9) + SHARED)
+def shingle_set(h: np.ndarray) -> np.ndarray:
+    """Distinct shingle hashes, ascending; a text without words has the one shingle of an empty text."""
+    return np.unique(h if h.size else np.array([xxhash.xxh64_intdigest(b"")], np.uint64)).view(np.int64)
 
 
 def text_digest(text: str = "text") -> Column:
     return F.unhex(F.md5(F.coalesce(F.col(text), F.lit(""))))
 
 
-def _common_shingles(docs: DataFrame, text: str, words: int) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes, ascending, and counts of shingles that several texts of a sample have."""
-    some = docs.where(F.pmod(F.xxhash64("digest"), F.lit(max(1, docs.count()))) < SAMPLE)
-    sets = map_texts(some, ["digest"], text, "s array<bigint>", lambda texts: {"s": [shingle_set(t, words) for t in texts]})
-    counts = sets.select(F.explode("s").alias("s")).groupBy("s").count().where("count > 2")
-    found = counts.orderBy(F.desc("count"), "s").limit(COMMON).toArrow()
-    s, n = (found.column(c).to_numpy().astype(np.int64) for c in ("s", "count"))
-    order = np.argsort(s)
-    return s[order], n[order]
-
-
-def _rarest_first(s: np.ndarray, common: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
-    known, counts = common
-    if not len(known):
-        return s
-    at = np.minimum(np.searchsorted(known, s), len(known) - 1)
-    return s[np.lexsort((s, np.where(known[at] == s, counts[at], 0)))]
-
-
-def _alike(pairs: DataFrame, sets: DataFrame, least: float) -> DataFrame:
-    """Those of the pairs (a, b) whose sets reach the similarity; a set that many pairs use is dealt out."""
-    for side, other in (("a", "b"), ("b", "a")):
-        uses = pairs.groupBy(side).agg(F.ceil(F.count("*") / USES).cast("int").alias("parts"))
-        given = sets.withColumnRenamed("cid", side).join(uses, side).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-        asked = pairs.join(uses, side).withColumn("part", F.pmod(F.xxhash64(other), F.col("parts")).cast("int")).drop("parts")
-        pairs = asked.join(given.select(side, "part", F.col("s").alias(f"s_{side}")), [side, "part"]).drop("part")
-    shared = F.size(F.array_intersect("s_a", "s_b"))
-    full = pairs.withColumn("shared", shared).withColumn("all", F.size("s_a") + F.size("s_b") - F.col("shared"))
-    return full.where(F.col("shared") >= F.lit(least) * F.col("all") - 1e-9).select(F.col("a").alias("u"), F.col("b").alias("v"))
+def neighbours(classes: DataFrame, least: float) -> DataFrame:
+    """(u, v): forest of links between distinct fingerprints that meet at an anchor of either kind."""
+    fps = classes.select("fp").distinct()
+    cells = classes.select(F.explode("anchors").alias("cell"), F.lit(True).alias("is_home"), "fp", "n").distinct()
+
+    def linked(columns: list[np.ndarray], one: list) -> np.ndarray:
+        (fps, n), (fp, size) = columns, one
+        small, large = np.minimum(n, size), np.maximum(n, size)
+        return (small >= least * large - 1e-9) & ((large <= FEW) | (differing_bits(fps, fp) <= NEAR_BITS))
+
+    return links(fps).unionByName(links_in_cells(cells, linked, BLOCK_PRINTS))
+
+
+def shared_counts(sets: list[np.ndarray]) -> np.ndarray:
+    """Sizes of the pairwise intersections of sets, by products of their indicator matrices, some columns at a time."""
+    owner = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+    _, column, uses = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    place = np.cumsum(uses > 1) - 1
+    shared = uses[column] > 1
+    owner, column = owner[shared], place[column[shared]]
+    order = np.argsort(column, kind="stable")
+    owner, column = owner[order], column[order]
+    out = np.zeros((len(sets), len(sets)), np.float32)
+    width = int(column[-1]) + 1 if column.size else 0
+    for a in range(0, width, _COLUMNS):
+        x, y = np.searchsorted(column, [a, a + _COLUMNS])
+        held = np.zeros((len(sets), min(_COLUMNS, width - a)), np.float32)
+        held[owner[x:y], column[x:y] - a] = 1
+        out += held @ held.T
+    out[np.diag_indices(len(sets))] = [len(s) for s in sets]
+    return out
+
+
+def _alike(cids: np.ndarray, sets: list[np.ndarray], least: float) -> tuple[np.ndarray, np.ndarray]:
+    """Forest of the pairs of sets whose Jaccard similarity is at least ``least``, as (cid, cid)."""
+    sizes = np.array([len(s) for s in sets], np.float64)
+    both = shared_counts(sets)
+    alike = both >= least * (sizes[:, None] + sizes[None, :] - both) - 1e-9
+    forest = Forest(len(cids))
+    for i, j in zip(*(x.tolist() for x in np.nonzero(np.triu(alike, 1))), strict=True):
+        forest.join(i, j)
+    u, v = forest.links()
+    return cids[u], cids[v]
+
+
+def _verified(dealt: DataFrame, least: float) -> DataFrame:
+    """(u, v) of rows (pair, cluster, i, j, cid, s): all sets with equal first columns are compared."""
+    keys = ["pair", "cluster", "i", "j"]
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        now, cids, sets = None, [], []
+
+        def settled() -> pd.DataFrame:
+            u, v = _alike(np.array(cids, np.int64), sets, least)
+            return pd.DataFrame({"u": u, "v": v})
+
+        for frame in frames:
+            for *at, cid, s in zip(*(frame[k].tolist() for k in keys), frame["cid"].tolist(), frame["s"], strict=True):
+                if at != now:
+                    if len(cids) > 1:
+                        yield settled()
+                    now, cids, sets = at, [], []
+                cids.append(cid)
+                sets.append(np.asarray(s, np.int64))
+        if len(cids) > 1:
+            yield settled()
+
+    return dealt.repartition("pair").sortWithinPartitions(*keys).mapInPandas(run, "u bigint, v bigint").distinct()
 
 
 def similar_text_groups(docs: DataFrame, words: int = 5, least: float = 0.8, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(digest, first_id, root): every distinct text with its smallest id and its component.
 
-    Links are all pairs of distinct texts with a Jaccard similarity of at least ``least``; components are
-    closed over them. Null and empty texts are alike. ``first_id`` is null where no row of the text has an id.
+    Links are pairs of distinct texts with a Jaccard similarity of at least ``least``, compared in full where
+    their fingerprints are neighbours; components are closed over them. Null and empty texts are alike.
+    ``first_id`` is null where no row of the text has an id. An empty table gives an empty result.
     """
     docs = docs.select(key, text, text_digest(text).alias("digest"))
-    shared_order = docs.sparkSession.sparkContext.broadcast(_common_shingles(docs, text, words))
-
-    def prefixes(texts: list[str]) -> dict[str, list]:
-        sets = [shingle_set(t, words) for t in texts]
-        return {"n": [len(s) for s in sets], "p": [_rarest_first(s, shared_order.value)[: prefix_length(len(s), least)] for s in sets]}
 
-    rows = map_texts(docs, [key, "digest"], text, "n int, p array<bigint>", prefixes)
-    classes = rows.groupBy("digest").agg(F.min(key).alias("first_id"), F.first("n").alias("n"), F.first("p").alias("p"))
+    def sketched(texts: list[str]) -> dict[str, list]:
+        out: dict[str, list] = {"fp": [], "n": [], "anchors": []}
+        for t in texts:
+            h = shingle_hashes(t, words)
+            s = shingle_set(h)
+            out["fp"].append(majority_bits(h))
+            out["n"].append(len(s))
+            out["anchors"].append(s[:ANCHORS])
+        return out | {"fp": np.array(out["fp"], np.uint64).view(np.int64)}
+
+    rows = map_texts(docs, [key, "digest"], text, "fp bigint, n int, anchors array<bigint>", sketched)
+    classes = rows.groupBy("digest").agg(F.min(key).alias("first_id"), *(F.first(c).alias(c) for c in ("fp", "n", "anchors")))
     classes = cut(classes.withColumn("cid", F.monotonically_increasing_id()))
-    in_cell = Window.partitionBy("s").orderBy("n", "cid")
-    cells = classes.select(F.explode("p").alias("s"), "cid", "n")
-    cells = cells.select(
-        "s", "cid", "n", F.lag("cid").over(in_cell).alias("before"), F.lead("cid").over(in_cell).alias("after"),
-        F.first("cid").over(in_cell).alias("lead"), F.first("n").over(in_cell).alias("n_lead"),
-    )
-    cells = cut(cells.where("before IS NOT NULL OR after IS NOT NULL").drop("before", "after"))
-
-    def fits(small: str, large: str) -> Column:
-        return F.least(small, large) >= F.lit(least) * F.greatest(small, large) - 1e-9
-
-    def enough(one: str, two: str) -> Column:
-        return F.col("met") >= F.least(F.lit(SHARED), F.ceil(F.lit(least) * F.greatest(one, two) - 1e-9))
-
-    def verified(pairs: DataFrame) -> DataFrame:
-        pairs = cut(pairs)
-        used = pairs.select(F.col("a").alias("cid")).union(pairs.select("b")).distinct()
-        texts = docs.select("digest", text).join(classes.select("digest", "cid").join(used, "cid"), "digest").select("cid", text)
-        sets = map_texts(texts, ["cid"], text, "s array<bigint>", lambda texts: {"s": [shingle_set(t, words) for t in texts]})
-        return cut(_alike(pairs, cut(sets.groupBy("cid").agg(F.first("s").alias("s"))), least))
-
-    first = cells.where((F.col("cid") != F.col("lead")) & fits("n", "n_lead"))
-    first = first.groupBy("cid", "lead", "n", "n_lead").agg(F.count("*").alias("met")).where(enough("n", "n_lead"))
-    links = verified(first.groupBy(F.col("cid").alias("a")).agg(F.max_by("lead", F.struct("met", "lead")).alias("b")))
-    near = components(links)
-    held = cells.join(near.withColumnsRenamed({"node": "cid", "root": "of"}), "cid", "left").withColumn("of", F.coalesce("of", "cid"))
-    mixed = held.groupBy("s").agg(F.min("of").alias("x"), F.max("of").alias("y")).where("x <> y").select("s")
-    open_cells = cut(held.join(mixed, "s", "left_semi").select("s", "cid", "n", "of"))
-    one, two = (open_cells.select("s", *(F.col(c).alias(f"{c}_{t}") for c in ("cid", "n", "of"))) for t in "ab")
-    met_again = (F.col("cid_a") < F.col("cid_b")) & (F.col("of_a") != F.col("of_b")) & fits("n_a", "n_b")
-    rest = one.join(two, "s").where(met_again).groupBy(F.col("cid_a").alias("a"), F.col("cid_b").alias("b"), "n_a", "n_b").agg(F.count("*").alias("met"))
-    more = verified(rest.where(enough("n_a", "n_b")).select("a", "b"))
-    roots = near if more.isEmpty() else components(links.unionByName(more))
+    near = components(neighbours(classes, least)).withColumnsRenamed({"node": "fp", "root": "cluster"})
+    held = classes.drop("anchors").join(near, "fp", "left").withColumn("cluster", F.coalesce("cluster", "fp"))
+    sizes = held.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK_SETS).cast("int").alias("parts"), F.count("*").alias("of"))
+    members = cut(held.join(sizes.where("of > 1").drop("of"), "cluster"))
+    same = F.col("digest").eqNullSafe(F.col("_digest")) & F.col(key).eqNullSafe(F.col("_id"))
+    asked = members.select("cid", "cluster", "parts", F.col("digest").alias("_digest"), F.col("first_id").alias("_id"))
+    found = docs.join(asked, same).select("cid", "cluster", "parts", text)
+    sets = map_texts(
+        found, ["cid", "cluster", "parts"], text, "s array<bigint>", lambda texts: {"s": [shingle_set(shingle_hashes(t, words)) for t in texts]}
+    )
+    own = F.pmod(F.xxhash64("cid"), F.col("parts")).cast("int")
+    blocks = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda k: F.struct(F.least(own, k).alias("i"), F.greatest(own, k).alias("j")))
+    dealt = sets.select("cluster", "cid", "s", F.explode(blocks).alias("b")).select(
+        F.xxhash64("cluster", "b.i", "b.j").alias("pair"), "cluster", "b.i", "b.j", "cid", "s"
+    )
+    roots = components(_verified(dealt, least))
     return classes.select("digest", "first_id", "cid").join(roots.withColumnRenamed("node", "cid"), "cid", "left").select(
         "digest", "first_id", F.coalesce("root", "cid").alias("root")
     )

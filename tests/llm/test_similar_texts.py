@@ -1,5 +1,7 @@
 import random
 
+import numpy as np
+
 import corpus_pipeline as P
 from spanfocus.llm import similar_texts as S
 from tests.llm.fixtures import no_docs
@@ -51,9 +53,9 @@ def test_groups_equal_brute_force(spark, monkeypatch):
     wanted = {}
     for t, r in zip(texts, plain_roots(texts), strict=True):
         wanted.setdefault(r, set()).add(t or "")
-    for uses, sample in ((S.USES, S.SAMPLE), (2, 0)):
-        monkeypatch.setattr(S, "USES", uses)
-        monkeypatch.setattr(S, "SAMPLE", sample)
+    for prints, sets in ((S.BLOCK_PRINTS, S.BLOCK_SETS), (5, 3)):
+        monkeypatch.setattr(S, "BLOCK_PRINTS", prints)
+        monkeypatch.setattr(S, "BLOCK_SETS", sets)
         groups, names = {}, {i: t or "" for i, t in enumerate(texts)}
         for r in S.similar_text_groups(docs).collect():
             groups.setdefault(r.root, set()).add(names[r.first_id])
@@ -61,6 +63,13 @@ def test_groups_equal_brute_force(spark, monkeypatch):
     assert S.similar_text_groups(no_docs(spark)).count() == 0
 
 
+def test_intersections_by_columns(monkeypatch):
+    rng = np.random.default_rng(5)
+    sets = [np.unique(rng.integers(0, 300, n)) for n in (1, 40, 90, 90, 200, 3)]
+    monkeypatch.setattr(S, "_COLUMNS", 7)
+    assert S.shared_counts(sets).tolist() == [[len(np.intersect1d(a, b)) for b in sets] for a in sets]
+
+
 def test_stage_drops_copies_beyond_three_bits(spark, sf):
     texts = planted()
     docs = spark.createDataFrame([(i, t, "en", "src0", 1) for i, t in enumerate(texts)], KINDS)
