@@ -97,7 +97,7 @@ def op9_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def with_levels(docs: DataFrame) -> DataFrame:
-    """Adds the domain of a source and the token count of a text."""
+    """Adds the domain of a source and the token count of a text; columns ``domain`` and ``n_tokens`` of the input give way."""
     number = F.regexp_extract("source", "^src([0-9]{1,2})$", 1)
     domain = F.when(F.coalesce(number, F.lit("")) != "", F.concat(F.lit("d"), F.floor(number.cast("int") / 5).cast("string")))
     return docs.withColumn("domain", F.coalesce(domain, F.lit("other"))).withColumn("n_tokens", source_mixing.word_count("text"))
@@ -155,15 +155,17 @@ def _mixing_sql() -> str:
         FROM documents
     ),
     leaves AS (SELECT domain, lang, source, sum(n_tokens)::BIGINT AS tokens FROM docs GROUP BY ALL),
-    n1 AS (SELECT domain, sum(tokens)::DOUBLE * {epochs} AS capacity, {_weights_sql("domain")} AS weight,
-        (SELECT sum(tokens) FROM leaves)::DOUBLE * {share!r}::DOUBLE AS budget FROM leaves GROUP BY domain),
+    can_source AS (SELECT *, CASE WHEN {_weights_sql("source")} > 0 THEN tokens::DOUBLE * {epochs} ELSE 0 END AS can FROM leaves),
+    can_lang AS (SELECT domain, lang, CASE WHEN {_weights_sql("lang")} > 0 THEN sum(can) ELSE 0 END AS can FROM can_source GROUP BY domain, lang),
+    can_domain AS (SELECT domain, CASE WHEN {_weights_sql("domain")} > 0 THEN sum(can) ELSE 0 END AS can FROM can_lang GROUP BY domain),
+    n1 AS (SELECT domain, can AS capacity, {_weights_sql("domain")} AS weight,
+        (SELECT sum(tokens) FROM leaves)::DOUBLE * {share!r}::DOUBLE AS budget FROM can_domain),
     f1 AS (SELECT * FROM {_fill_sql("n1", "", "domain")}),
-    n2 AS (SELECT l.domain, l.lang, sum(tokens)::DOUBLE * {epochs} AS capacity, {_weights_sql("lang")} AS weight,
-        any_value(f1.share) AS budget FROM leaves l JOIN f1 USING (domain) GROUP BY l.domain, l.lang),
+    n2 AS (SELECT l.domain, l.lang, l.can AS capacity, {_weights_sql("lang")} AS weight,
+        f1.share AS budget FROM can_lang l JOIN f1 USING (domain)),
     f2 AS (SELECT * FROM {_fill_sql("n2", "domain", "lang")}),
-    n3 AS (SELECT l.domain, l.lang, l.source, sum(tokens)::DOUBLE * {epochs} AS capacity, {_weights_sql("source")} AS weight,
-        any_value(f2.share) AS budget, sum(tokens)::BIGINT AS tokens
-        FROM leaves l JOIN f2 USING (domain, lang) GROUP BY l.domain, l.lang, l.source),
+    n3 AS (SELECT l.domain, l.lang, l.source, l.can AS capacity, {_weights_sql("source")} AS weight,
+        f2.share AS budget, l.tokens FROM can_source l JOIN f2 USING (domain, lang)),
     f3 AS (SELECT * FROM {_fill_sql("n3", "domain, lang", "source")}),
     plan AS (SELECT domain, lang, source, share, tokens,
         least(floor(share / greatest(tokens, 1)), {epochs})::BIGINT AS passes FROM f3),

@@ -4,12 +4,15 @@ Weights run down a tree of domain, language and source. At each node the budget
 in proportion to their weights, but no child gets more than it can fill with at most ``max_epochs`` passes
 over its texts; what a child cannot fill goes to its siblings first, and leaves the node only when all of
 them are full. Each leaf then takes whole passes of its documents and a prefix of one more, in an order
-drawn by hash from the seed and the pass.
+drawn by hash from the seed and the pass. A child of weight zero gets nothing, and what it holds is no
+capacity of its ancestors: their budget goes to those that can take it.
 """
 
 from __future__ import annotations
 
 from collections.abc import Mapping, Sequence
+from functools import reduce
+from operator import and_
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -76,8 +79,11 @@ def leaf_budgets(
     given = None
     for depth, name in enumerate(levels):
         path, parents = list(levels[: depth + 1]), list(levels[:depth])
-        here = leaves.groupBy(*path).agg(F.sum("tokens").alias("tokens"))
-        here = here.withColumn("capacity", F.col("tokens").cast("double") * max_epochs).withColumn("weight", weight_of(name, weights))
+        # What a child of weight zero holds cannot be taken: it adds nothing to the capacity of any node above.
+        taking = reduce(and_, (weight_of(n, weights) > 0 for n in levels[depth:]))
+        can_take = F.sum(F.when(taking, F.col("tokens")).otherwise(0)).cast("double") * max_epochs
+        here = leaves.groupBy(*path).agg(F.sum("tokens").alias("tokens"), can_take.alias("capacity"))
+        here = here.withColumn("weight", weight_of(name, weights))
         if given is None:
             whole = Window.partitionBy(F.lit(0))
             here = here.withColumn("budget", F.sum("tokens").over(whole) * F.lit(float(budget_share)))
@@ -107,11 +113,12 @@ def mix(
     """
     names, weights = list(levels), weights or {}
     rows = cut(docs.select(key, *names, F.col(tokens).cast("bigint").alias("n")))
-    leaves = rows.groupBy(*names).agg(F.sum("n").alias("tokens"))
+    leaves = cut(rows.groupBy(*names).agg(F.sum("n").alias("tokens")))
     passes = F.least(F.floor(F.col("share") / F.greatest("tokens", F.lit(1))), F.lit(max_epochs)).cast("bigint")
     plan = leaf_budgets(leaves, budget_share, weights, max_epochs, names).select(
         *_copies(names), passes.alias("passes"), (F.col("share") - passes * F.col("tokens")).alias("rest")
     )
+    plan = cut(plan)  # a row per leaf; used three times
     on = _same(names)
     dealt = rows.join(plan, on).select(key, *names, "n", "passes", "rest")
     dealt = dealt.withColumn("order", draw(seed, F.col("passes"), key)).withColumn("slice", F.shiftright("order", 48).cast("int"))

@@ -62,6 +62,48 @@ def test_shortages_go_to_siblings_first(spark):
     assert {k: round(v, 6) for k, v in made.items()} == {"s1": 100, "s2": 200, "s3": 890, None: 10}
 
 
+def plain_budgets(tree, budget, weights, epochs):
+    """The tree (name: children or tokens) by water-filling in small steps: a node hands on what its children refuse."""
+
+    def capacity(depth, name, node):
+        if weights.get(LEVELS[depth], {}).get(name, 1.0) <= 0:
+            return 0.0
+        return node * epochs if isinstance(node, int) else sum(capacity(depth + 1, k, v) for k, v in node.items())
+
+    def deal(depth, node, budget, path):
+        if isinstance(node, int):
+            return {path: budget}
+        can = {k: capacity(depth, k, v) for k, v in node.items()}
+        weight = {k: weights.get(LEVELS[depth], {}).get(k, 1.0) for k in node}
+        share, left = dict.fromkeys(node, 0.0), budget
+        while left > 1e-9 and (open_ := [k for k in node if share[k] < can[k] - 1e-9 and weight[k] > 0]):
+            total = sum(weight[k] for k in open_)
+            given = {k: min(left * weight[k] / total, can[k] - share[k]) for k in open_}
+            for k, x in given.items():
+                share[k] += x
+            left -= sum(given.values())
+        return {p: x for k, v in node.items() for p, x in deal(depth + 1, v, share[k], (*path, k)).items()}
+
+    return deal(0, tree, budget, ())
+
+
+LEVELS = ("domain", "lang", "source")
+
+
+def test_shortages_go_to_ancestors_past_weights_of_zero(spark):
+    made = S.leaf_budgets(leaves(spark, [("a", "en", "s", 100), ("a", "de", "s", 900), ("b", "en", "s", 1000)]), 0.5, {"lang": {"de": 0.0}}, 1)
+    assert {(r.domain, r.lang): r.share for r in made.collect()} == {("a", "en"): 100, ("a", "de"): 0, ("b", "en"): 900}
+    rnd = random.Random(6)
+    for _ in range(6):
+        tree = {d: {x: {s: rnd.randint(1, 500) for s in "pqr"[: rnd.randint(1, 3)]} for x in ("en", "de", "fr")[: rnd.randint(1, 3)]} for d in "abc"}
+        weights = {n: {k: rnd.choice([0.0, 0.5, 1.0, 3.0]) for k in ks} for n, ks in zip(LEVELS, ("abc", ("en", "de", "fr"), "pqr"), strict=True)}
+        rows = [(d, x, s, n) for d, xs in tree.items() for x, ss in xs.items() for s, n in ss.items()]
+        total = sum(r[3] for r in rows)
+        expected = plain_budgets(tree, 0.7 * total, weights, 2)
+        found = {(r.domain, r.lang, r.source): r.share for r in S.leaf_budgets(leaves(spark, rows), 0.7, weights, 2).collect()}
+        assert found.keys() == expected.keys() and all(abs(found[k] - expected[k]) < 1e-5 for k in found)
+
+
 def test_budget_beyond_all_and_zero(spark):
     rows = [("a", "en", "s1", 100), ("b", "en", "s2", 50)]
     assert sum(r.share for r in S.leaf_budgets(leaves(spark, rows), 9.0, {}, 2).collect()) == 300
