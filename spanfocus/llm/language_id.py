@@ -7,16 +7,20 @@ Families come from a table of known branches; a language outside it forms a fami
 
 from __future__ import annotations
 
+from collections import Counter
 from dataclasses import dataclass, field
+from functools import reduce
 from itertools import combinations
 
 import numpy as np
+import pandas as pd
 import regex
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from spanfocus.llm.arrow_rows import map_texts
 from spanfocus.llm.samples import bounded_sample, fold
+from spanfocus.session import cut
 
 # Branches of some languages by their two-letter codes.
 FAMILIES = {
@@ -26,6 +30,8 @@ FAMILIES = {
 }
 
 SLOTS = 4096
+#: Name of the task that separates the families.
+TOP = "all families"
 UNDETERMINED = "und"
 _LETTER = regex.compile(r"\p{L}")
 _WINDOW_CHARS = 1 << 20
@@ -56,24 +62,28 @@ def features(text: str, slots: int = SLOTS) -> np.ndarray:
 
 
 def linear_svm(x: np.ndarray, y: np.ndarray, cost: float = 10.0, rounds: int = 30, seed: int = 7) -> np.ndarray:
-    """Weights (bias last) of an SVM with squared hinge loss, by dual coordinate descent; y is -1 or 1."""
-    x = np.hstack([x, np.ones((len(x), 1), np.float32)]).astype(np.float64)
+    """Weights (bias last) of an SVM with squared hinge loss, by dual coordinate descent; y is -1 or 1.
+
+    ``x`` is read row by row and never copied.
+    """
     share = np.where(y > 0, (y > 0).mean(), (y < 0).mean())
     spread = 1 / (2 * cost * 0.5 / np.maximum(share, 1e-9))
-    alpha, w = np.zeros(len(x)), np.zeros(x.shape[1])
-    norm = (x**2).sum(axis=1) + spread
+    alpha, w, bias = np.zeros(len(x)), np.zeros(x.shape[1], np.float32), 0.0
+    norm = np.einsum("ij,ij->i", x, x, dtype=np.float64) + 1 + spread
     order = np.random.default_rng(seed)
     for _ in range(rounds):
         moved = 0.0
         for i in order.permutation(len(x)):
-            new = max(0.0, alpha[i] - (y[i] * (x[i] @ w) - 1 + spread[i] * alpha[i]) / norm[i])
+            new = max(0.0, alpha[i] - (y[i] * (float(x[i] @ w) + bias) - 1 + spread[i] * alpha[i]) / norm[i])
             if new != alpha[i]:
-                w += (new - alpha[i]) * y[i] * x[i]
+                step = (new - alpha[i]) * y[i]
+                w += np.float32(step) * x[i]
+                bias += step
                 moved = max(moved, abs(new - alpha[i]))
                 alpha[i] = new
         if moved < 1e-3:
             break
-    return w
+    return np.append(w, np.float32(bias))
 
 
 @dataclass
@@ -86,21 +96,16 @@ class LanguageModel:
     sharpness: float = 4.0
 
     @classmethod
-    def fit(cls, x: np.ndarray, langs: list[str]) -> LanguageModel:
+    def of_weights(cls, langs: list[str], weights: dict[str, np.ndarray]) -> LanguageModel:
+        """The model of sorted languages and the weight rows of each task (``TOP`` or a family), in order."""
         model = cls()
-        for lang in sorted(set(langs)):
+        for lang in sorted(langs):
             model.families.setdefault(family_of(lang), []).append(lang)
-        langs_of, fam = np.array(langs), np.array([family_of(v) for v in langs])
-        names = list(model.families)
-        if len(names) > 1:
-            model.top = np.array([linear_svm(x, np.where(fam == f, 1.0, -1.0)) for f in names])
+        if len(model.families) > 1:
+            model.top = weights[TOP]
         for f, members in model.families.items():
             pairs = list(combinations(range(len(members)), 2))
-            rows = []
-            for a, b in pairs:
-                own = (langs_of == members[a]) | (langs_of == members[b])
-                rows.append(linear_svm(x[own], np.where(langs_of[own] == members[a], 1.0, -1.0)))
-            model.pairs[f] = (pairs, np.array(rows))
+            model.pairs[f] = (pairs, weights[f] if pairs else np.zeros((0, SLOTS + 1), np.float32))
         return model
 
     def predict(self, texts: list[str]) -> tuple[list[str], list[float]]:
@@ -133,12 +138,28 @@ class LanguageModel:
         return out, scores
 
 
+def task_weights(task: str, x: np.ndarray, langs: list[str]) -> np.ndarray:
+    """Weight rows of one task: a family against the rest for each (``TOP``), or every pair inside a family."""
+    of = np.array(langs)
+    if task == TOP:
+        names = list(dict.fromkeys(family_of(v) for v in sorted(set(langs))))
+        family = np.array([family_of(v) for v in langs])
+        return np.array([linear_svm(x, np.where(family == f, 1.0, -1.0)) for f in names])
+    rows = []
+    for a, b in combinations(sorted(set(langs)), 2):
+        own = (of == a) | (of == b)
+        rows.append(linear_svm(x if own.all() else x[own], np.where(of[own] == a, 1.0, -1.0)))
+    return np.array(rows)
+
+
 def fit_language_model(
-    docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = 400
+    docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = 400, top_rows: int = 6400
 ) -> LanguageModel:
     """Fit on about ``per_language`` rows of each language (and a short window of each, for short texts).
 
-    The driver gets hashed counts only, ``SLOTS`` numbers a row; rows with null text or language are unused.
+    Each family's separators are fitted in a task of their own, on that family's rows; those between families
+    in one more task, on about ``top_rows`` rows of all languages at most. The driver gets the weights only.
+    Rows with null text or language are unused; without any the model is empty.
     """
     sample = bounded_sample(docs.where(F.col(text).isNotNull()), key, lang, per_language)
 
@@ -148,10 +169,33 @@ def fit_language_model(
         short = [features(t[m : m + 40]).astype(np.float16).tobytes() for t, m in zip(texts, middles, strict=True)]
         return {"whole": whole, "short": short}
 
-    # The sample is small: a sort by id makes the fit independent of the partitions.
-    rows = sorted(map_texts(sample, [key, lang], text, "whole binary, short binary", run).collect(), key=lambda r: r[0])
-    x = [np.frombuffer(r[c], np.float16) for c in ("whole", "short") for r in rows]
-    return LanguageModel.fit(np.array(x, np.float32), [r[lang] for r in rows] * 2) if rows else LanguageModel()
+    rows = cut(map_texts(sample, [key, lang], text, "whole binary, short binary", run))
+    langs = [r[0] for r in rows.select(lang).distinct().collect()]  # every value has at least one weight row
+    members = Counter(map(family_of, langs))
+    if not langs:
+        return LanguageModel()
+    quota = max(1, top_rows // (2 * len(langs)))
+    jobs = []
+    if len(members) > 1:
+        draw = F.row_number().over(Window.partitionBy(lang).orderBy(F.xxhash64(key, F.lit("top")), key, "whole"))
+        jobs.append(rows.withColumn("draw", draw).where(F.col("draw") <= quota).drop("draw").withColumn("task", F.lit(TOP)))
+    family = F.create_map(*(F.lit(x) for v in langs for x in (v, family_of(v))))[F.col(lang)]
+    large = [f for f, n in members.items() if n > 1]
+    if large:
+        jobs.append(rows.withColumn("task", family).where(F.col("task").isin(large)))
+
+    def fit(frame: pd.DataFrame) -> pd.DataFrame:
+        frame = frame.sort_values([key, lang, "whole"])  # the fit does not depend on the partitions
+        x = np.empty((2 * len(frame), SLOTS), np.float32)
+        for at, data in enumerate([*frame["whole"], *frame["short"]]):
+            x[at] = np.frombuffer(data, np.float16)
+        task = str(frame["task"].iloc[0])
+        return pd.DataFrame({"task": [task], "weights": [task_weights(task, x, frame[lang].tolist() * 2).tobytes()]})
+
+    if not jobs:
+        return LanguageModel.of_weights(langs, {})
+    fitted = reduce(DataFrame.unionByName, jobs).groupBy("task").applyInPandas(fit, "task string, weights binary").collect()
+    return LanguageModel.of_weights(langs, {r.task: np.frombuffer(r.weights, np.float32).reshape(-1, SLOTS + 1) for r in fitted})
 
 
 def identify_language(

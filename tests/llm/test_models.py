@@ -22,6 +22,27 @@ def test_svm_separates():
     assert (np.sign(x @ w[:-1] + w[-1]) == y).mean() > 0.97
 
 
+def test_vote_equals_a_plain_one(spark, middle):
+    """Family by the largest separator, then a vote of all pairs of its languages, spelled out."""
+    docs, _ = middle
+    model = L.fit_language_model(docs.where(L.fold("doc_id", 3) != 1))
+    assert model.families == {"germanic": ["de", "en"], "romance": ["es", "fr"]}
+    some = docs.limit(60).collect()
+    found = {r.doc_id: r.lang_pred for r in L.identify_language(docs.limit(60), model).collect()}
+    for r in some:
+        if not any(c.isalpha() for c in r.text):
+            assert found[r.doc_id] == "und"
+            continue
+        x = L.features(r.text).astype(float)
+        sides = {f: float(w[:-1] @ x + w[-1]) for f, w in zip(model.families, model.top, strict=True)}
+        family = max(sides, key=sides.get)
+        votes = dict.fromkeys(model.families[family], 0)
+        pairs, rows = model.pairs[family]
+        for (a, b), w in zip(pairs, rows, strict=True):
+            votes[model.families[family][a if float(w[:-1] @ x + w[-1]) >= 0 else b]] += 1
+        assert found[r.doc_id] == max(votes, key=votes.get)
+
+
 def test_ngram_windows(monkeypatch):
     text = "Straße und Häuser " * 40
     whole = L.ngram_counts(text)
