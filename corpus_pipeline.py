@@ -19,13 +19,20 @@ from spanfocus.llm.entries import MIX, MIX_WEIGHTS, with_levels
 from spanfocus.session import cut
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+#: Score under which the language of a text counts as not told: hardly above chance for two families of two.
+LEAST_SURE = 0.3
 
 
 def identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose language can be told; those without any letter go."""
+    """Documents whose language can be told, with it: a null ``lang`` becomes the predicted one.
+
+    Those without any letter go, and those of which the model is less sure than ``LEAST_SURE``. A stated
+    language stays as it is. Null and repeated ids change nothing here.
+    """
     model = language_id.fit_language_model(docs.where(language_id.fold("doc_id", 3) != 1))
     made = language_id.identify_language(docs, model, carry=COLUMNS)
-    return made.where(F.col("lang_pred") != language_id.UNDETERMINED).select(*COLUMNS)
+    told = (F.col("lang_pred") != language_id.UNDETERMINED) & (F.col("score") >= LEAST_SURE)
+    return made.where(told).withColumn("lang", F.coalesce("lang", "lang_pred")).select(*COLUMNS)
 
 
 def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -55,13 +62,17 @@ def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents chosen for the target weights; one taken in two passes comes twice.
 
-    A document without an id is drawn and found again by the digest of its text.
+    Documents are drawn by a digest of the whole row, so null and repeated ids are documents as any other;
+    rows equal in all columns come as often as all of them were taken.
     """
-    named = F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("null:"), F.md5(F.coalesce("text", F.lit("")))))
-    rows = docs.select(*COLUMNS, named.alias("row_key"))
+    parts = (F.coalesce(F.col(c).cast("string"), F.lit("\x01")) for c in COLUMNS)
+    rows = docs.select(*COLUMNS, F.md5(F.concat_ws("\x00", *parts)).alias("row_key"))
     taken = source_mixing.mix(with_levels(rows), weights=MIX_WEIGHTS, key="row_key", **MIX)
-    chosen = rows.join(taken.select("row_key", "copies"), "row_key")
-    return chosen.withColumn("pass", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*COLUMNS)
+    taken = cut(taken.groupBy("row_key").agg(F.sum("copies").cast("int").alias("copies"), F.count("*").alias("rows")))
+    # Only rows that repeat need the texts grouped once more.
+    once = rows if taken.where("rows > 1").isEmpty() else rows.dropDuplicates(["row_key"])
+    chosen = once.join(taken.select("row_key", "copies"), "row_key")
+    return chosen.withColumn("pass", F.explode(F.sequence(F.lit(1), "copies"))).select(*COLUMNS)
 
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
