@@ -11,9 +11,11 @@ from __future__ import annotations
 
 import math
 import re
+import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import lru_cache
 from itertools import islice
 
 import numpy as np
@@ -31,6 +33,8 @@ _HELD = 200_000
 #: Lengths of word beginnings that are counted beside whole words, for words not seen before.
 STEMS = (4, 6)
 _REMEMBERED = 300_000
+#: Candidate tokens that are sent to the executors at most.
+SENT = 500_000
 
 
 def stems(word: str) -> list[str]:
@@ -80,7 +84,7 @@ def maximal_segments(places: list[int], gains: list[float], penalty: float) -> l
 
 @dataclass
 class ToxicityModel:
-    """Fitted scorer; its token table holds significant tokens only, at most ``max_tokens``."""
+    """Fitted scorer; its token table holds the significant tokens of a bounded sample."""
 
     gain: dict[str, float] = field(default_factory=dict)
     penalty: float = 0.05
@@ -160,12 +164,14 @@ class ToxicityModel:
 def _counted(df: DataFrame, text: str, label: str | None, wanted: Broadcast | None) -> DataFrame:
     """(token, toxic, n): in how many texts a token occurs, by label; blocks are counted before the shuffle.
 
-    With ``wanted`` only those tokens are counted, and a null token bears the number of all occurrences.
+    ``wanted`` holds packed tokens (:func:`_packed`): with it only those are counted. Without a label, a null
+    token bears the number of all occurrences.
     """
     ship_package(df.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[int, Counter[str | None]] = {0: Counter(), 1: Counter()}
+        asked = None if wanted is None else _unpacked(wanted.value)
 
         def flush() -> Iterator[pa.RecordBatch]:
             for toxic, s in sums.items():
@@ -180,9 +186,10 @@ def _counted(df: DataFrame, text: str, label: str | None, wanted: Broadcast | No
             for t, mark in zip(texts, marks, strict=True):
                 words = set(_WORD.findall(t.lower()))
                 words |= {x for w in words for x in stems(w)}
-                if wanted is not None:
+                if label is None:
                     sums[0][None] += len(words)
-                    words &= wanted.value
+                if asked is not None:
+                    words &= asked
                 sums[1 if mark == 1 else 0].update(words)
             if len(sums[0]) + len(sums[1]) > 200_000:
                 yield from flush()
@@ -193,43 +200,56 @@ def _counted(df: DataFrame, text: str, label: str | None, wanted: Broadcast | No
     return made.groupBy("token", "toxic").agg(F.sum("n").alias("n"))
 
 
-def candidate_tokens(sample: DataFrame, text: str, label: str, least_texts: int = 3, most: int = 500_000) -> tuple[list, float, float]:
-    """Rows (token, toxic, clean) of tokens that at least ``least_texts`` toxic texts hold and that are commoner
-    there than in clean ones, the most frequent ``most`` of them; and both totals of counts."""
-    counts = _counted(sample, text, label, None)
-    table = cut(counts.groupBy("token").agg(*(F.coalesce(F.sum(F.when(F.col("toxic") == k, F.col("n"))), F.lit(0)).alias(c) for k, c in ((1, "toxic"), (0, "clean")))))
-    toxic, clean = (float(x or 0) for x in table.agg(F.sum("toxic"), F.sum("clean")).first())
-    likely = (F.col("toxic") >= least_texts) & (F.col("toxic") * F.lit(clean) > F.col("clean") * F.lit(toxic))
-    return table.where(likely).orderBy(F.desc("toxic"), "token").limit(most).collect(), toxic, clean
+def _packed(tokens: pa.Array) -> bytes:
+    """Tokens, none of which holds a blank, as compressed bytes."""
+    return zlib.compress(" ".join(tokens.to_pylist()).encode(), 1)
+
+
+@lru_cache(maxsize=1)
+def _unpacked(data: bytes) -> frozenset[str]:
+    return frozenset(zlib.decompress(data).decode().split(" "))
 
 
 def log_odds(
-    docs: DataFrame, sample: DataFrame, text: str, label: str, prior: float = 1.0, least_z: float = 3.0, max_tokens: int = 50_000
+    docs: DataFrame, sample: DataFrame, text: str, label: str, prior: float = 1.0, least_z: float = 3.0, least_texts: int = 3
 ) -> tuple[dict[str, float], float]:
     """Significant tokens with their lower-bound log-odds, and their expected number per clean token.
 
-    The more candidates there are, the higher is the largest deviation that chance gives: the bar rises with
-    the root of twice the logarithm of their number, from ``least_z`` up.
+    Candidates are all tokens that at least ``least_texts`` toxic texts of the sample hold and that are
+    commoner there than in clean ones. The more candidates there are, the higher is the largest deviation
+    that chance gives: the bar rises with the root of twice the logarithm of their number, from ``least_z``
+    up. The test is made in Spark; the driver gets the tokens that pass it.
 
     Prior: a pseudo-corpus of ``prior`` times the toxic counts, distributed as the whole corpus is; the
-    candidates' shares of it are counted over all of ``docs``.
+    candidates' shares of it are counted over all of ``docs``. Up to ``SENT`` candidates are sent to the
+    executors, so that only they are shuffled; beyond, all tokens are counted and joined.
     """
-    rows, toxic, clean = candidate_tokens(sample, text, label)
-    if not rows or not toxic or not clean:
+    counts = _counted(sample, text, label, None)
+    by_label = (F.coalesce(F.sum(F.when(F.col("toxic") == k, F.col("n"))), F.lit(0)).alias(c) for k, c in ((1, "toxic"), (0, "clean")))
+    table = cut(counts.groupBy("token").agg(*by_label))
+    toxic, clean = (float(x or 0) for x in table.agg(F.sum("toxic"), F.sum("clean")).first())
+    if not toxic or not clean:
+        return {}, 0.0
+    likely = table.where((F.col("toxic") >= least_texts) & (F.col("toxic") * F.lit(clean) > F.col("clean") * F.lit(toxic)))
+    candidates = likely.count()
+    if not candidates:
         return {}, 0.0
-    wanted = docs.sparkSession.sparkContext.broadcast({r.token for r in rows})  # bounded by the candidates' limit
-    seen = {r.token: float(r.n) for r in _counted(docs, text, None, wanted).collect()}
-    mass, total, scored = prior * toxic, max(1.0, seen.get(None, 1.0)), []
-    least_z = max(least_z, math.sqrt(2 * math.log(len(rows))) - 0.5)
-    for r in rows:
-        pseudo = max(seen.get(r.token, 0.0), r.toxic + r.clean) / total * mass
-        one, two = r.toxic + pseudo, r.clean + pseudo
-        delta = math.log(one / (toxic + mass - one)) - math.log(two / (clean + mass - two))
-        spread = math.sqrt(1 / one + 1 / two)
-        if delta > 0 and delta / spread >= least_z:
-            scored.append((-delta / spread, r.token, delta - spread, r.clean))
-    kept = sorted(scored)[:max_tokens]
-    return {t: gain for _, t, gain, _ in kept}, sum(c + 0.5 for *_, c in kept) / clean
+    wanted = docs.sparkSession.sparkContext.broadcast(_packed(likely.select("token").toArrow().column(0))) if candidates <= SENT else None
+    seen = _counted(docs, text, None, wanted).select("token", "n")
+    seen = cut(seen.where("token IS NULL").unionByName(seen.join(likely.select("token"), "token")) if wanted is None else seen)
+    total, mass = max(1.0, float(seen.where("token IS NULL").first().n)), prior * toxic
+    bar = max(least_z, math.sqrt(2 * math.log(candidates)) - 0.5)
+    share = F.greatest(F.coalesce("n", F.lit(0)), F.col("toxic") + F.col("clean")) / F.lit(total)
+    tested = likely.join(seen.where("token IS NOT NULL"), "token", "left").select(
+        "token", "clean", (F.col("toxic") + share * mass).alias("one"), (F.col("clean") + share * mass).alias("two")
+    )
+    delta = F.log(F.col("one") / (toxic + mass - F.col("one"))) - F.log(F.col("two") / (clean + mass - F.col("two")))
+    spread = F.sqrt(1 / F.col("one") + 1 / F.col("two"))
+    tested = tested.select("token", "clean", delta.alias("delta"), spread.alias("spread"))
+    kept = tested.where((F.col("delta") > 0) & (F.col("delta") >= bar * F.col("spread")))
+    found = kept.select("token", (F.col("delta") - F.col("spread")).alias("gain"), "clean").toArrow()
+    gain = dict(sorted(zip(found.column("token").to_pylist(), found.column("gain").to_pylist(), strict=True)))
+    return gain, sum(c + 0.5 for c in found.column("clean").to_pylist()) / clean
 
 
 def _decay(gains: list[float], rate: float, penalty: float) -> float:
@@ -276,17 +296,16 @@ def fit_toxicity(
     judged = bounded_sample(one, key, label, per_class, classes=2)
     texts = docs.select(key, F.xxhash64(F.coalesce(text, F.lit(""))).alias("h")).join(F.broadcast(judged), key)
     judged = texts.groupBy("h", label).agg(F.min(key).alias(key)).select(key, label)
-    rows = judged.collect()  # bounded by per_class: ids and labels only
+    judged = cut(judged)  # bounded by per_class: ids and labels only
     spark = docs.sparkSession
     model = ToxicityModel(penalty=penalty)
-    if not rows:
+    marks = {int(r[label]): r["count"] for r in judged.groupBy(label).count().collect()}
+    if not marks:
         return model
-    marks = [int(r[label]) for r in rows]
-    model.base = sum(marks) / len(marks)
-    if len(set(marks)) < 2:
+    model.base = marks.get(1, 0) / sum(marks.values())
+    if len(marks) < 2:
         return model
-    judged = spark.createDataFrame(rows, judged.schema)
-    sample = docs.select(key, text).join(F.broadcast(judged), key)
+    sample = cut(docs.select(key, text).join(F.broadcast(judged), key))  # read four times
     model.gain, rate = log_odds(docs, sample, text, label)
     if not model.gain:
         return model

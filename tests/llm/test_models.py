@@ -1,4 +1,7 @@
+import math
 import random
+import re
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -113,6 +116,56 @@ def test_held_out_toxicity(spark, middle):
     assert all(p.stop > p.start and p.nats > 0 for r in rows for p in r.passages)
 
 
+def plain_log_odds(docs, labelled, prior=1.0, least_z=3.0):
+    """Counts, prior, test and bound of the tokens, spelled out."""
+
+    def tokens(text):
+        words = set(re.findall(r"[^\W\d_]+", text.lower()))
+        return words | {"^" + w[:n] for w in words for n in (4, 6) if len(w) > n}
+
+    by = {0: Counter(), 1: Counter()}
+    for text, mark in labelled:
+        by[mark].update(tokens(text))
+    corpus = Counter(t for text in docs for t in tokens(text))
+    toxic, clean, total = (float(sum(c.values())) for c in (by[1], by[0], corpus))
+    found = [t for t, n in by[1].items() if n >= 3 and n * clean > by[0][t] * toxic]
+    bar, mass, out = max(least_z, math.sqrt(2 * math.log(len(found))) - 0.5), prior * toxic, {}
+    for t in found:
+        pseudo = max(corpus[t], by[1][t] + by[0][t]) / total * mass
+        one, two = by[1][t] + pseudo, by[0][t] + pseudo
+        delta = math.log(one / (toxic + mass - one)) - math.log(two / (clean + mass - two))
+        spread = math.sqrt(1 / one + 1 / two)
+        if delta > 0 and delta >= bar * spread:
+            out[t] = delta - spread
+    return out, sum(by[0][t] + 0.5 for t in out) / clean
+
+
+def test_log_odds_equal_plain_ones(spark, middle, monkeypatch):
+    docs, labels = middle
+    sample = docs.select("doc_id", "text").join(labels.select("doc_id", "toxic"), "doc_id")
+    expected, rate = plain_log_odds([r.text for r in docs.collect()], [(r.text, r.toxic) for r in sample.collect()])
+    assert len(expected) > 10
+    for sent in (T.SENT, 0):
+        monkeypatch.setattr(T, "SENT", sent)
+        gain, found = T.log_odds(docs, sample, "text", "toxic")
+        assert gain == pytest.approx(expected) and found == pytest.approx(rate)
+
+
+def test_calibration_equals_a_plain_one(spark, middle):
+    docs, labels = middle
+    sample = docs.join(labels.select("doc_id", "toxic"), "doc_id").dropDuplicates(["text", "toxic"])
+    model = T.fit_toxicity(docs, labels)
+    gains, rate = plain_log_odds([r.text for r in docs.collect()], [(r.text, r.toxic) for r in sample.collect()])
+    assert model.gain == pytest.approx(gains)
+    # lambda: the expected exponential score of a clean token is one.
+    mean = sum(rate / len(gains) * math.exp(model.decay * g) for g in gains.values()) + (1 - rate) * math.exp(-model.decay * model.penalty)
+    assert mean == pytest.approx(1, abs=1e-6)
+    best = [model.best_segment(r.text) for r in sample.where("toxic = 0").collect()]
+    over = [model.decay * s - math.log(n) for n, s in best if s > 0 and n > 1]
+    assert model.log_k == pytest.approx(sum(over) / len(over) - 0.5772156649, abs=1e-6)
+    assert model.curve_y == sorted(model.curve_y) and model.curve_x == sorted(model.curve_x)
+
+
 def test_passages_are_found():
     model = T.ToxicityModel(gain={"idiot": 4.0, "scum": 4.0}, penalty=0.5, decay=1.0, log_k=0.0)
     text = "calm words here " * 3 + "you idiot absolute SCUM idiot " + "more calm words " * 3
