@@ -2,9 +2,12 @@
 
 How far to the right of a token a text can still change that token depends on the merge list alone: a
 merge (u, v) is undone only if v's right end had merged earlier with something further right, and so on
-through merges of falling rank. The longest such chain is the sufficient lookahead. The encoder keeps a
-window of symbols, merges it, emits the tokens that lie further than the lookahead from its end, and
-slides; a word of any length is encoded in constant memory. The decoder is a state machine as well.
+through merges of falling rank. The longest such chain that begins on a token's right edge is that token's
+lookahead; the longest of all is the list's sufficient lookahead. The encoder reads a word's symbols a few
+at a time, merges what it holds, and emits each token as soon as its own lookahead has been read. It holds
+at most one token, the sufficient lookahead and one reading, whatever the length of the word. The ids of a
+short word are remembered; every word goes through the transducer when it is first met. The decoder is a
+state machine from ids to bytes to text.
 """
 
 from __future__ import annotations
@@ -13,7 +16,7 @@ import codecs
 import hashlib
 import json
 import unicodedata
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 from functools import lru_cache
 from heapq import heapify, heappop, heappush
 from itertools import islice
@@ -29,38 +32,42 @@ PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\p{White_Space}\p{L}\p{N}]+"
 
 #: Distinct words a worker remembers, and words held at once of a long text.
 REMEMBERED, HELD = 500_000, 200_000
+#: Symbols that the transducer reads at once, and characters of a word that are expanded at once.
+READING, _CHARS = 32, 4096
 _SPACES = regex.compile(r"\p{White_Space}+")
 _NONE = 1 << 40
 
 
-def sufficient_lookahead(merges: list[tuple[str, str]], length: dict[str, int]) -> int:
-    """Symbols past a token's end that can still change it, over all tokens of the merge list.
+def lookaheads(merges: list[tuple[str, str]], length: dict[str, int]) -> Callable[[str, str], int]:
+    """For a token and the character that follows it (empty: any), the symbols past its end that can still change it.
 
-    Walks the merges by rank. ``reach[u]`` is the furthest right that a merge with left part u, of lower
+    Walks the merges by rank. ``reach`` of u is the furthest right that a merge with left part u, of lower
     rank than the one looked at, depends on; the right spine of a token names the parts that stood at its
-    right end before it was whole.
+    right end before it was whole. A merge (u, v) only matters where v's first character follows.
     """
     parts: dict[str, tuple[str, str]] = {}
-    reach: dict[str, int] = {}
+    reach: dict[tuple[str, str], int] = {}
 
-    def beyond(token: str) -> int:
+    def beyond(token: str, following: str = "") -> int:
         most = 0
         while True:
-            most = max(most, reach.get(token, 0))
+            most = max(most, reach.get((token, following), 0))
             if token not in parts:
                 return most
             token = parts[token][1]
 
     for u, v in merges:
-        reach[u] = max(reach.get(u, 0), length[v] + beyond(v))
+        far = length[v] + beyond(v)
+        for following in ("", v[0]):
+            reach[u, following] = max(reach.get((u, following), 0), far)
         parts.setdefault(u + v, (u, v))
-    return max(reach.values(), default=0)
+    return beyond
 
 
 class Codec:
     """A vocabulary file: encoder and decoder."""
 
-    def __init__(self, path: str, window: int | None = None) -> None:
+    def __init__(self, path: str, reading: int = READING) -> None:
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         model = spec["model"]
@@ -71,16 +78,23 @@ class Codec:
         self.bytes = byte_alphabet()
         self.byte_of = {c: b for b, c in self.bytes.items()}
         length = {t: len(t.removesuffix(self.end) if self.end else t) for t in self.vocab}
-        self.lookahead = sufficient_lookahead(pairs, length)
+        self.lookahead_of = lookaheads(pairs, length)
+        self.lookahead = max(map(self.lookahead_of, self.vocab), default=0)
         self.longest = max(length.values(), default=1)
-        # One whole token plus the lookahead must fit, or a window could stall.
-        self.window = max(window or 0, self.longest + self.lookahead + 1)
+        self.reading = reading
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.special_pattern = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))))
         self.string_of = {i: t for t, i in self.vocab.items()} | {i: t for t, i in self.special.items()}
+        self.piece_of = {i: self._piece(t) for t, i in self.vocab.items()} | {i: t.encode() for t, i in self.special.items()}
         self.words = regex.compile(PATTERN)
         self.known: dict[str, list[int]] = {}
 
+    def _piece(self, token: str) -> bytes:
+        """Bytes of a token; its end mark is a blank."""
+        closed = bool(self.end) and token.endswith(self.end)
+        body = token.removesuffix(self.end) if closed else token
+        return bytes(self.byte_of[c] for c in body if c in self.byte_of) + (b" " if closed else b"")
+
     def merged(self, symbols: list[str]) -> list[str]:
         """Symbols after all merges, lowest rank first and left to right."""
         if len(symbols) > 32:
@@ -119,35 +133,42 @@ class Codec:
         return [t for t in text if t]
 
     def stream(self, symbols: Iterable[str]) -> Iterator[str]:
-        """Tokens of one word's symbols (the last one bears the end mark), each emitted once it is stable."""
-        source, held, ended = iter(symbols), [], False
-        while not ended or held:
-            need = 2 * self.window - len(held)
-            more = list(islice(source, need))
-            ended = len(more) < need
+        """Tokens of one word's symbols (the last one bears the end mark), each emitted once it is stable.
+
+        Holds at most ``longest + lookahead + reading`` symbols.
+        """
+        source, held = iter(symbols), []
+        while more := list(islice(source, self.reading)):
             held += more
-            tokens = self.merged(held)
-            if ended:
+            tokens, used = self.merged(held), 0
+            if len(more) < self.reading:
                 yield from tokens
                 return
-            safe, used = len(held) - self.lookahead, 0
-            for t in tokens:
+            for t, following in zip(tokens, [*(t[0] for t in tokens[1:]), ""], strict=True):
                 size = 1 if t in self.byte_of else len(t)
-                if used + size > safe:
+                if len(held) - used - size < self.lookahead_of(t, following):
                     break
                 used += size
                 yield t
-            held = held[used:]
+            del held[:used]
+        yield from self.merged(held)
+
+    def symbols(self, word: str) -> Iterator[str]:
+        """Byte symbols of a word one by one, the end mark on the last."""
+        before = None
+        for a in range(0, len(word), _CHARS):
+            for b in word[a : a + _CHARS].encode():
+                if before is not None:
+                    yield before
+                before = self.bytes[b]
+        if before is not None:
+            yield before + self.end
 
     def word_ids(self, word: str) -> list[int]:
-        """Ids of one pre-token; remembered up to a bound."""
+        """Ids of one pre-token by the transducer; those of short words are remembered, up to a bound."""
         ids = self.known.get(word)
         if ids is None:
-            symbols = [self.bytes[b] for b in word.encode()]
-            symbols[-1] += self.end
-            # A word that fits the window is one step of the transducer.
-            tokens = self.merged(symbols) if len(symbols) <= self.window else self.stream(symbols)
-            ids = [self.vocab[t] for t in tokens]
+            ids = [self.vocab[t] for t in self.stream(self.symbols(word))]
             if len(word) < 64:
                 if len(self.known) >= REMEMBERED:
                     self.known.clear()
@@ -196,25 +217,12 @@ class Decoder:
         self.begun = False
 
     def feed(self, ids: Iterable[int]) -> str:
-        if not self.plain:
-            out = " ".join(map(self.codec.string_of.__getitem__, ids))
-            lead = " " if self.begun and out else ""
-            self.begun = self.begun or bool(out)
-            return lead + out
-        pieces = []
-        for i in ids:
-            token = self.codec.string_of[i]
-            if token in self.codec.special:
-                pieces.append(self.utf8.decode(b"", True) + token)
-                self.utf8.reset()
-                continue
-            closed = bool(self.codec.end) and token.endswith(self.codec.end)
-            body = token[: -len(self.codec.end)] if closed else token
-            pieces.append(self.utf8.decode(bytes(map(self.codec.byte_of.__getitem__, body))))
-            if closed:
-                pieces.append(self.utf8.decode(b"", True) + " ")
-                self.utf8.reset()
-        return "".join(pieces)
+        if self.plain:
+            return self.utf8.decode(b"".join(map(self.codec.piece_of.__getitem__, ids)))
+        out = " ".join(map(self.codec.string_of.__getitem__, ids))
+        lead = " " if self.begun and out else ""
+        self.begun = self.begun or bool(out)
+        return lead + out
 
     def finish(self) -> str:
         return self.utf8.decode(b"", True) if self.plain else ""
@@ -226,29 +234,32 @@ def codec(path: str) -> Codec:
 
 
 def encode_documents(df: DataFrame, vocabulary: str, key: str = "doc_id", text: str = "text", keep_ids: bool = True) -> DataFrame:
-    """(key, n_tokens, ids_sha256, decoded_sha256[, ids]) of every row's whole text.
+    """(key, n_tokens, ids_sha256, decoded_sha256, readable_sha256[, ids]) of every row's whole text.
 
-    Null and empty texts have no ids. The digests are of the decimal ids joined by one blank, and of the
-    decoded text in UTF-8; both are fed stretch by stretch. Repeated rows stay; other columns are not read.
+    Null and empty texts have no ids. The digests are of the decimal ids joined by one blank, of the decoded
+    text in UTF-8 as the library gives it, and of the readable text; all are fed stretch by stretch. Repeated rows stay; other columns are not read.
     """
 
     def run(texts: list[str]) -> dict[str, list]:
         c = codec(vocabulary)
-        out: dict[str, list] = {"n_tokens": [], "ids_sha256": [], "decoded_sha256": [], "ids": []}
+        out: dict[str, list] = {"n_tokens": [], "ids_sha256": [], "decoded_sha256": [], "readable_sha256": [], "ids": []}
         for t in texts:
-            n, all_ids, decoder = 0, [], Decoder(c)
-            by_id, by_text = hashlib.sha256(), hashlib.sha256()
+            n, all_ids, decoder, reader = 0, [], Decoder(c), Decoder(c, plain=True)
+            by_id, by_text, by_reading = hashlib.sha256(), hashlib.sha256(), hashlib.sha256()
             for ids in c.encode(t):
                 if ids:
                     by_id.update(((" " if n else "") + " ".join(map(str, ids))).encode())
                     by_text.update(decoder.feed(ids).encode())
+                    by_reading.update(reader.feed(ids).encode())
                     n += len(ids)
                     if keep_ids:
                         all_ids += ids
             by_text.update(decoder.finish().encode())
-            for name, value in (("n_tokens", n), ("ids_sha256", by_id.hexdigest()), ("decoded_sha256", by_text.hexdigest()), ("ids", all_ids)):
-                out[name].append(value)
+            by_reading.update(reader.finish().encode())
+            made = (n, by_id.hexdigest(), by_text.hexdigest(), by_reading.hexdigest(), all_ids)
+            for column, value in zip(out.values(), made, strict=True):
+                column.append(value)
         return out
 
-    schema = "n_tokens bigint, ids_sha256 string, decoded_sha256 string" + (", ids array<int>" if keep_ids else "")
+    schema = "n_tokens bigint, ids_sha256 string, decoded_sha256 string, readable_sha256 string" + (", ids array<int>" if keep_ids else "")
     return map_texts(df, [key], text, schema, run)
