@@ -12,14 +12,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from spanfocus.session import cut, ship_package
 
 #: Rows of an index block and queries of a query block.
-BLOCK_ROWS, BLOCK_QUERIES = 16_384, 256
+BLOCK_ROWS, BLOCK_QUERIES = 8_192, 256
 
 
 def _packed(bits: np.ndarray) -> np.ndarray:
@@ -45,6 +44,15 @@ class BitSlices:
         self.slices = _packed(np.stack([(shifted >> b) & 1 == 1 for b in range(self.bits)], axis=1))
         self.all = _packed(np.ones((1, len(ids)), bool))[0]
 
+    @classmethod
+    def stored(cls, n_rows: int, bits: int, offset: int, ids: bytes, slices: bytes) -> BitSlices:
+        """The index of a written block."""
+        index = cls.__new__(cls)
+        index.ids, index.offset, index.bits = np.frombuffer(ids, np.int64), offset, bits
+        index.all = _packed(np.ones((1, n_rows), bool))[0]
+        index.slices = np.frombuffer(slices, np.uint64).reshape(-1, bits, index.all.size)
+        return index
+
     def scores(self, query: np.ndarray) -> tuple[list[np.ndarray], int]:
         """Bit slices of every row's score, and the constant to add to the number they spell.
 
@@ -134,6 +142,42 @@ def _matrix(column: list[list[int]]) -> np.ndarray:
     return np.array([[*r, *[0] * (width - len(r))] for r in column], np.int64)
 
 
+def index_blocks(vectors: DataFrame, key: str = "vec_id", block_rows: int = BLOCK_ROWS, copies: int = 5) -> DataFrame:
+    """Stored form of the index: (g, n_rows, bits, offset, ids, slices), a row per block of (key, q).
+
+    Rows are dealt to even blocks by the hash of their content, so a task that runs again deals them the same
+    way. Rows equal in id and vector count up to ``copies`` times; a block that chance makes larger than
+    ``block_rows`` becomes several.
+    """
+    ship_package(vectors.sparkSession)
+    once = vectors.groupBy(key, "q").agg(F.count("*").alias("n"))
+    groups = max(1, -(-vectors.count() // block_rows))
+    rows = once.select(key, "q", F.explode(F.sequence(F.lit(1), F.least("n", F.lit(copies)).cast("int"))).alias("copy"))
+    rows = rows.select(F.pmod(F.xxhash64(key, "q", "copy"), F.lit(groups)).cast("int").alias("g"), key, "q")
+
+    def build(frame: pd.DataFrame) -> pd.DataFrame:
+        ids, values, out = frame[key].to_numpy(np.int64), _matrix(frame["q"].tolist()), []
+        for a in range(0, len(ids), block_rows):
+            index = BitSlices(ids[a : a + block_rows], values[a : a + block_rows])
+            out.append((int(frame["g"].iloc[0]), len(index.ids), index.bits, index.offset, index.ids.tobytes(), index.slices.tobytes()))
+        return pd.DataFrame(out, columns=["g", "n_rows", "bits", "offset", "ids", "slices"])
+
+    return rows.groupBy("g").applyInPandas(build, "g int, n_rows bigint, bits int, offset bigint, ids binary, slices binary")
+
+
+def query_blocks(queries: DataFrame, key: str = "vec_id", block_queries: int = BLOCK_QUERIES) -> DataFrame:
+    """(h, asked, weights): ids and vectors of even blocks of queries; an id with several vectors asks with the least."""
+    ask = queries.groupBy(key).agg(F.min("q").alias("q"))
+    groups = max(1, -(-ask.count() // block_queries))
+
+    def pack(frame: pd.DataFrame) -> pd.DataFrame:
+        weights = _matrix(frame["q"].tolist())
+        return pd.DataFrame({"h": [int(frame["h"].iloc[0])], "asked": [frame[key].to_numpy(np.int64).tobytes()], "weights": [weights.tobytes()]})
+
+    rows = ask.select(F.pmod(F.xxhash64(key), F.lit(groups)).cast("int").alias("h"), key, "q")
+    return rows.groupBy("h").applyInPandas(pack, "h int, asked binary, weights binary")
+
+
 def top_k(
     candidates: DataFrame, queries: DataFrame, k: int = 5, key: str = "vec_id", block_rows: int = BLOCK_ROWS, block_queries: int = BLOCK_QUERIES
 ) -> DataFrame:
@@ -142,43 +186,31 @@ def top_k(
     Both inputs have (key, q) as from :func:`quantised`. A candidate with the query's id is the query's own
     and takes no part. Ties go to the smaller id; fewer candidates give fewer rows; repeated candidates
     each count; repeated queries count once (the least vector, if one id has several). A shorter vector is
-    filled with zeros. Blocks of candidates meet blocks of queries, each pair of blocks once; a task holds
-    one such pair.
+    filled with zeros. The index is built and written once; its blocks meet blocks of queries, each pair
+    once, and a task holds one such pair.
     """
     spark = candidates.sparkSession
     ship_package(spark)
-    ask = queries.groupBy(key).agg(F.min("q").alias("q"))
-    n_rows, n_queries = candidates.count(), ask.count()
-    row_groups, query_groups = max(1, -(-n_rows // block_rows)), max(1, -(-n_queries // block_queries))
-
-    def dealt(df: DataFrame, own: str, own_groups: int, other: str, other_groups: int) -> DataFrame:
-        """Rows in random even groups, repeated for every group of the other side."""
-        spread = F.xxhash64(key, "q", F.monotonically_increasing_id())
-        return df.select(key, "q", F.pmod(spread, F.lit(own_groups)).cast("int").alias(own)).select(
-            own, F.explode(F.sequence(F.lit(0), F.lit(other_groups - 1))).alias(other), key, "q"
-        )
-
-    left = cut(dealt(candidates, "g", row_groups, "h", 1).select("g", key, "q"))
-    ship = left.select("g", F.explode(F.sequence(F.lit(0), F.lit(query_groups - 1))).alias("h"), key, "q")
-    right = dealt(ask, "h", query_groups, "g", row_groups).select("g", "h", key, "q")
-
-    def search(rows: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
-        out: list[tuple[int, int, int]] = []
-        if len(rows) and len(asked):
-            values = _matrix(rows["q"].tolist())
-            ids = rows[key].to_numpy(np.int64)
-            weights = _matrix(asked["q"].tolist())
-            width = max(values.shape[1], weights.shape[1])
-            values = np.pad(values, [(0, 0), (0, width - values.shape[1])])
-            weights = np.pad(weights, [(0, 0), (0, width - weights.shape[1])])
-            # Blocks are random groups: one may exceed the wished size; it is searched in even parts.
-            for a in range(0, len(ids), block_rows):
-                index = BitSlices(ids[a : a + block_rows], values[a : a + block_rows])
-                for own, w in zip(asked[key].tolist(), weights, strict=True):
-                    out += [(own, i, s) for i, s in index.top(w, k, own)]
-        return pd.DataFrame(out, columns=["query_id", key, "score"])
-
-    found = ship.groupBy("g", "h").cogroup(right.groupBy("g", "h")).applyInPandas(search, f"query_id bigint, {key} bigint, score bigint")
+    index, asked = cut(index_blocks(candidates, key, block_rows, k)), cut(query_blocks(queries, key, block_queries))
+    row_groups, query_groups = ((d.agg(F.max(c)).first()[0] or 0) + 1 for d, c in ((index, "g"), (asked, "h")))
+    parts = max(1, min(row_groups * query_groups, 8 * spark.sparkContext.defaultParallelism))
+    for_all = lambda name, n: F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias(name)
+    left = index.select("*", for_all("h", query_groups)).repartition(parts, "g", "h")
+    pairs = left.join(asked.select("*", for_all("g", row_groups)).repartition(parts, "g", "h"), ["g", "h"])
+
+    def search(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            for r in frame.itertuples(index=False):
+                block, out = BitSlices.stored(r.n_rows, r.bits, r.offset, r.ids, r.slices), []
+                own = np.frombuffer(r.asked, np.int64)
+                weights = np.frombuffer(r.weights, np.int64).reshape(len(own), -1)
+                # Components beyond the shorter of the two are zero.
+                weights = np.pad(weights, [(0, 0), (0, max(0, len(block.slices) - weights.shape[1]))])[:, : len(block.slices)]
+                for one, w in zip(own.tolist(), weights, strict=True):
+                    out += [(one, i, s) for i, s in block.top(w, k, one)]
+                yield pd.DataFrame(out, columns=["query_id", key, "score"])
+
+    found = pairs.mapInPandas(search, f"query_id bigint, {key} bigint, score bigint")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), key)
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", key, "score")
 
@@ -186,26 +218,3 @@ def top_k(
 def every_nth(vectors: DataFrame, n: int, key: str = "vec_id") -> DataFrame:
     """The rows whose id is divisible by ``n``."""
     return vectors.where(F.pmod(F.col(key), F.lit(n)) == 0)
-
-
-def index_blocks(vectors: DataFrame, key: str = "vec_id", block_rows: int = BLOCK_ROWS) -> DataFrame:
-    """Stored form of the index: a row per block with its ids, offset, number of bits and slices as bytes.
-
-    Blocks follow the input partitions, so nothing is shuffled.
-    """
-    ship_package(vectors.sparkSession)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for a in range(0, batch.num_rows, block_rows):
-                part = batch.slice(a, block_rows)
-                index = BitSlices(part.column(0).to_numpy(zero_copy_only=False).astype(np.int64), _matrix(part.column(1).to_pylist()))
-                yield pa.RecordBatch.from_pydict(
-                    {
-                        "n_rows": pa.array([len(index.ids)], pa.int64()), "components": pa.array([len(index.slices)], pa.int32()),
-                        "bits": pa.array([index.bits], pa.int32()), "offset": pa.array([index.offset], pa.int64()),
-                        "ids": pa.array([index.ids.tobytes()], pa.binary()), "slices": pa.array([index.slices.tobytes()], pa.binary()),
-                    }
-                )
-
-    return vectors.select(key, "q").mapInArrow(run, "n_rows bigint, components int, bits int, offset bigint, ids binary, slices binary")

@@ -45,7 +45,17 @@ def test_query_equals_brute_force(spark):
     assert B.top_k(q.where("false"), q.where("false")).count() == 0
     few = q.where("vec_id < 10")
     assert B.top_k(few, few.limit(1)).count() <= max(0, few.count() - 1)
-    assert B.index_blocks(q).count() >= 1
+    stored = B.index_blocks(q, block_rows=40).collect()
+    assert sum(r.n_rows for r in stored) == 150 and max(r.n_rows for r in stored) <= 40
+
+
+def test_repeated_candidates_and_unequal_widths(spark):
+    """Rows equal in id and vector count as often as places can be filled; shorter vectors are filled with zeros."""
+    rows = [(1, [1.0, 2.0])] * 9 + [(2, [1.0])] * 2 + [(3, [0.5, 0.5, 9.0]), (0, [1.0, 1.0])]
+    q = B.quantised(spark.createDataFrame(rows, "vec_id bigint, embedding array<float>"))
+    made = B.top_k(q, q.where("vec_id in (0, 3)"), 5).orderBy("query_id", "rank").collect()
+    assert [(r.vec_id, r.score) for r in made if r.query_id == 0] == [(1, 3 * 65536)] * 5
+    assert [(r.vec_id, r.score) for r in made if r.query_id == 3] == [(1, int(1.5 * 65536))] * 5
 
 
 def leaves(spark, rows):
