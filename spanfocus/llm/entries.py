@@ -185,6 +185,58 @@ def _mixing_sql() -> str:
     """
 
 
+def _urls_sql(steps: int = 100) -> str:
+    """Longest rule by search over all that fit; ranks by a recursive statement of ``steps`` rounds."""
+    rules = ", ".join(f"('{v}', '{h}', '{p}')" for v, h, p in URL_RULES)
+    upper, lower = url_filters.UPPER, url_filters.LOWER
+
+    def after(url: str) -> str:
+        return f"CASE WHEN {url} IS NULL OR strpos({url}, '://') = 0 THEN '' ELSE substr({url}, strpos({url}, '://') + 3) END"
+
+    def host(url: str) -> str:
+        return f"translate(regexp_extract({after(url)}, '^([^/?#]*)', 1), '{upper}', '{lower}')"
+
+    def walk(name: str, verdict: str, source: str, target: str) -> str:
+        return f"""
+        start_{name} AS (SELECT host, count(*) / sum(count(*)) OVER () AS s FROM judged WHERE host <> '' AND by_rule = '{verdict}' GROUP BY host),
+        share_{name} AS (SELECT {source} AS a, {target} AS b, links / sum(links) OVER (PARTITION BY {source}) AS share FROM edges),
+        walk_{name}(step, host, rank) AS (
+            SELECT 0, host, s::DOUBLE FROM start_{name}
+            UNION ALL
+            SELECT step + 1, host, sum(rank) FROM (
+                SELECT w.step, e.b AS host, 0.85 * w.rank * e.share AS rank FROM walk_{name} w JOIN share_{name} e ON w.host = e.a
+                UNION ALL
+                SELECT m.step, s.host, s.s * (1 - m.kept) FROM start_{name} s, (
+                    SELECT max(w.step) AS step, coalesce(sum(0.85 * w.rank) FILTER (w.host IN (SELECT a FROM share_{name})), 0) AS kept FROM walk_{name} w
+                ) m WHERE m.step IS NOT NULL
+            ) WHERE step < {steps} GROUP BY step, host
+        ),
+        rank_{name} AS (SELECT host, rank FROM walk_{name} WHERE step = {steps})"""
+
+    return f"""
+    WITH RECURSIVE rules(verdict, name, prefix) AS (VALUES {rules}),
+    found AS (SELECT page_id, url, html, {host("url")} AS host, regexp_extract({after("url")}, '^[^/?#]*([^?#]*)', 1) AS path FROM pages),
+    judged AS (
+        SELECT f.*, m.rule, m.verdict AS by_rule FROM found f LEFT JOIN (
+            SELECT f.page_id, arg_max(r.name || r.prefix, (length(r.name || r.prefix), r.name || r.prefix)) AS rule,
+                arg_max(r.verdict, (length(r.name || r.prefix), r.name || r.prefix)) AS verdict
+            FROM found f JOIN rules r ON (f.host = r.name OR ends_with(f.host, '.' || r.name)) AND starts_with(f.path, r.prefix) GROUP BY f.page_id
+        ) m USING (page_id)
+    ),
+    hrefs AS (
+        SELECT host AS src, split_part(url, '://', 1) AS scheme,
+            unnest(regexp_extract_all(html, '(?i)\\bhref\\s*=\\s*["'']?((?:[a-z][a-z0-9+.-]*:)?//[^"''\\s>]+)', 1)) AS link FROM found
+    ),
+    ends AS (SELECT src, CASE WHEN starts_with(link, '//') THEN scheme || ':' || link ELSE link END AS link FROM hrefs),
+    edges AS (
+        SELECT src, dst, count(*) AS links FROM (SELECT src, {host("link")} AS dst FROM ends) WHERE src <> dst AND src <> '' AND dst <> '' GROUP BY ALL
+    ),{walk("good", "allow", "src", "dst")},{walk("bad", "block", "dst", "src")}
+    SELECT page_id, j.host, path, rule, coalesce(by_rule, CASE WHEN coalesce(b.rank, 0) / nullif(coalesce(b.rank, 0) + coalesce(g.rank, 0), 0) > 0.5
+        THEN 'block' ELSE 'allow' END) AS verdict
+    FROM judged j LEFT JOIN rank_good g ON j.host = g.host LEFT JOIN rank_bad b ON j.host = b.host
+    """
+
+
 def oracle_sql() -> dict[str, str]:
     probe = "<|im_end|><|im_start|>assistant ok"
     return {
@@ -218,5 +270,6 @@ def oracle_sql() -> dict[str, str]:
                 SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM s
             ) WHERE rank <= 5
         """,
+        "op9_url_filters": _urls_sql(),
         "op10_source_mixing": _mixing_sql(),
     }

@@ -113,7 +113,7 @@ def judge_urls(
     """(key, host, path, rule, verdict, trust, distrust) of every row.
 
     A fitting rule decides. Else the host is blocked where distrust exceeds ``threshold`` of its trust and
-    distrust together, each taken relative to an even share; hosts that no walk reaches, and urls without a
+    distrust together, each a share of its own walk's mass; hosts that no walk reaches, and urls without a
     host, are allowed. Null urls have empty host and path; a null page text has no links; repeated rows stay
     and count as seeds once per row.
     """
