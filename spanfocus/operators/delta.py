@@ -43,11 +43,16 @@ def unigram_table(df: DataFrame, alpha: float = 1.0, text: str = "text", mode: s
     return WeightTable(h[order], p[order])
 
 
+#: Later segments whose perplexities are computed at once.
+_LATER = 16
+
+
 @dataclass(frozen=True)
 class DeltaOptions:
     """``strength`` absolute or relative gain; ``distance_weight`` multiplies (j-i)/(N-1); ``specificity``
     multiplies the share of distinct tokens of the later segment; gains not above ``threshold`` count as 0;
-    ``pairs`` bounds the distance i..j to so many segments (0: all pairs)."""
+    ``pairs`` bounds the distance i..j to so many segments (0: all pairs); ``sampled`` is the share of pairs
+    that a seeded draw keeps, and the sum is over those."""
 
     segment: int = 32
     mix: float = 0.5
@@ -56,6 +61,8 @@ class DeltaOptions:
     specificity: bool = False
     threshold: float | None = None
     pairs: int = 0
+    sampled: float = 1.0
+    seed: int = 1
 
     def __post_init__(self) -> None:
         if self.strength not in ("absolute", "relative"):
@@ -63,19 +70,38 @@ class DeltaOptions:
 
 
 def gains(h: np.ndarray, p: np.ndarray, o: DeltaOptions) -> tuple[np.ndarray, np.ndarray]:
-    """Perplexity of each segment alone, (segments,), and given each earlier one, (given i, segment j)."""
-    n = len(h) // o.segment
-    codes = np.unique(h, return_inverse=True)[1][: n * o.segment]
-    p = p[: n * o.segment]
-    of = np.repeat(np.arange(n), o.segment)
-    counts = np.bincount(of * (codes.max() + 1) + codes, minlength=n * (codes.max() + 1)).reshape(n, -1)
-    alone = np.exp(-np.log(p).reshape(n, o.segment).mean(axis=1))
-    mixed = (1 - o.mix) * p + o.mix * counts[:, codes] / o.segment
-    return alone, np.exp(-np.log(mixed).reshape(n, n, o.segment).mean(axis=2))
-
-
-def delta_matrix(h: np.ndarray, p: np.ndarray, o: DeltaOptions) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """alone (j), given (i, j) and weighted gain (i, j) with zeros where i >= j."""
+    """Perplexity of each segment alone, (segments,), and given each earlier one, (given i, segment j).
+
+    Later segments are taken a few at a time; for these, only the counts of their own tokens are spread out.
+    """
+    n, size = len(h) // o.segment, o.segment
+    codes, p = np.unique(h, return_inverse=True)[1][: n * size], p[: n * size]
+    alone = np.exp(-np.log(p).reshape(n, size).mean(axis=1))
+    # Occurrences by code: what segments hold a code, and how often.
+    held, times = np.unique(codes * n + np.repeat(np.arange(n), size), return_counts=True)
+    of, segment = held // n, held % n
+    given = np.empty((n, n))
+    for a in range(0, n, _LATER):
+        b = min(n, a + _LATER)
+        own, at = np.unique(codes[a * size : b * size], return_inverse=True)
+        begin, end = np.searchsorted(of, own), np.searchsorted(of, own, "right")
+        column = np.repeat(np.arange(len(own)), end - begin)
+        places = np.arange(len(column)) - np.repeat(np.cumsum(end - begin) - (end - begin), end - begin) + np.repeat(begin, end - begin)
+        counts = np.zeros((n, len(own)))
+        counts[segment[places], column] = times[places]
+        mixed = (1 - o.mix) * p[a * size : b * size] + o.mix * counts[:, at] / size
+        given[:, a:b] = np.exp(-np.log(mixed).reshape(n, b - a, size).mean(axis=2))
+    return alone, given
+
+
+def drawn_pairs(i: np.ndarray, j: np.ndarray, share: float, seed: int, key: int) -> np.ndarray:
+    """Whether a pair is in the seeded draw: a mixed number of document, pair and seed below the share."""
+    number = (key % 1_000_003) * 31 + i * 7_919 + j * 104_729 + seed * 13
+    return number * 2_654_435_761 % 4_294_967_296 < share * 4_294_967_296
+
+
+def delta_matrix(h: np.ndarray, p: np.ndarray, o: DeltaOptions, key: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """alone (j), given (i, j) and weighted gain (i, j) with zeros where i >= j or the pair is not used."""
     alone, given = gains(h, p, o)
     n = len(alone)
     gain = alone[None, :] - given
@@ -90,6 +116,8 @@ def delta_matrix(h: np.ndarray, p: np.ndarray, o: DeltaOptions) -> tuple[np.ndar
         distinct = [len(np.unique(h[k * o.segment : (k + 1) * o.segment])) / o.segment for k in range(n)]
         gain = gain * np.array(distinct)[None, :]
     used = (i < j) & ((j - i <= o.pairs) if o.pairs else True)
+    if o.sampled < 1:
+        used &= drawn_pairs(i, j, o.sampled, o.seed, key)
     return alone, given, np.where(used, gain, 0.0)
 
 
@@ -107,10 +135,10 @@ def delta_perplexity(samples: DataFrame, table: WeightTable, options: dict[str,
         for batch in batches:
             made: list[list[float]] = [[] for _ in named]
             for k in range(batch.num_rows):
-                h = batch.column(3)[k].values.to_numpy(zero_copy_only=False)
+                h, key = batch.column(3)[k].values.to_numpy(zero_copy_only=False), batch.column(0)[k].as_py()
                 p = shared.value.of(h)
                 for column, o in zip(made, named.values(), strict=True):
-                    column.append(float(delta_matrix(h, p, o)[2].sum()))
+                    column.append(float(delta_matrix(h, p, o, key if isinstance(key, int) else 0)[2].sum()))
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], *(pa.array(m, pa.float64()) for m in made)], names=schema.fieldNames())
 
     return samples.select("doc_id", "domain", "n_tokens", token_hashes("tokens").alias("h")).mapInArrow(run, schema)
@@ -140,8 +168,19 @@ def delta_pairs(samples: DataFrame, table: WeightTable, options: DeltaOptions =
     return samples.select("doc_id", token_hashes("tokens").alias("h")).mapInArrow(run, schema)
 
 
-def segment_perplexity(samples: DataFrame, table: WeightTable, options: DeltaOptions = DeltaOptions()) -> DataFrame:
+def segment_perplexity(samples: DataFrame, table: WeightTable, segment: int = 32) -> DataFrame:
     """(doc_id, j, ppl_alone) of every segment under the unigram model."""
-    first = delta_pairs(samples, table, options)
-    later = first.select("doc_id", "j", "ppl_alone").distinct()
-    return later
+    spark = samples.sparkSession
+    ship_package(spark)
+    shared = spark.sparkContext.broadcast(table)
+    schema = StructType([samples.schema["doc_id"], *StructType.fromDDL("j int, ppl_alone double").fields])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(batch.num_rows):
+                p = shared.value.of(batch.column(1)[k].values.to_numpy(zero_copy_only=False))
+                n = len(p) // segment
+                alone = np.exp(-np.log(p[: n * segment]).reshape(n, segment).mean(axis=1))
+                yield pa.RecordBatch.from_arrays([pa.repeat(batch.column(0)[k], n), pa.array(np.arange(n, dtype=np.int32)), pa.array(alone)], names=schema.fieldNames())
+
+    return samples.select("doc_id", token_hashes("tokens").alias("h")).mapInArrow(run, schema)

@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from spanfocus.geometry import Geometry
+from spanfocus.operators.ranks import exact_medians
 
 #: variant: (deviation weight, distance weight of a pair, position weight of a row)
 VARIANTS = {
@@ -70,19 +71,20 @@ def fold_matrix(mass: np.ndarray, rows: Sequence[int], geometry: Geometry, varia
     return total
 
 
+def _stats(pairs: DataFrame, by: Sequence[str]) -> DataFrame:
+    means = pairs.groupBy(*by).agg(F.avg("pair_focus").alias("mean_focus"))
+    middle = exact_medians(pairs.withColumn("median_focus", F.col("pair_focus")), by, ["median_focus"])
+    return middle.join(means, list(by)).select(*by, F.col("n").alias("n_pairs"), "median_focus", "mean_focus")
+
+
 def long_range_stats(pairs: DataFrame, min_gap: int, by: Sequence[str]) -> DataFrame:
-    """Median and mean pair focus of pairs at least ``min_gap`` spans apart, by the columns ``by``."""
-    far = pairs.where(F.col("j") - F.col("i") >= min_gap)
-    return far.groupBy(*by).agg(
-        F.count("*").alias("n_pairs"), F.median("pair_focus").alias("median_focus"), F.avg("pair_focus").alias("mean_focus")
-    )
+    """Median and mean pair focus of pairs at least ``min_gap`` spans apart, by the columns ``by``; ``pairs`` is read several times."""
+    return _stats(pairs.where(F.col("j") - F.col("i") >= min_gap), by)
 
 
 def by_distance(pairs: DataFrame, by: Sequence[str] = ()) -> DataFrame:
     """Median and mean pair focus by distance in spans."""
-    return pairs.groupBy(*by, (F.col("j") - F.col("i")).alias("gap")).agg(
-        F.count("*").alias("n_pairs"), F.median("pair_focus").alias("median_focus"), F.avg("pair_focus").alias("mean_focus")
-    )
+    return _stats(pairs.withColumn("gap", F.col("j") - F.col("i")), [*by, "gap"])
 
 
 def top_pairs(pairs: DataFrame, k: int) -> DataFrame:

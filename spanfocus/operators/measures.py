@@ -11,7 +11,7 @@ from pyspark.sql.types import DoubleType
 
 from spanfocus.functions.text import token_hashes, tokens_of
 from spanfocus.geometry import Geometry, cost_of
-from spanfocus.operators.ranks import average_rank, global_row_number
+from spanfocus.operators.ranks import average_rank, exact_medians, global_row_number
 
 DEPTHS = (0.0, 0.25, 0.5, 0.75, 1.0)
 
@@ -131,9 +131,9 @@ def cost_rows(spark, profiles: Sequence[tuple[str, int, int]]) -> DataFrame:
 
 def category_medians(scores: DataFrame, category: str, one: str = "dependency", two: str = "delta") -> DataFrame:
     """(category, n_docs, two medians, their ranks): medians resist outliers; rank 1 is the highest."""
-    rows = scores.groupBy(F.col(category).alias("category")).agg(
-        F.count("*").alias("n_docs"), F.round(F.median(one), 6).alias("median_dependency"), F.round(F.median(two), 6).alias("median_delta")
-    )
+    named = scores.select(F.col(category).alias("category"), F.col(one).alias("m1"), F.col(two).alias("m2"))
+    middle = exact_medians(named, ["category"], ["m1", "m2"])
+    rows = middle.select("category", F.col("n").alias("n_docs"), F.round("m1", 6).alias("median_dependency"), F.round("m2", 6).alias("median_delta"))
     rank = lambda c: F.row_number().over(Window.orderBy(F.desc(c), "category"))
     return rows.select("*", rank("median_dependency").alias("rank_dependency"), rank("median_delta").alias("rank_delta"))
 

@@ -95,8 +95,8 @@ def training_sequences(df: DataFrame, length: int, token_budget: int, seed: int
     """(doc_id, place, tokens): sequences of ``length`` tokens, drawn in md5 order until the budget is used."""
     n = token_budget // length
     drawn = df.where(F.size("tokens") >= length).select("doc_id", F.slice("tokens", 1, length).alias("tokens"))
-    ids = drawn.select("doc_id", T.random_order("doc_id", seed).alias("o")).orderBy("o", "doc_id").limit(n)
-    placed = ids.select("doc_id", F.row_number().over(Window.orderBy("o", "doc_id")).alias("place"))
+    ids = global_row_number(drawn.select("doc_id", T.random_order("doc_id", seed).alias("o")), F.col("o"), F.col("doc_id"))
+    placed = ids.where(F.col("place") <= n).select("doc_id", F.col("place").cast("int").alias("place"))
     return drawn.join(placed, "doc_id").select("doc_id", "place", "tokens")
 
 

@@ -8,11 +8,12 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from spanfocus.functions.text import random_order
+from spanfocus.operators.ranks import range_sums, running_in_groups
 from spanfocus.session import cut
 from spanfocus.sources.tables import require
 
-#: Decimal places that scores are rounded to before they are ranked, and bins of the threshold search.
-PLACES, BINS = 6, 1024
+#: Decimal places that scores are rounded to before they are ranked.
+PLACES = 6
 COLUMNS = ("doc_id", "domain", "score", "domain_rank", "n_tokens", "cum_tokens", "quota_tokens")
 
 
@@ -36,16 +37,9 @@ def quotas(shares: DataFrame, budget: int) -> DataFrame:
     return rows.select("domain", (F.col("floor") + extra.cast("bigint")).alias("quota_tokens"))
 
 
-def _ranked(df: DataFrame, *order: Column | str) -> DataFrame:
-    window = Window.partitionBy("domain").orderBy(*order, "doc_id")
-    return df.withColumn("domain_rank", F.row_number().over(window)).withColumn(
-        "cum_tokens", F.sum("n_tokens").over(window.rowsBetween(Window.unboundedPreceding, 0)).cast("bigint")
-    )
-
-
 def by_quota(df: DataFrame, budget: int, *order: Column | str) -> DataFrame:
     """Rows of each domain in the given order while their running tokens stay within the domain's quota."""
-    placed = _ranked(df, *order).join(quotas(domain_shares(df), budget), "domain")
+    placed = running_in_groups(df, "domain", *order, F.col("doc_id")).join(quotas(domain_shares(df), budget), "domain")
     return placed.where(F.col("cum_tokens") <= F.col("quota_tokens"))
 
 
@@ -53,44 +47,36 @@ def select_by_domain(df: DataFrame, budget: int, score: str = "score") -> DataFr
     """Best-scored rows of every domain under a token budget that keeps the domains' token shares.
 
     ``df`` has doc_id, domain, n_tokens and the score. Scores are rounded before ranking; ties go to the
-    smaller doc_id; the budget is never overshot. Exact by one sort per domain: for domains that outgrow a
-    task use :func:`select_by_threshold`, which gives the same rows.
+    smaller doc_id; the budget is never overshot. Running sums are taken over ranges of the order, so no
+    domain has to fit a task. :func:`select_by_threshold` gives the same rows and orders fewer.
     """
     rows = require(df, "doc_id", "domain", "n_tokens", score).withColumn("score", F.round(score, PLACES))
     return by_quota(rows, budget, F.desc("score")).select(*COLUMNS)
 
 
-def select_by_threshold(df: DataFrame, budget: int, score: str = "score", bins: int = BINS) -> DataFrame:
-    """The rows of :func:`select_by_domain` without sorting whole domains: (doc_id, domain, score, n_tokens).
+def select_by_threshold(df: DataFrame, budget: int, score: str = "score") -> DataFrame:
+    """The rows of :func:`select_by_domain` without ordering whole domains: (doc_id, domain, score, n_tokens).
 
-    A histogram of tokens by score finds each domain's cut bin; bins above are taken and bins below left
-    without sorting, and only the rows of the cut bin are summed one by one.
+    Ranges of (domain, score, doc_id), even in rows whatever the scores, are summed; those above a domain's
+    cut are taken and those below left as they are, and only the range of the cut is summed row by row.
     """
     rows = require(df, "doc_id", "domain", "n_tokens", score).select("doc_id", "domain", "n_tokens", F.round(score, PLACES).alias("score"))
-    rows = cut(rows)  # four passes follow; the scores are not computed again
-    ends = rows.groupBy("domain").agg(F.min("score").alias("low"), F.max("score").alias("high"))
-    plan = ends.join(quotas(domain_shares(rows), budget), "domain")
-    width = F.when(F.col("high") > F.col("low"), F.col("high") - F.col("low")).otherwise(F.lit(1.0))
-    bin_of = F.least(F.floor((F.col("high") - F.col("score")) / width * bins), F.lit(bins - 1)).cast("int")
-    binned = rows.join(plan, "domain").withColumn("bin", bin_of).select("doc_id", "domain", "score", "n_tokens", "quota_tokens", "bin")
-    sums = binned.groupBy("domain", "quota_tokens", "bin").agg(F.sum("n_tokens").alias("t"))
-    upto = Window.partitionBy("domain").orderBy("bin").rowsBetween(Window.unboundedPreceding, 0)
-    sums = sums.withColumn("end", F.sum("t").over(upto))
-    cuts = sums.where(F.col("end") > F.col("quota_tokens")).groupBy("domain").agg(F.min(F.struct("bin", (F.col("end") - F.col("t")).alias("before"))).alias("c"))
-    placed = binned.join(cuts, "domain", "left")
-    sure = placed.where(F.col("c").isNull() | (F.col("bin") < F.col("c.bin")))
-    order = Window.partitionBy("domain").orderBy(F.desc("score"), "doc_id").rowsBetween(Window.unboundedPreceding, 0)
-    edge = placed.where(F.col("bin") == F.col("c.bin")).withColumn("run", F.col("c.before") + F.sum("n_tokens").over(order))
+    ranged, ranges = range_sums(rows, "domain", F.desc("score"), F.col("doc_id"))
+    plan = ranges.join(quotas(domain_shares(ranged), budget), "domain").withColumnRenamed("domain", "_g")
+    placed = ranged.join(plan, F.col("domain").eqNullSafe(F.col("_g")) & (F.col("_part") == F.col("_range")))
     keep = ["doc_id", "domain", "score", "n_tokens"]
-    return sure.select(*keep).unionByName(edge.where(F.col("run") <= F.col("quota_tokens")).select(*keep))
+    sure = placed.where(F.col("_before") + F.col("_size") <= F.col("quota_tokens")).select(*keep)
+    edge = placed.where((F.col("_before") <= F.col("quota_tokens")) & (F.col("_before") + F.col("_size") > F.col("quota_tokens")))
+    order = Window.partitionBy("domain", "_part").orderBy(F.desc("score"), "doc_id").rowsBetween(Window.unboundedPreceding, 0)
+    edge = edge.withColumn("run", F.col("_before") + F.sum("n_tokens").over(order)).where(F.col("run") <= F.col("quota_tokens"))
+    return sure.unionByName(edge.select(*keep))
 
 
 def select_fraction(df: DataFrame, fraction: float, score: str = "score") -> DataFrame:
     """The best ``fraction`` of each domain's rows, rounded down; ties to the smaller doc_id."""
-    rows = require(df, "doc_id", "domain", score).withColumn("score", F.round(score, PLACES))
+    rows = require(df, "doc_id", "domain", score).withColumn("score", F.round(score, PLACES)).withColumn("_one", F.lit(1))
     sizes = rows.groupBy("domain").agg(F.floor(F.count("*") * F.lit(fraction) + 1e-9).cast("int").alias("k"))
-    window = Window.partitionBy("domain").orderBy(F.desc("score"), "doc_id")
-    placed = rows.withColumn("domain_rank", F.row_number().over(window)).join(sizes, "domain")
+    placed = running_in_groups(rows, "domain", F.desc("score"), F.col("doc_id"), total="_one").join(sizes, "domain")
     return placed.where(F.col("domain_rank") <= F.col("k")).select("doc_id", "domain", "score", "domain_rank")
 
 

@@ -240,12 +240,15 @@ def dependency_trained(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 # Scores.
 
-_SPANS = """SELECT doc_id, j, n_terms, round(sigma, 6) AS sigma, round(weighted_sum, 6) AS weighted_sum, round(span_focus, 6) AS span_focus FROM sf"""
+# Ten places first: a value on the half of the sixth place then rounds the same way whatever its last bits are.
+_SPAN_VALUES = ("sigma", "weighted_sum", "span_focus")
+_SPANS = f"SELECT doc_id, j, n_terms, {', '.join(f'round(round({c}, 10), 6) AS {c}' for c in _SPAN_VALUES)} FROM sf"
 
 
 def _span_query(name: str, ddof: int) -> None:
     def spans(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return rounded(focus.span_focus(long_pairs(spark, sf_dir), DESK, ddof=ddof), "sigma", "weighted_sum", "span_focus")
+        made = focus.span_focus(long_pairs(spark, sf_dir), DESK, ddof=ddof)
+        return rounded(made.withColumns({c: F.round(c, 10) for c in _SPAN_VALUES}), *_SPAN_VALUES)
 
     TABLE.add(name, spans, f"{O.with_(O.base(DESK), O.pairs(DESK), O.span_rows(DESK, ddof=ddof))} {_SPANS}")
 
@@ -323,7 +326,7 @@ def _piece_ctes(pieces: tuple[int, ...] = (64, 128, 256, 512)) -> str:
 def long_range_median_by_piece(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = pieces_table(spark, sf_dir)
     pairs = lexical.pair_focus_kernel(rows, lexical.weight_table(docs(spark, sf_dir)), DESK)
-    tagged = pairs.withColumn("piece_len", F.floor(F.col("doc_id") / 1_000_000).cast("int"))
+    tagged = cut(pairs.where("j - i >= 32").select(F.floor(F.col("doc_id") / 1_000_000).cast("int").alias("piece_len"), "j", "i", "pair_focus"))
     return rounded(focus.long_range_stats(tagged, 32, ["piece_len"]), "median_focus", "mean_focus")
 
 
@@ -422,13 +425,13 @@ def select_labelled(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @TABLE.query(f"{O.with_(O.base(DESK), O.unigrams())} SELECT u.token, u.n, round(p * 1e6, 6) AS p_millionths FROM uni u JOIN prob USING (token)")
 def unigram_model(spark: SparkSession, sf_dir: str) -> DataFrame:
-    counts = delta.unigram_counts(docs(spark, sf_dir)).persist()
+    counts = cut(delta.unigram_counts(docs(spark, sf_dir)))
     v, total = counts.agg(F.count("*"), F.sum("n")).first()
     p = (F.col("n") + 1.0) / F.lit(float((total or 0) + v + 1))
     return counts.select("token", "n", F.round(p * 1e6, 6).alias("p_millionths"))
 
 
-@TABLE.query(f"{O.with_(O.base(DESK), O.unigrams(), O.deltas())} SELECT doc_id, j, round(ppl_alone, 3) AS ppl_alone FROM alone WHERE j > 0")
+@TABLE.query(f"{O.with_(O.base(DESK), O.unigrams(), O.deltas())} SELECT doc_id, j, round(ppl_alone, 3) AS ppl_alone FROM alone")
 def segment_perplexity(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = delta.segment_perplexity(desk(spark, sf_dir), delta.unigram_table(docs(spark, sf_dir)))
     return made.withColumn("ppl_alone", F.round("ppl_alone", 3))
@@ -456,6 +459,10 @@ _last = DESK.length // 32 - 1
 _delta_query("delta_distance", delta.DeltaOptions(distance_weight=True), f"(ppl_alone - ppl_given) * (j - i) / {_last}.0", 3)
 _delta_query("delta_threshold", delta.DeltaOptions(strength="relative", threshold=0.0), "greatest((ppl_alone - ppl_given) / ppl_alone, 0)", 6)
 _delta_query("delta_near_pairs", delta.DeltaOptions(pairs=4), "CASE WHEN j - i <= 4 THEN ppl_alone - ppl_given ELSE 0 END", 3)
+_distinct = "(SELECT count(DISTINCT token) FROM seg s WHERE s.doc_id = delta.doc_id AND s.j = delta.j)"
+_delta_query("delta_specificity", delta.DeltaOptions(specificity=True), f"(ppl_alone - ppl_given) * {_distinct} / 32.0", 3)
+_number = "((doc_id % 1000003) * 31 + i * 7919 + j * 104729 + 2 * 13)::HUGEINT * 2654435761 % 4294967296"
+_delta_query("delta_sampled_pairs", delta.DeltaOptions(sampled=0.25, seed=2), f"CASE WHEN {_number} < 0.25 * 4294967296 THEN ppl_alone - ppl_given ELSE 0 END", 3)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

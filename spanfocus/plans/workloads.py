@@ -7,14 +7,14 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from spanfocus.functions import published
 from spanfocus.functions import text as T
 from spanfocus.geometry import Geometry, cost_of
 from spanfocus.operators import delta, lexical, lm, measures, relational, samples, select, states, trained
-from spanfocus.operators.focus import VARIANTS
+from spanfocus.operators.focus import VARIANTS, long_range_stats
 from spanfocus.plans import oracles as O
 from spanfocus.plans.entry_table import EntryTable
 from spanfocus.plans.method_queries import (
@@ -105,7 +105,7 @@ def needle_heatmap(spark: SparkSession, sf_dir: str) -> DataFrame:
     SELECT piece_len::INT AS piece_len, context_len, round(a, 6) AS accuracy FROM l
     UNION ALL SELECT piece_len::INT, NULL, round(avg(a), 6) FROM l GROUP BY piece_len""")
 def workload_needles_by_piece(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Retrieval from samples built of pieces of several lengths, by context length, with the mean."""
+    """Retrieval by the lexical calculator from haystacks built of pieces of several lengths, with the mean."""
     hits = lexical_hits(spark, sf_dir, pieces_table(spark, sf_dir)).withColumn("piece_len", F.floor(F.col("hay_doc") / 1_000_000).cast("int"))
     grid = hits.groupBy("piece_len", "context_len", "depth").agg(F.avg("hit").alias("a"))
     by_length = grid.groupBy("piece_len", "context_len").agg(F.avg("a").alias("accuracy"))
@@ -113,24 +113,81 @@ def workload_needles_by_piece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(by_length.unionByName(mean), "accuracy")
 
 
+#: Tasks that train apart in a round.
+GROUPS = 8
+
+
+def trained_on(tokens: DataFrame) -> trained.Calculator:
+    """A calculator trained on whole rows of (doc_id, tokens), in md5 order, without gathering them."""
+    rows = tokens.select("doc_id", "tokens")
+    return trained.train_calculator(cut(samples.training_sequences(rows, DESK.length, DESK.length * rows.count())), groups=GROUPS)
+
+
+def haystacks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Written needle cases of all lengths and depths, in uncut documents."""
+    made = measures.needle_cases(desk(spark, sf_dir).select("doc_id", "tokens"), read_table(spark, sf_dir, "benchmark"), DESK, lengths=LENGTHS)
+    return cut(made.withColumn("n_spans", F.col("n_spans").cast("int")))
+
+
+def trained_hits(cases: DataFrame, model: trained.Calculator) -> DataFrame:
+    """(hay_doc, context_len, depth, hit) by a trained calculator."""
+    parts = []
+    for n in LENGTHS:
+        g = Geometry(n, DESK.span, DESK.skip_first, DESK.skip_near, 1, 1, n // DESK.span - 1)
+        some = cases.where(F.col("context_len") == n).withColumn("case_id", F.concat_ws(":", "hay_doc", "depth"))
+        found = states.focus_with_model(some.select("case_id", "tokens"), model, g, key="case_id")
+        parts.append(found.join(some.select("case_id", "hay_doc", "context_len", "depth", "n_spans"), "case_id"))
+    return with_hits(cases, union(parts))
+
+
+def _with_mean(grid: DataFrame, *by: str) -> DataFrame:
+    """(by, context_len, accuracy): means over depths, and a row with null length for the mean over lengths."""
+    rows = grid.groupBy(*by, "context_len").agg(F.avg("accuracy").alias("accuracy"))
+    mean = rows.groupBy(*by).agg(F.avg("accuracy").alias("accuracy")).withColumn("context_len", F.lit(None).cast("int"))
+    return rounded(rows.unionByName(mean).select(*by, "context_len", "accuracy"), "accuracy")
+
+
+PIECES = tuple(DESK.length // k for k in (8, 4, 2, 1))
+
+
+def piece_calculators(spark: SparkSession, sf_dir: str) -> dict[int, trained.Calculator]:
+    """A calculator for each piece length, all trained on as many samples as the scarcest pieces give."""
+    rows = cut(pieces_table(spark, sf_dir, PIECES))
+    least = min((r["count"] for r in rows.groupBy("domain").count().collect()), default=0)
+    out = {}
+    for piece in PIECES:
+        some = rows.where(F.col("domain") == piece)
+        out[piece] = trained.train_calculator(cut(samples.training_sequences(some, DESK.length, DESK.length * least)), groups=GROUPS)
+    return out
+
+
+@TABLE.query()
+def workload_needles_trained_on_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Calculators trained on samples of pieces (an eighth, a quarter, half and whole), one token budget, one needle grid.
+
+    Rows (piece_len, context_len, accuracy), a null length for the mean over lengths. SQL cannot state the training.
+    """
+    cases = haystacks(spark, sf_dir)
+    made = [measures.needle_accuracy(trained_hits(cases, m)).withColumn("piece_len", F.lit(p)) for p, m in piece_calculators(spark, sf_dir).items()]
+    return _with_mean(union(made), "piece_len")
+
+
+@TABLE.query()
+def workload_long_range_median_trained(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Median pair focus of far pairs by piece length, by a calculator trained on uncut samples. Rows only."""
+    rows = cut(pieces_table(spark, sf_dir, PIECES))
+    model = trained_on(rows.where(F.col("domain") == DESK.length))
+    far = states.focus_with_model(rows, model, DESK).where("j - i >= 32")
+    tagged = cut(far.select(F.floor(F.col("doc_id") / 1_000_000).cast("int").alias("piece_len"), "j", "i", "pair_focus"))
+    return rounded(long_range_stats(tagged, 32, ["piece_len"]), "median_focus", "mean_focus")
+
+
 @TABLE.query()
 def workload_needles_by_method(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Retrieval by calculators trained on each method's whole selection, and by the lexical one; rows only."""
-    scored, out = selections(spark, sf_dir), []
-    cases = cut(measures.needle_cases(desk(spark, sf_dir).select("doc_id", "tokens"), read_table(spark, sf_dir, "benchmark"), DESK, lengths=LENGTHS))
-    cases = cases.withColumn("n_spans", F.col("n_spans").cast("int"))
-    for method, selection in scored.items():
-        rows = selection.select("doc_id", "tokens")
-        whole = cut(samples.training_sequences(rows, DESK.length, DESK.length * rows.count()))
-        model = trained.train_calculator(whole, distributed=True)
-        parts = []
-        for n in LENGTHS:
-            g = Geometry(n, DESK.span, DESK.skip_first, DESK.skip_near, 1, 1, n // DESK.span - 1)
-            some = cases.where(F.col("context_len") == n).withColumn("case_id", F.concat_ws(":", "hay_doc", "depth"))
-            found = states.focus_with_model(some.select("case_id", "tokens"), model, g, key="case_id")
-            parts.append(found.join(some.select("case_id", "hay_doc", "context_len", "depth", "n_spans"), "case_id"))
-        hits = with_hits(cases, union(parts))
-        out.append(measures.needle_accuracy(hits).withColumn("method", F.lit(method)))
+    cases, out = haystacks(spark, sf_dir), []
+    for method, selection in selections(spark, sf_dir).items():
+        out.append(measures.needle_accuracy(trained_hits(cases, trained_on(selection))).withColumn("method", F.lit(method)))
     out.append(needle_accuracy(spark, sf_dir).withColumn("method", F.lit("lexical")))
     return rounded(union(out).select("method", "context_len", "depth", "n_cases", "accuracy"), "accuracy")
 
@@ -138,13 +195,20 @@ def workload_needles_by_method(spark: SparkSession, sf_dir: str) -> DataFrame:
 # Perplexity of selections.
 
 
-def selections(spark: SparkSession, sf_dir: str, share: float = BUDGET_SHARE, seeds: tuple[int, ...] = (1,)) -> dict[str, DataFrame]:
-    """Token tables of the documents that each method selects, held-out texts apart."""
-    rows = desk(spark, sf_dir)
+def candidates(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Token table, dependency scores and delta scores of the documents that are not held out, each written once."""
     free = docs(spark, sf_dir).where(~T.is_heldout("text")).select("doc_id")
-    tokens = cut(rows.join(free, "doc_id", "left_semi"))
-    scored = desk_scores(spark, sf_dir).join(free, "doc_id", "left_semi")
-    changed = delta_scores(spark, sf_dir).withColumn("score", F.round("score", 3)).join(free, "doc_id", "left_semi")
+    tokens = cut(desk(spark, sf_dir).join(free, "doc_id", "left_semi"))
+    scored = cut(desk_scores(spark, sf_dir, keep=False).join(free, "doc_id", "left_semi"))
+    changed = cut(delta_scores(spark, sf_dir).withColumn("score", F.round("score", 3)).join(free, "doc_id", "left_semi"))
+    return tokens, scored, changed
+
+
+def selections(
+    spark: SparkSession, sf_dir: str, share: float = BUDGET_SHARE, seeds: tuple[int, ...] = (1,), found: tuple[DataFrame, DataFrame, DataFrame] | None = None
+) -> dict[str, DataFrame]:
+    """Token tables of the documents that each method selects, held-out texts apart."""
+    tokens, scored, changed = found or candidates(spark, sf_dir)
     budget = budget_of(tokens, share)
     chosen = {"dependency": select.select_by_domain(scored, budget), "delta": select.select_by_domain(changed, budget)}
     chosen |= {f"random_{s}": select.select_random(tokens.select("doc_id", "domain", "n_tokens"), budget, s) for s in seeds}
@@ -260,6 +324,45 @@ def budget_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def _budget_ppl_sql() -> str:
+    ctes, parts = [O.scored(DESK), O.unigrams(), O.deltas(), O.delta_score()], []
+    ctes += [
+        "free AS (SELECT * FROM el WHERE substr(md5(coalesce(text, '')), 1, 1) <> '0')",
+        "held AS (SELECT * FROM el WHERE substr(md5(coalesce(text, '')), 1, 1) = '0')",
+        "fdep AS (SELECT * FROM dep WHERE doc_id IN (SELECT doc_id FROM free))",
+        "fdel AS (SELECT * FROM del WHERE doc_id IN (SELECT doc_id FROM free))",
+    ]
+    for label, share in _SHARES.items():
+        tag = label.rstrip("%").replace(".", "_")
+        ctes.append(re.sub(r"\b(mixed|budget|exact|quota)\b", rf"\1_{tag}", O.quota(share, "free")))
+        for m, (of, order, score) in _METHODS.items():
+            ctes.append(O.chosen(f"c_{m}_{tag}", of, order, score).replace("JOIN quota", f"JOIN quota_{tag}"))
+            ctes.append(f"s_{m}_{tag} AS (SELECT * FROM free WHERE doc_id IN (SELECT doc_id FROM c_{m}_{tag}))")
+            ctes.append(O.lm(f"s_{m}_{tag}", "held", f"{m}_{tag}", (DESK.length,)))
+            parts.append(f"SELECT '{label}' AS budget, '{m}' AS method, model, window_size, n_docs, round(ppl, 3) AS ppl FROM ppl_{m}_{tag}")
+    return f"{O.with_(*ctes)} {' UNION ALL '.join(parts)}"
+
+
+@TABLE.query(_budget_ppl_sql())
+def budget_perplexity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Held-out perplexity of the twelve selections of three methods at four budgets, at the whole window."""
+    found, test, out = candidates(spark, sf_dir), heldout(spark, sf_dir), []
+    for label, share in _SHARES.items():
+        out.append(perplexities(selections(spark, sf_dir, share, found=found), test, (DESK.length,)).withColumn("budget", F.lit(label)))
+    return union(out)
+
+
+@TABLE.query()
+def budget_needles(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Retrieval by calculators trained on each of the twelve selections, mean over depths and lengths. Rows only."""
+    found, cases, out = candidates(spark, sf_dir), haystacks(spark, sf_dir), []
+    for label, share in _SHARES.items():
+        for method, rows in selections(spark, sf_dir, share, found=found).items():
+            by_length = measures.needle_by_length(measures.needle_accuracy(trained_hits(cases, trained_on(rows))))
+            out.append(by_length.where("context_len IS NULL").select(F.lit(label).alias("budget"), F.lit(method).alias("method"), "accuracy"))
+    return rounded(union(out), "accuracy")
+
+
 _ABLATION = ("full", "flat_sigma", "flat_length")
 
 
@@ -281,19 +384,30 @@ def _ablation_sql() -> str:
     return f"{O.with_(*ctes)} {' UNION ALL '.join(parts)}"
 
 
-@TABLE.query(_ablation_sql())
-def ablation_table(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Selections by the full score and without either weight, measured by held-out perplexity."""
+def ablation_selections(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
+    """Token tables selected by the full score and by the score without either weight."""
     table, rows = lexical.weight_table(docs(spark, sf_dir)), desk(spark, sf_dir)
     free = docs(spark, sf_dir).where(~T.is_heldout("text")).select("doc_id")
     scored = cut(lexical.score_documents(rows, table, DESK, _ABLATION).join(free, "doc_id", "left_semi"))
-    tokens, test, out = cut(rows.join(free, "doc_id", "left_semi")), heldout(spark, sf_dir), []
-    budget = budget_of(scored)
-    for v in _ABLATION:
-        chosen = select.select_by_domain(scored, budget, f"{v}_4_4")
-        made = perplexities({v: cut(tokens.join(chosen.select("doc_id"), "doc_id", "left_semi"))}, test)
-        out.append(made.select(F.lit(v).alias("variant"), "model", "window_size", "ppl"))
-    return union(out)
+    tokens, budget = cut(rows.join(free, "doc_id", "left_semi")), budget_of(scored)
+    chosen = {v: select.select_by_domain(scored, budget, f"{v}_4_4") for v in _ABLATION}
+    return {v: cut(tokens.join(c.select("doc_id"), "doc_id", "left_semi")) for v, c in chosen.items()}
+
+
+@TABLE.query(_ablation_sql())
+def ablation_table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Selections by the full score and without either weight, measured by held-out perplexity."""
+    made = perplexities(ablation_selections(spark, sf_dir), heldout(spark, sf_dir))
+    return made.select(F.col("method").alias("variant"), "model", "window_size", "ppl")
+
+
+@TABLE.query()
+def ablation_needles(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same selections measured by the retrieval of calculators trained on them. Rows only."""
+    cases, out = haystacks(spark, sf_dir), []
+    for v, rows in ablation_selections(spark, sf_dir).items():
+        out.append(measures.needle_accuracy(trained_hits(cases, trained_on(rows))).withColumn("variant", F.lit(v)))
+    return _with_mean(union(out), "variant")
 
 
 # Published numbers.
@@ -357,9 +471,61 @@ def table_inconsistencies(spark: SparkSession, sf_dir: str) -> DataFrame:
     return off.select("model", "method", "category", F.round("score", 4).alias("printed"), F.round("computed", 4).alias("computed"))
 
 
+_PPL_CTE = f"printed(model, method, window_size, ppl) AS (VALUES {_values(published.perplexity_rows())})"
+
+
+@TABLE.query(f"""WITH {_PPL_CTE}, p AS (SELECT model, method, window_size, ppl::DOUBLE AS ppl FROM printed)
+    SELECT a.model, a.window_size::INT AS window_size, round(min(b.ppl) - any_value(a.ppl), 3) AS margin, any_value(a.ppl) < min(b.ppl) AS lowest
+    FROM p a JOIN p b ON a.model = b.model AND a.window_size = b.window_size AND b.method <> 'dependency' WHERE a.method = 'dependency' GROUP BY ALL""")
+def perplexity_margins_published(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How far the dependency score's printed perplexities lie below the better of the two others, setting by setting."""
+    rows = spark.createDataFrame(published.perplexity_rows(), "model string, method string, window_size int, ppl double")
+    own, rest = F.min(F.when(F.col("method") == "dependency", F.col("ppl"))), F.min(F.when(F.col("method") != "dependency", F.col("ppl")))
+    made = rows.groupBy("model", "window_size").agg(own.alias("own"), rest.alias("rest"))
+    return made.select("model", "window_size", F.round(F.col("rest") - F.col("own"), 3).alias("margin"), (F.col("own") < F.col("rest")).alias("lowest"))
+
+
+@TABLE.query(f"""WITH n(piece_len, context_len, accuracy, printed) AS (VALUES {_values(published.needle_rows())})
+    SELECT piece_len::INT AS piece_len, round(avg(accuracy::DOUBLE), 4) AS mean_accuracy, any_value(printed)::DOUBLE AS printed,
+        abs(avg(accuracy::DOUBLE) - any_value(printed)::DOUBLE) < 0.0051 AS agrees,
+        coalesce(avg(accuracy::DOUBLE) > lag(avg(accuracy::DOUBLE)) OVER (ORDER BY piece_len), TRUE) AS rises FROM n GROUP BY piece_len""")
+def needles_by_piece_published(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Means over context lengths of the printed accuracies: do they give the printed means, and rise with the piece?"""
+    rows = spark.createDataFrame(published.needle_rows(), "piece_len int, context_len int, accuracy double, printed double")
+    made = rows.groupBy("piece_len").agg(F.avg("accuracy").alias("m"), F.first("printed").alias("printed"))
+    before = F.lag("m").over(Window.orderBy("piece_len"))
+    return made.select(
+        "piece_len", F.round("m", 4).alias("mean_accuracy"), "printed", (F.abs(F.col("m") - F.col("printed")) < 0.0051).alias("agrees"),
+        F.coalesce(F.col("m") > before, F.lit(True)).alias("rises"),
+    )
+
+
+@TABLE.query(f"""WITH s(row_stride, col_stride, seconds, r) AS (VALUES {_values(published.stride_rows())}), one AS (SELECT seconds::DOUBLE AS base FROM s WHERE row_stride = 4 AND col_stride = 4)
+    SELECT row_stride::INT AS row_stride, col_stride::INT AS col_stride, round(seconds::DOUBLE / base, 3) AS times, r::DOUBLE AS correlation, r::DOUBLE > 0.7 AS above FROM s, one""")
+def strides_published(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Printed seconds a sample relative to strides of four, and whether all correlations exceed 0.7."""
+    rows = published.stride_rows()
+    base = next(s for a, b, s, _ in rows if (a, b) == (4, 4))
+    made = spark.createDataFrame(rows, "row_stride int, col_stride int, seconds double, correlation double")
+    return made.select("row_stride", "col_stride", F.round(F.col("seconds") / base, 3).alias("times"), "correlation", (F.col("correlation") > 0.7).alias("above"))
+
+
+@TABLE.query(f"""WITH a(variant, category, score) AS (VALUES {_values(published.ablation_rows())}), b AS (SELECT variant, category, score::DOUBLE AS score FROM a)
+    SELECT x.variant, x.category, round(y.score - x.score, 2) AS falls_by, y.score > x.score AS falls
+    FROM b x JOIN b y ON x.category = y.category AND y.variant = 'full' WHERE x.variant <> 'full'""")
+def ablation_published(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the printed scores lose without either weight, by category and overall."""
+    rows = spark.createDataFrame(published.ablation_rows(), "variant string, category string, score double")
+    full = rows.where("variant = 'full'").select("category", F.col("score").alias("whole"))
+    made = rows.where("variant <> 'full'").join(full, "category")
+    return made.select("variant", "category", F.round(F.col("whole") - F.col("score"), 2).alias("falls_by"), (F.col("whole") > F.col("score")).alias("falls"))
+
+
 # Strides and cost.
 
 _STRIDES = ((4, 4), (2, 4), (4, 2), (2, 2))
+#: Samples of the stride study, as published.
+_DRAWN = 5_000
 
 
 def _stride_sql() -> str:
@@ -373,7 +539,8 @@ def _stride_sql() -> str:
         ctes += [p, s, O.dependency(g, "full", f"dep{t}", f"sf{t}")]
         cols.append(f"round(d{t}.score, 6) AS s{t}")
     joins = " ".join(f"JOIN dep{a}{b} d{a}{b} USING (doc_id)" for a, b in _STRIDES)
-    ctes.append(f"v AS (SELECT doc_id, {', '.join(cols)} FROM el {joins})")
+    ctes.append(f"drawn AS (SELECT doc_id FROM el ORDER BY md5('1:' || doc_id::VARCHAR), doc_id LIMIT {_DRAWN})")
+    ctes.append(f"v AS (SELECT doc_id, {', '.join(cols)} FROM drawn {joins})")
     names = [f"s{a}{b}" for a, b in _STRIDES]
     ranks = ", ".join(
         f"rank() OVER (ORDER BY {n}) + (count(*) OVER (PARTITION BY {n}) - 1) / 2 AS r{n}, row_number() OVER (ORDER BY {n} DESC, doc_id) <= 50 AS t{n}" for n in names
@@ -389,8 +556,10 @@ def _stride_sql() -> str:
 
 @TABLE.query(_stride_sql())
 def score_correlation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Scores of four stride settings in one kernel pass, against the setting (4, 4)."""
-    made = cut(lexical.score_documents(desk(spark, sf_dir), lexical.weight_table(docs(spark, sf_dir)), DESK, ("full",), _STRIDES))
+    """Scores of four stride settings in one kernel pass, against the setting (4, 4), on 5,000 samples drawn by md5."""
+    drawn = desk(spark, sf_dir).select("doc_id", T.random_order("doc_id", 1).alias("o")).orderBy("o", "doc_id").limit(_DRAWN).select("doc_id")
+    rows = desk(spark, sf_dir).join(cut(drawn), "doc_id", "left_semi")
+    made = cut(lexical.score_documents(rows, lexical.weight_table(docs(spark, sf_dir)), DESK, ("full",), _STRIDES))
     return rounded(measures.score_correlation(made, "full_4_4", [f"full_{a}_{b}" for a, b in _STRIDES], 50), "pearson", "spearman", "overlap_at_n")
 
 
@@ -537,8 +706,6 @@ _TURNS = """t AS (SELECT conv_id, turn, text AS answer, lead(text) OVER (PARTITI
 
 
 def turns(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from pyspark.sql import Window
-
     rows = read_table(spark, sf_dir, "conversations").select(
         "conv_id", "turn", F.col("text").alias("answer"), F.lead("text").over(Window.partitionBy("conv_id").orderBy("turn")).alias("truth")
     )
@@ -596,6 +763,38 @@ def workload_calculator_budgets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(made, "pearson", "spearman", "overlap_at_n")
 
 
+@TABLE.query()
+def calculator_selections(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What selections by a calculator trained on a budget and on a fifth of it take, and share. Rows only."""
+    rows, chosen = cut(desk(spark, sf_dir)), {}
+    for name, tokens in (("large", 20_000), ("small", 4_000)):
+        made = cut(states.score_with_model(rows, small_calculator(spark, sf_dir, tokens), DESK).select("doc_id", "domain", "n_tokens", F.col("full").alias("score")))
+        chosen[name] = select.select_by_domain(made, budget_of(made))
+    return rounded(select.overlap(chosen["large"], chosen["small"]), "jaccard", "overlap_share")
+
+
+PAPER = Geometry.named("paper")
+
+
+def paper_samples(spark: SparkSession, sf_dir: str, piece: int = 512) -> DataFrame:
+    """(doc_id, domain, n_tokens, tokens): samples of the published length, built of whole pieces of all documents in md5 order."""
+    pieces = samples.chunk(samples.tokenize(docs(spark, sf_dir)).select("doc_id", "tokens"), piece)
+    named = pieces.select((F.col("doc_id") * 1_000 + F.col("chunk_no")).alias("doc_id"), "tokens")
+    made = samples.concatenate(named, PAPER.length, piece)
+    return made.select(F.col("sample_id").cast("bigint").alias("doc_id"), F.lit("all").alias("domain"), F.lit(PAPER.length).alias("n_tokens"), "tokens")
+
+
+@TABLE.query()
+def published_geometry_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Both scorers at the published geometry, 32,768 tokens in 256 spans; tests hold the kernels to dense forms."""
+    rows = cut(paper_samples(spark, sf_dir))
+    one = lexical.score_documents(rows, lexical.weight_table(docs(spark, sf_dir)), PAPER, ("full",), _STRIDES)
+    two = delta.delta_perplexity(rows, delta.unigram_table(docs(spark, sf_dir)), {"delta_score": delta.DeltaOptions()})
+    columns = [f"full_{a}_{b}" for a, b in _STRIDES]
+    made = one.select("doc_id", *columns).join(two.select("doc_id", F.round("delta_score", 3).alias("delta_score")), "doc_id")
+    return rounded(made.withColumnRenamed("doc_id", "sample_id"), *columns)
+
+
 @TABLE.query(
     f"{O.with_(_selected(_METHODS))} "
     + " UNION ALL ".join(f"SELECT '{m}' AS method, domain, count(*) AS docs, sum(n_tokens)::BIGINT AS tokens FROM c_{m} GROUP BY domain" for m in _METHODS)

@@ -2,19 +2,17 @@
 
 from __future__ import annotations
 
-import shutil
-import tempfile
 import uuid
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from spanfocus.functions.text import random_order
 from spanfocus.geometry import Geometry
 from spanfocus.operators import lexical, samples, select
+from spanfocus.operators.ranks import running_in_groups
 from spanfocus.plans.entry_table import EntryTable
-from spanfocus.session import ensure_checkpoint_dir
+from spanfocus.session import cut, ensure_checkpoint_dir
 from spanfocus.sources.tables import DOCUMENTS, read_table, stream_documents
 
 TABLE = EntryTable()
@@ -23,10 +21,19 @@ WATERMARK = "2 hours"
 
 
 def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Run a stream over all that is there, into a memory table, and give that table."""
-    name = f"spanfocus_stream_{uuid.uuid4().hex[:12]}"
-    stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start().awaitTermination()
-    return stream.sparkSession.table(name)
+    """Run a stream over all that is there, into Parquet beside the checkpoints, and read that.
+
+    In complete mode each batch replaces the one before.
+    """
+    spark = stream.sparkSession
+    folder = shared_folder(spark)
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{folder}/log").trigger(availableNow=True)
+    if mode == "complete":
+        writer = writer.foreachBatch(lambda batch, _: batch.write.mode("overwrite").parquet(f"{folder}/rows"))
+    else:
+        writer = writer.format("parquet").option("path", f"{folder}/rows")
+    writer.start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{folder}/rows")
 
 
 def stream_events(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
@@ -44,20 +51,46 @@ def score_stream(stream: DataFrame, table: lexical.WeightTable, geometry: Geomet
 class RunningSelection:
     """A selection kept up to date by micro-batches: each batch is merged once, replays change nothing.
 
-    State is a table of all scored candidates by batch under ``folder``; the selection is recomputed from
-    it, since quotas move with the domains' totals.
+    Candidates are written by batch under ``folder``, with a histogram of their tokens by score, ``BINS`` bins
+    a domain and batch. Quotas move with the domains' totals, so a candidate below today's cut may be taken
+    later: none is thrown away. But the histograms alone tell in which bin a domain's cut lies, so
+    :meth:`current` orders only the candidates at or above that bin.
     """
 
+    #: Bins of the histograms: sixteenths of powers of two of the score, from the lowest value up.
+    BINS = 1024
+
     def __init__(self, spark: SparkSession, folder: str, share: float, score: str) -> None:
         self.spark, self.folder, self.share, self.score = spark, folder, share, score
 
+    @classmethod
+    def bin_of(cls, score: Column) -> Column:
+        """A number that never falls as the score rises, for scores of any size and either sign."""
+        size = F.least(F.lit(cls.BINS / 2 - 1), F.floor(16 * F.log2(1 + F.abs(score) * 2**20) / 2)).cast("int")
+        return F.when(score < 0, -size).otherwise(size)
+
     def merge(self, batch: DataFrame, batch_id: int) -> None:
-        batch.select("doc_id", "domain", "n_tokens", F.col(self.score).alias("score")).write.mode("overwrite").parquet(f"{self.folder}/batch={batch_id}")
+        rows = batch.select("doc_id", "domain", "n_tokens", F.round(self.score, select.PLACES).alias("score"))
+        rows = rows.withColumn("bin", self.bin_of(F.col("score")))
+        rows.write.mode("overwrite").parquet(f"{self.folder}/candidates/batch={batch_id}")
+        kept = self.spark.read.schema(rows.schema).parquet(f"{self.folder}/candidates/batch={batch_id}")
+        kept.groupBy("domain", "bin").agg(F.sum("n_tokens").alias("tokens")).coalesce(1).write.mode("overwrite").parquet(f"{self.folder}/histograms/batch={batch_id}")
+
+    def cuts(self) -> DataFrame:
+        """(domain, quota_tokens, bin): the lowest bin that the domain's quota reaches, from the histograms alone."""
+        bins = self.spark.read.parquet(f"{self.folder}/histograms").groupBy("domain", "bin").agg(F.sum("tokens").alias("tokens"))
+        bins = cut(bins)
+        total = bins.agg(F.sum("tokens")).first()[0] or 0
+        wanted = select.quotas(bins.groupBy("domain").agg(F.sum("tokens").alias("tokens")), int(total * self.share))
+        above = F.sum("tokens").over(Window.partitionBy("domain").orderBy(F.desc("bin")).rowsBetween(Window.unboundedPreceding, -1))
+        reached = bins.withColumn("above", F.coalesce(above, F.lit(0))).join(wanted, "domain").where(F.col("above") <= F.col("quota_tokens"))
+        return reached.groupBy("domain", "quota_tokens").agg(F.min("bin").alias("low"))
 
     def current(self) -> DataFrame:
-        rows = self.spark.read.option("basePath", self.folder).parquet(f"{self.folder}/*").drop("batch")
-        total = rows.agg(F.sum("n_tokens")).first()[0] or 0
-        return select.select_by_domain(rows, int(total * self.share))
+        rows = self.spark.read.parquet(f"{self.folder}/candidates").drop("batch")
+        near = rows.join(self.cuts(), "domain").where(F.col("bin") >= F.col("low")).select("doc_id", "domain", "n_tokens", "score", "quota_tokens")
+        placed = running_in_groups(near, "domain", F.desc("score"), F.col("doc_id"))
+        return placed.where(F.col("cum_tokens") <= F.col("quota_tokens")).select(*select.COLUMNS)
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -91,11 +124,33 @@ def register(method_scores: str, method_selection: str) -> None:
     TABLE.add("op_stream_select", op_stream_select, method_selection)
 
 
-def _windowed(window: Callable[[], object], keys: list[str]) -> Callable[[SparkSession, str], DataFrame]:
+#: Far later than any event: the watermark passes all windows of the events before it.
+_CLOSING = "2999-01-01 00:00:00"
+_ALL_FILES = 2**31 - 1
+
+
+def windowed(rows: DataFrame, window: Column, keys: list[str], watermark: str = WATERMARK) -> DataFrame:
+    """Counts and sums by window in append mode: a window comes out, once, when the watermark has passed its end,
+    and its state is dropped. Events later than that are dropped too."""
+    return rows.withWatermark("ts", watermark).groupBy(window.alias("w"), *keys).agg(F.count("*").alias("n"), F.sum("value").alias("value"))
+
+
+def closed(spark: SparkSession, sf_dir: str, query: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """Append-mode result of a windowed query over the table of events and a closing event.
+
+    All files come as one batch, so no event is late, whatever the order of the files. The closing event
+    moves the watermark past every window, and the trigger's last batch, without data, puts them out.
+    """
+    path = f"{shared_folder(spark)}/closing"
+    row = spark.range(1).select(F.lit(None).cast("bigint").alias("event_id"), F.lit(_CLOSING).cast("timestamp_ntz").alias("ts"), F.lit(0.0).alias("value"))
+    row.coalesce(1).write.parquet(path)
+    rows = stream_events(spark, _files(sf_dir, "events"), _ALL_FILES).unionByName(stream_events(spark, path, _ALL_FILES))
+    return drained(query(rows)).where(F.col("w.start") < F.to_timestamp(F.lit(_CLOSING)) - F.expr("INTERVAL 2 DAYS"))
+
+
+def _windowed(window: Callable[[], Column], keys: list[str]) -> Callable[[SparkSession, str], DataFrame]:
     def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-        rows = stream_events(spark, _files(sf_dir, "events")).withWatermark("ts", WATERMARK)
-        made = rows.groupBy(window().alias("w"), *keys).agg(F.count("*").alias("n"), F.sum("value").alias("value"))
-        out = drained(made, "complete")
+        out = closed(spark, sf_dir, lambda rows: windowed(rows, window(), keys))
         return out.select(F.unix_seconds("w.start").alias("start_s"), F.unix_seconds("w.end").alias("end_s"), *keys, "n", F.round("value", 4).alias("value"))
 
     return query
@@ -120,11 +175,9 @@ TABLE.add(
     SELECT user_id, epoch_us(min(ts)) AS start_us, count(*) AS n FROM g GROUP BY user_id, g""")
 def op_stream_session(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sessions end after half an hour without an event. Append mode: a session comes out once the watermark has
-    passed its end, so the sources are drained with a closing event of their own far later, which is left out."""
-    rows = stream_events(spark, _files(sf_dir, "events")).select("user_id", "ts")
-    # The watermark only moves between batches; complete mode is not offered for sessions, so batch semantics close it.
-    sessions = rows.withWatermark("ts", WATERMARK).groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id").agg(F.count("*").alias("n"))
-    return drained(sessions, "complete").select("user_id", F.unix_micros("w.start").alias("start_us"), "n")
+    passed its end, which the closing event sees to."""
+    made = closed(spark, sf_dir, lambda rows: windowed(rows, F.session_window("ts", "30 minutes"), ["user_id"]))
+    return made.select("user_id", F.unix_micros("w.start").alias("start_us"), "n")
 
 
 @TABLE.query("""SELECT c.event_id AS click_id, p.event_id AS purchase_id FROM events c JOIN events p ON c.user_id = p.user_id AND c.event_type = 'click'
@@ -158,12 +211,3 @@ def op_stream_dedupe_watermark(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events once each, remembered only as long as the watermark asks for."""
     rows = stream_events(spark, _files(sf_dir, "events")).withWatermark("ts", WATERMARK)
     return drained(rows.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
-
-
-def spread_files(df: DataFrame, n: int, key: str = "doc_id") -> str:
-    """Write ``df`` as ``n`` files in random order of its key into a new local folder: a source for tests."""
-    folder = tempfile.mkdtemp(prefix="spanfocus-source-")
-    shutil.rmtree(folder)
-    part = F.row_number().over(Window.orderBy(random_order(key, 3))) % n
-    df.withColumn("_p", part).repartition(n, "_p").drop("_p").write.parquet(folder)
-    return folder

@@ -1,13 +1,18 @@
 import json
+import random
 import shutil
 import subprocess
 import sys
+import time
 from pathlib import Path
 
 import pytest
+from pyspark.sql import Window
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from spanfocus import registry
+from spanfocus.functions.text import random_order
 from spanfocus.operators import relational
 from spanfocus.sources import tables
 
@@ -89,14 +94,61 @@ def test_stream_replay_changes_nothing(spark, sf, tmp_path):
     assert sorted(r.doc_id for r in running.current().collect()) == list(range(10, 20))
 
 
-def test_stream_of_many_files_equals_batch(spark, sf):
+def spread_files(df, n, folder, key="doc_id"):
+    """Write ``df`` as ``n`` files in a random order of its key."""
+    part = F.row_number().over(Window.orderBy(random_order(key, 3))) % n
+    df.withColumn("_p", part).repartition(n, "_p").drop("_p").write.parquet(folder)
+    return folder
+
+
+def test_running_selection_reads_only_what_can_be_taken(spark, tmp_path):
+    from spanfocus.operators import select
+    from spanfocus.streaming.arriving import RunningSelection
+
+    rnd = random.Random(5)
+    rows = [(i, rnd.choice("abc"), rnd.randint(1, 30), rnd.choice([0.0, -2.5, rnd.random() ** 9 * 1e6, rnd.random()])) for i in range(600)]
+    df = spark.createDataFrame(rows, "doc_id bigint, domain string, n_tokens int, score double")
+    running = RunningSelection(spark, str(tmp_path / "s"), 0.25, "score")
+    for k in range(3):
+        running.merge(df.where(f"doc_id % 3 = {k}"), k)
+        seen = df.where(f"doc_id % 3 <= {k}")
+        budget = int(seen.agg(F.sum("n_tokens")).first()[0] * 0.25)
+        expected = select.select_by_domain(seen, budget).select(*select.COLUMNS)
+        assert sorted(running.current().collect()) == sorted(expected.collect())
+    lows = {r.domain: r.low for r in running.cuts().collect()}
+    assert all(sum(d == r[1] and RunningSelection.BINS >= 1 for r in rows) > 0 for d in lows)
+    bins = df.withColumn("bin", RunningSelection.bin_of(F.col("score"))).collect()
+    ordered = sorted(bins, key=lambda r: r.score)
+    assert all(a.bin <= b.bin for a, b in zip(ordered, ordered[1:]))
+    assert sum(r.bin >= lows[r.domain] for r in bins) < len(bins) / 2
+
+
+def test_late_events(spark, tmp_path):
+    """The first batch moves the watermark to 10:00. A later event of an open window counts, one of a closed window is dropped."""
+    from spanfocus.streaming import arriving
+
+    folder = str(tmp_path / "events")
+    batches = [["08:10", "12:00"], ["12:05"], ["10:20", "09:59", "08:20", "12:10"], ["23:00"], ["23:30"]]
+    for k, times in enumerate(batches):
+        rows = [(k * 10 + i, f"2024-05-01 {t}:00", 1, "click", 1.0, None) for i, t in enumerate(times)]
+        made = spark.createDataFrame(rows, arriving.EVENTS.replace("ts timestamp_ntz", "ts string")).withColumn("ts", F.col("ts").cast("timestamp_ntz"))
+        made.coalesce(1).write.mode("append").parquet(folder)
+        time.sleep(1.1)  # files are taken by their time
+    rows = arriving.stream_events(spark, folder, 1)
+    made = arriving.drained(arriving.windowed(rows, F.window("ts", "1 hour"), ["event_type"]))
+    found = {r.hour: r.n for r in made.select(F.date_format("w.start", "HH").alias("hour"), "n").collect()}
+    # 09:59 and 08:20 come after the watermark has passed the ends of their windows.
+    assert found == {"08": 1, "10": 1, "12": 3}
+
+
+def test_stream_of_many_files_equals_batch(spark, sf, tmp_path):
     from spanfocus.geometry import Geometry
     from spanfocus.operators import lexical, samples
     from spanfocus.streaming import arriving
 
     docs, g = spark.read.parquet(f"{sf}/documents.parquet"), Geometry.named("smoke")
     table = lexical.weight_table(docs)
-    folder = arriving.spread_files(docs, 5)
+    folder = spread_files(docs, 5, str(tmp_path / "docs"))
     made = arriving.drained(arriving.score_stream(tables.stream_documents(spark, folder), table, g))
     batch = lexical.score_documents(samples.samples(docs, g), table, g)
     assert sorted(made.select("doc_id", "full_2_2").collect()) == sorted(batch.select("doc_id", "full_2_2").collect())

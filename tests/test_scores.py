@@ -1,6 +1,7 @@
 """Hand example, invariants, planted orderings and equivalences of the scores."""
 
 import random
+import tracemalloc
 
 import numpy as np
 import pytest
@@ -221,6 +222,56 @@ def test_delta_by_hand():
     assert special[0, 1] == pytest.approx(delta.delta_matrix(np.array([1, 2, 1, 1]), p, delta.DeltaOptions(segment=2))[2][0, 1] / 2)
 
 
+def test_gains_equal_the_dense_form_in_little_memory():
+    rng = np.random.default_rng(3)
+
+    def dense(h, p, o):
+        n = len(h) // o.segment
+        c = np.unique(h, return_inverse=True)[1][: n * o.segment].reshape(n, o.segment)
+        given = np.empty((n, n))
+        for i in range(n):
+            for j in range(n):
+                times = (c[i][:, None] == c[j][None, :]).sum(axis=0)
+                given[i, j] = np.exp(-np.log((1 - o.mix) * p[j * o.segment : (j + 1) * o.segment] + o.mix * times / o.segment).mean())
+        return given
+
+    for length, segment in ((512, 32), (1000, 7), (64, 64), (40, 1)):
+        h, p = rng.zipf(1.3, length) % 200, rng.random(length) + 0.01
+        o = delta.DeltaOptions(segment=segment)
+        assert np.allclose(delta.gains(h, p, o)[1], dense(h, p, o), rtol=1e-12)
+    # The published geometry: 1,024 segments of 32 tokens.
+    h, p = rng.zipf(1.3, 32_768) % 30_000, rng.random(32_768) * 1e-3 + 1e-6
+    tracemalloc.start()
+    delta.gains(h, p, delta.DeltaOptions())
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 100e6
+
+
+def test_sampled_pairs_are_a_share():
+    i, j = np.indices((300, 300))
+    drawn = delta.drawn_pairs(i, j, 0.25, 2, 77)
+    assert abs(drawn.mean() - 0.25) < 0.02 and (drawn != delta.drawn_pairs(i, j, 0.25, 2, 78)).any()
+    assert delta.drawn_pairs(i, j, 1.0, 2, 77).all()
+
+
+def test_published_geometry_equals_dense_rows():
+    """32,768 tokens, spans of 128, 60 query spans: the kernel against a dense softmax of some rows."""
+    g, rng = Geometry.named("paper"), np.random.default_rng(9)
+    h = rng.zipf(1.2, g.length) % 5_000
+    w = (rng.random(5_000) * 50)[h]
+    rows = g.rows()
+    assert len(rows) == 60 and sum(len(g.cols(j)) for j in rows) == 1_950
+    mass = lexical.focus_matrix(h, w, g, rows)
+    for k in (0, 31, 59):
+        j, total = rows[k], np.zeros(g.n_spans)
+        for q in range(j * g.span, (j + 1) * g.span):
+            m = np.where(h[: q + 1] == h[q], 1 + w[q], 1.0)
+            m /= m.sum()
+            total += np.bincount(np.arange(q + 1) // g.span, m, g.n_spans)
+        assert np.allclose(mass[: j + 1, k], total[: j + 1], atol=1e-9)
+
+
 def test_repeated_chat_pleases_the_delta_baseline():
     """Stock turns repeat near by: the baseline prefers them to far echoes, the dependency score does not."""
     rnd = random.Random(7)

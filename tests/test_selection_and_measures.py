@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from spanfocus.functions import published
 from spanfocus.geometry import Geometry
-from spanfocus.operators import lm, measures, samples, select, trained
+from spanfocus.operators import lm, measures, ranks, samples, select, trained
 
 SCORED = "doc_id bigint, domain string, n_tokens int, score double"
 
@@ -45,8 +45,33 @@ def test_budget_selection_equals_plain_and_threshold(spark, share):
     made = select.select_by_domain(df, budget)
     assert {r.doc_id for r in made.collect()} == expected
     assert made.agg(F.coalesce(F.sum("n_tokens"), F.lit(0))).first()[0] <= budget
-    for bins in (1, 7, 1024):
-        assert {r.doc_id for r in select.select_by_threshold(df, budget, bins=bins).collect()} == expected
+    assert {r.doc_id for r in select.select_by_threshold(df, budget).collect()} == expected
+
+
+def test_selection_of_heavy_tails_and_ties(spark):
+    """One far outlier and many equal scores: ranges of rows, not of values, so both ways agree with the plain one."""
+    rows = [(i, "a" if i % 3 else "b", 1 + i % 5, 1e9 if i == 7 else 0.0 if i % 2 else i / 1000) for i in range(900)]
+    df = spark.createDataFrame(rows, SCORED).repartition(5)
+    for share in (0.1, 0.6):
+        budget = int(sum(r[2] for r in rows) * share)
+        expected = plain_selection(df.collect(), budget)
+        made = select.select_by_domain(df, budget)
+        assert {r.doc_id for r in made.collect()} == expected == {r.doc_id for r in select.select_by_threshold(df, budget).collect()}
+        placed = made.orderBy("domain", "domain_rank").collect()
+        for d in "ab":
+            assert [r.domain_rank for r in placed if r.domain == d] == list(range(1, 1 + sum(r.domain == d for r in placed)))
+
+
+def test_medians_of_large_groups(spark):
+    rnd = random.Random(3)
+    rows = [("heavy", rnd.random() ** 30 * 1e6) for _ in range(3000)] + [("ties", rnd.choice([1.0, 1.0, 2.0])) for _ in range(2001)]
+    rows += [("even", float(i)) for i in range(500)] + [("one", 4.0), ("none", None)]
+    df = spark.createDataFrame(rows, "g string, v double")
+    expected = {r.g: r.v for r in df.groupBy("g").agg(F.median("v").alias("v")).collect()}
+    for most in (10**6, 40):
+        found = {r.g: (r.n, r.v) for r in ranks.exact_medians(df, ["g"], ["v"], most).collect()}
+        assert {g: v for g, (_, v) in found.items()} == expected
+        assert found["heavy"][0] == 3000 and found["none"][0] == 1
 
 
 def test_selection_edges(spark):
@@ -212,6 +237,12 @@ def test_training_learns_and_repeats(spark, tmp_path):
     spread = trained.train_calculator(df.limit(8), config, rounds=1, distributed=True)
     local = trained.train_calculator(df.limit(8), config, rounds=1)
     assert all(np.allclose(spread.weights[n], local.weights[n]) for n in local.weights)
+    # One group that trains apart is the local way; several learn as well, whatever the partitions.
+    alone = trained.train_calculator(df, config, rounds=2, groups=1)
+    whole = trained.train_calculator(df, config, rounds=2)
+    assert all(np.allclose(alone.weights[n], whole.weights[n]) for n in whole.weights) and alone.tokens_seen == whole.tokens_seen
+    apart, same = (trained.train_calculator(d, config, rounds=6, groups=3) for d in (df, df.repartition(5)))
+    assert apart.losses[-1] < apart.losses[0] and all((apart.weights[n] == same.weights[n]).all() for n in apart.weights)
     trained.save_calculator(spark, one, str(tmp_path / "w"))
     back = trained.load_calculator(spark, str(tmp_path / "w"))
     assert back.config == one.config and all(np.allclose(one.weights[n], back.weights[n]) for n in one.weights)
