@@ -267,8 +267,9 @@ def components(edges: DataFrame, rounds: int = 50) -> DataFrame:
         if not seen[0]:
             break
         both = now.union(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        large = pointed(both).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        small = pointed(large)  # here every row has b < a
+        large = pointed(both).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b")
+        # Dealt by their larger node once, these rows are aggregated and joined where they are.
+        small = pointed(large.repartition("a"))  # here every row has b < a
         now = cut(
             small.select("a", F.col("m").alias("b"))
             .union(small.where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")))
