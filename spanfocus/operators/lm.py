@@ -1,16 +1,30 @@
-"""Count language models of a selection, and perplexity of held-out text by context window."""
+"""Count language models of selections, and perplexity of held-out text by context window.
+
+Two ways give the same numbers: counts of checked size are sent to the workers, and one kernel pass over the
+held-out texts serves all selections, models and windows (:func:`perplexities`); larger counts stay tables,
+joined to the texts token by token (:func:`perplexity`).
+"""
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
+from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from spanfocus.functions.text import token_hashes
 from spanfocus.operators.samples import positions
+from spanfocus.session import cut, ship_package
 from spanfocus.sources.tables import require
 
+#: Counts of all selections together that are sent to the workers at most: 16 bytes each.
+MAX_COUNTS = 4_000_000
+_TOKEN, _BEFORE, _PAIR = 0, 1, 2
+
 #: name: (bigrams, cache) — the four models that stand for a scale of models.
 MODELS = {"unigram": (False, False), "unigram_cache": (False, True), "bigram": (True, False), "bigram_cache": (True, True)}
 
@@ -78,3 +92,96 @@ def perplexity(df: DataFrame, lm: CountModel, windows: Sequence[int], models: Se
     )
     rows = per_doc.select("n", cells.alias("c")).select("n", "c.*").where(F.col("n") >= F.col("window"))
     return rows.groupBy("model", "window").agg(F.count("*").alias("n_docs"), F.avg(F.exp(-F.col("s") / F.col("window"))).alias("ppl"))
+
+
+def _pair_hashes(tokens: str) -> Column:
+    """Hash of every token with the one before it."""
+    at = F.sequence(F.lit(1), F.greatest(F.size(tokens) - 1, F.lit(1)))
+    made = F.transform(at, lambda i: F.xxhash64(F.get(F.col(tokens), i - 1), F.get(F.col(tokens), i)))
+    return F.when(F.size(tokens) > 1, made).otherwise(F.array().cast("array<bigint>"))
+
+
+def selection_counts(chosen: dict[str, DataFrame]) -> DataFrame:
+    """(method, kind, key, n): tokens, tokens that another one follows, and pairs of neighbours, in one aggregate."""
+    parts = []
+    for method, df in chosen.items():
+        h = token_hashes("tokens")
+        kinds = ((_TOKEN, h), (_BEFORE, F.slice(h, F.lit(1), F.greatest(F.size("tokens") - 1, F.lit(0)))), (_PAIR, _pair_hashes("tokens")))
+        marked = [F.arrays_zip(F.array_repeat(F.lit(kind), F.size(keys)).alias("kind"), keys.alias("key")) for kind, keys in kinds]
+        parts.append(require(df, "tokens").select(F.lit(method).alias("method"), F.explode(F.concat(*marked)).alias("c")))
+    rows = reduce(DataFrame.unionByName, parts).select("method", "c.kind", "c.key")
+    return rows.groupBy("method", "kind", "key").agg(F.count("*").alias("n"))
+
+
+@dataclass
+class CountTables:
+    """Sorted keys and counts by kind, for one selection."""
+
+    tables: dict[int, tuple[np.ndarray, np.ndarray]]
+    alpha: float = 1.0
+    pull: float = 50.0
+    cache: float = 0.2
+
+    def of(self, kind: int, keys: np.ndarray) -> np.ndarray:
+        known, n = self.tables[kind]
+        if not known.size:
+            return np.zeros(keys.shape)
+        at = np.minimum(np.searchsorted(known, keys), known.size - 1)
+        return np.where(known[at] == keys, n[at], 0)
+
+    def logs(self, h: np.ndarray, pairs: np.ndarray) -> dict[str, np.ndarray]:
+        """Log probability of each token of a text by model."""
+        counts = self.tables[_TOKEN][1]
+        plain = (self.of(_TOKEN, h) + self.alpha) / (counts.sum() + self.alpha * (len(counts) + 1))
+        n_pair, n_before = (np.concatenate([[0], self.of(kind, keys)]) for kind, keys in ((_PAIR, pairs), (_BEFORE, h[:-1])))
+        paired = (n_pair + self.pull * plain) / (n_before + self.pull)
+        order = np.argsort(h, kind="stable")
+        seen = np.empty(len(h), np.int64)
+        seen[order] = np.arange(len(h)) - np.searchsorted(h[order], h[order])
+        own = seen / np.maximum(np.arange(len(h)), 1)
+        out = {}
+        for model, (bigrams, cache) in MODELS.items():
+            p = paired if bigrams else plain
+            if cache:
+                p = np.concatenate([p[:1], (1 - self.cache) * p[1:] + self.cache * own[1:]])
+            out[model] = np.log(p)
+        return out
+
+
+def perplexities(chosen: dict[str, DataFrame], test: DataFrame, windows: Sequence[int], most: int = MAX_COUNTS) -> DataFrame:
+    """(method, model, window, n_docs, ppl) of the count models of several selections, as :func:`perplexity` gives them."""
+    counts = cut(selection_counts(chosen))
+    if counts.count() > most:
+        made = [perplexity(test, fit_lm(rows.select("doc_id", "tokens")), windows).withColumn("method", F.lit(m)) for m, rows in chosen.items()]
+        return reduce(DataFrame.unionByName, made).select("method", "model", "window", "n_docs", "ppl")
+    held, models = counts.toArrow(), {}
+    method, kind, key, n = (held.column(c).to_numpy(zero_copy_only=False) for c in ("method", "kind", "key", "n"))
+    for m in chosen:
+        tables = {}
+        for k in (_TOKEN, _BEFORE, _PAIR):
+            own = (method == m) & (kind == k)
+            order = np.argsort(key[own])
+            tables[k] = (key[own][order], n[own][order])
+        models[m] = CountTables(tables)
+    spark = test.sparkSession
+    ship_package(spark)
+    shared = spark.sparkContext.broadcast(models)  # at most ``most`` counts
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out: list[tuple] = []
+            for h, pairs in zip(*(batch.column(c) for c in (0, 1)), strict=True):
+                h, pairs = (x.values.to_numpy(zero_copy_only=False) for x in (h, pairs))
+                fitting = [w for w in windows if w <= len(h)]
+                for m, model in shared.value.items() if fitting else ():
+                    for name, logs in model.logs(h, pairs).items():
+                        sums = np.cumsum(logs)
+                        out += [(m, name, w, float(np.exp(-sums[w - 1] / w))) for w in fitting]
+            columns = list(zip(*out, strict=True)) or [(), (), (), ()]
+            types = (pa.string(), pa.string(), pa.int32(), pa.float64())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["method", "model", "window", "v"])
+
+    longest = F.slice("tokens", 1, max(windows)).alias("tokens")
+    rows = test.select(longest).select(token_hashes("tokens").alias("h"), _pair_hashes("tokens").alias("pairs"))
+    made = rows.mapInArrow(run, "method string, model string, window int, v double")
+    return made.groupBy("method", "model", "window").agg(F.count("*").alias("n_docs"), F.avg("v").alias("ppl"))

@@ -45,15 +45,6 @@ def union(frames: list[DataFrame]) -> DataFrame:
 # Needle retrieval.
 
 
-def with_hits(cases: DataFrame, focus_of_last: DataFrame) -> DataFrame:
-    """Cases with ``hit``: whether the strongest earlier span, ties to the first, is one of the needle's."""
-    g, key = DESK, ["hay_doc", "context_len", "depth"]
-    usable = (F.col("i") >= g.skip_first) & (F.col("i") < F.col("n_spans") - 1 - g.skip_near)
-    looks = focus_of_last.where(usable).groupBy(*key).agg(F.max_by("i", F.struct(F.round("pair_focus", 6), -F.col("i"))).alias("best"))
-    hit = (F.col("best") >= F.col("needle_span")) & (F.col("best") < F.col("needle_span") + F.col("needle_spans"))
-    return cases.select(*key, "needle_span", "needle_spans").join(looks, key, "left").select(*key, F.coalesce(hit, F.lit(False)).cast("int").alias("hit"))
-
-
 def lexical_hits(spark: SparkSession, sf_dir: str, hay: DataFrame) -> DataFrame:
     """(hay_doc, context_len, depth, hit) by the kernel: the last span's strongest earlier span, ties to the first."""
     g = DESK
@@ -129,15 +120,31 @@ def haystacks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cut(made.withColumn("n_spans", F.col("n_spans").cast("int")))
 
 
-def trained_hits(cases: DataFrame, model: trained.Calculator) -> DataFrame:
-    """(hay_doc, context_len, depth, hit) by a trained calculator."""
-    parts = []
-    for n in LENGTHS:
-        g = Geometry(n, DESK.span, DESK.skip_first, DESK.skip_near, 1, 1, n // DESK.span - 1)
-        some = cases.where(F.col("context_len") == n).withColumn("case_id", F.concat_ws(":", "hay_doc", "depth"))
-        found = states.focus_with_model(some.select("case_id", "tokens"), model, g, key="case_id")
-        parts.append(found.join(some.select("case_id", "hay_doc", "context_len", "depth", "n_spans"), "case_id"))
-    return with_hits(cases, union(parts))
+def trained_grid(cases: DataFrame, models: dict[str, trained.Calculator], name: str) -> DataFrame:
+    """(name, context_len, depth, n_cases, accuracy) of several calculators in one pass over the cases.
+
+    A case is hit if the last span's strongest earlier span, ties to the first, is one of the needle's.
+    """
+    g = DESK
+    ship_package(cases.sparkSession)
+    shared = cases.sparkSession.sparkContext.broadcast(models)
+
+    def run(batches):
+        for batch in batches:
+            hits: dict[str, list[int]] = {n: [] for n in shared.value}
+            for first, size, tokens in zip(*(batch.column(c).to_pylist() for c in (3, 4, 5)), strict=True):
+                last = len(tokens) // g.span - 1
+                for n, model in shared.value.items():
+                    mass = states.merge_heads(*model(tokens), Geometry(len(tokens), g.span), [last], True, "mean")[g.skip_first : last - g.skip_near, 0]
+                    best = g.skip_first + int(np.round(mass, 6).argmax()) if mass.size else -1
+                    hits[n].append(int(first <= best < first + size))
+            for n, made in hits.items():
+                columns = [pa.array([n] * batch.num_rows, pa.string()), *batch.columns[:3], pa.array(made, pa.int32())]
+                yield pa.RecordBatch.from_arrays(columns, names=[name, "hay_doc", "context_len", "depth", "hit"])
+
+    rows = cases.select("hay_doc", "context_len", "depth", "needle_span", "needle_spans", "tokens")
+    made = rows.mapInArrow(run, f"{name} string, hay_doc bigint, context_len int, depth double, hit int")
+    return made.groupBy(name, "context_len", "depth").agg(F.count("*").alias("n_cases"), F.avg("hit").alias("accuracy"))
 
 
 def _with_mean(grid: DataFrame, *by: str) -> DataFrame:
@@ -167,9 +174,8 @@ def workload_needles_trained_on_pieces(spark: SparkSession, sf_dir: str) -> Data
 
     Rows (piece_len, context_len, accuracy), a null length for the mean over lengths. SQL cannot state the training.
     """
-    cases = haystacks(spark, sf_dir)
-    made = [measures.needle_accuracy(trained_hits(cases, m)).withColumn("piece_len", F.lit(p)) for p, m in piece_calculators(spark, sf_dir).items()]
-    return _with_mean(union(made), "piece_len")
+    made = trained_grid(haystacks(spark, sf_dir), {str(p): m for p, m in piece_calculators(spark, sf_dir).items()}, "piece_len")
+    return _with_mean(made.withColumn("piece_len", F.col("piece_len").cast("int")), "piece_len")
 
 
 @TABLE.query()
@@ -185,11 +191,9 @@ def workload_long_range_median_trained(spark: SparkSession, sf_dir: str) -> Data
 @TABLE.query()
 def workload_needles_by_method(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Retrieval by calculators trained on each method's whole selection, and by the lexical one; rows only."""
-    cases, out = haystacks(spark, sf_dir), []
-    for method, selection in selections(spark, sf_dir).items():
-        out.append(measures.needle_accuracy(trained_hits(cases, trained_on(selection))).withColumn("method", F.lit(method)))
-    out.append(needle_accuracy(spark, sf_dir).withColumn("method", F.lit("lexical")))
-    return rounded(union(out).select("method", "context_len", "depth", "n_cases", "accuracy"), "accuracy")
+    grid = trained_grid(haystacks(spark, sf_dir), {m: trained_on(rows) for m, rows in selections(spark, sf_dir).items()}, "method")
+    lexical_grid = needle_accuracy(spark, sf_dir).withColumn("method", F.lit("lexical"))
+    return rounded(grid.unionByName(lexical_grid).select("method", "context_len", "depth", "n_cases", "accuracy"), "accuracy")
 
 
 # Perplexity of selections.
@@ -221,10 +225,8 @@ def heldout(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def perplexities(chosen: dict[str, DataFrame], test: DataFrame, windows: tuple[int, ...] = WINDOWS) -> DataFrame:
-    made = []
-    for method, rows in chosen.items():
-        made.append(lm.perplexity(test, lm.fit_lm(rows.select("doc_id", "tokens")), windows).withColumn("method", F.lit(method)))
-    return union(made).select("model", "method", F.col("window").alias("window_size"), "n_docs", F.round("ppl", 3).alias("ppl"))
+    made = lm.perplexities(chosen, test, windows)
+    return made.select("model", "method", F.col("window").alias("window_size"), "n_docs", F.round("ppl", 3).alias("ppl"))
 
 
 def _selected(methods: dict[str, tuple[str, str, str]], share: float = BUDGET_SHARE, variant: str = "full") -> str:
@@ -282,9 +284,9 @@ _SEEDED = {f"random_{s}": ("free", f"md5('{s}:' || doc_id::VARCHAR)", "0.0::DOUB
 def seeds_average(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The random baseline's perplexity averaged over three seeds."""
     chosen, test = selections(spark, sf_dir, seeds=(1, 2, 3)), heldout(spark, sf_dir)
-    measure = lambda s: perplexities({f"random_{s}": chosen[f"random_{s}"]}, test)
-    made = select.over_seeds(measure, (1, 2, 3), ["model", "window_size"], "ppl")
-    return made.withColumn("ppl", F.round("ppl", 3))
+    made = cut(perplexities({f"random_{s}": chosen[f"random_{s}"] for s in (1, 2, 3)}, test))
+    measure = lambda s: made.where(F.col("method") == f"random_{s}")
+    return select.over_seeds(measure, (1, 2, 3), ["model", "window_size"], "ppl").withColumn("ppl", F.round("ppl", 3))
 
 
 _SHARES = {"12.5%": 0.125, "25%": 0.25, "37.5%": 0.375, "50%": 0.5}
@@ -346,21 +348,22 @@ def _budget_ppl_sql() -> str:
 @TABLE.query(_budget_ppl_sql())
 def budget_perplexity(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Held-out perplexity of the twelve selections of three methods at four budgets, at the whole window."""
-    found, test, out = candidates(spark, sf_dir), heldout(spark, sf_dir), []
+    found, chosen = candidates(spark, sf_dir), {}
     for label, share in _SHARES.items():
-        out.append(perplexities(selections(spark, sf_dir, share, found=found), test, (DESK.length,)).withColumn("budget", F.lit(label)))
-    return union(out)
+        chosen |= {f"{label} {m}": rows for m, rows in selections(spark, sf_dir, share, found=found).items()}
+    made = perplexities(chosen, heldout(spark, sf_dir), (DESK.length,))
+    names = {"budget": F.substring_index("method", " ", 1), "method": F.substring_index("method", " ", -1)}
+    return made.withColumns(names)
 
 
 @TABLE.query()
 def budget_needles(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Retrieval by calculators trained on each of the twelve selections, mean over depths and lengths. Rows only."""
-    found, cases, out = candidates(spark, sf_dir), haystacks(spark, sf_dir), []
+    found, models = candidates(spark, sf_dir), {}
     for label, share in _SHARES.items():
-        for method, rows in selections(spark, sf_dir, share, found=found).items():
-            by_length = measures.needle_by_length(measures.needle_accuracy(trained_hits(cases, trained_on(rows))))
-            out.append(by_length.where("context_len IS NULL").select(F.lit(label).alias("budget"), F.lit(method).alias("method"), "accuracy"))
-    return rounded(union(out), "accuracy")
+        models |= {f"{label} {m}": trained_on(rows) for m, rows in selections(spark, sf_dir, share, found=found).items()}
+    by_length = _with_mean(trained_grid(haystacks(spark, sf_dir), models, "name"), "name").where("context_len IS NULL")
+    return by_length.select(F.substring_index("name", " ", 1).alias("budget"), F.substring_index("name", " ", -1).alias("method"), "accuracy")
 
 
 _ABLATION = ("full", "flat_sigma", "flat_length")
@@ -404,10 +407,8 @@ def ablation_table(spark: SparkSession, sf_dir: str) -> DataFrame:
 @TABLE.query()
 def ablation_needles(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same selections measured by the retrieval of calculators trained on them. Rows only."""
-    cases, out = haystacks(spark, sf_dir), []
-    for v, rows in ablation_selections(spark, sf_dir).items():
-        out.append(measures.needle_accuracy(trained_hits(cases, trained_on(rows))).withColumn("variant", F.lit(v)))
-    return _with_mean(union(out), "variant")
+    models = {v: trained_on(rows) for v, rows in ablation_selections(spark, sf_dir).items()}
+    return _with_mean(trained_grid(haystacks(spark, sf_dir), models, "variant"), "variant")
 
 
 # Published numbers.

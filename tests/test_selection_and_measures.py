@@ -123,6 +123,15 @@ def test_perplexity_by_hand(spark):
     assert ("unigram", 9) not in made
 
 
+def test_perplexity_in_one_pass_equals_joins(spark, sf):
+    docs = samples.tokenize(spark.read.parquet(f"{sf}/documents.parquet")).where("n_tokens >= 1").select("doc_id", "tokens")
+    chosen = {"odd": docs.where("doc_id % 2 = 1"), "few": docs.where("doc_id % 7 = 1"), "none": docs.where("false")}
+    test = docs.where("doc_id % 2 = 0")
+    one, two = ({(r.method, r.model, r.window): (r.n_docs, r.ppl) for r in lm.perplexities(chosen, test, (1, 16, 64), most).collect()} for most in (lm.MAX_COUNTS, 0))
+    assert len(one) == 3 * 4 * 3 and one.keys() == two.keys()
+    assert all(one[k][0] == two[k][0] and one[k][1] == pytest.approx(two[k][1]) for k in one)
+
+
 def test_longer_windows_help_a_cache(spark, sf):
     docs = samples.tokenize(spark.read.parquet(f"{sf}/documents.parquet")).where("n_tokens >= 256").select("doc_id", "tokens")
     made = {(r.model, r.window): r.ppl for r in lm.perplexity(docs.where("doc_id % 2 = 0"), lm.fit_lm(docs.where("doc_id % 2 = 1")), (64, 256)).collect()}
