@@ -7,6 +7,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from spanfocus.functions import sql_surface
 from spanfocus.functions.text import tokens_of
@@ -147,8 +148,39 @@ def op_dedupe_near(spark, sf_dir):
     return dedupe_near(t(spark, sf_dir, "documents", "doc_id", "text")).withColumn("jaccard", F.round("jaccard", 6))
 
 
-#: Passages without an inner word that one query may look for by plain containment.
-BARE_PASSAGES = 1000
+#: Passages without an inner word that are looked for by plain containment, and those of one automaton beyond that.
+BARE_PASSAGES, BARE_BLOCK = 1000, 50_000
+
+
+def _by_automata(docs: DataFrame, bare: DataFrame) -> DataFrame:
+    """(doc_id, item_id): every document with every passage in it, a pass over the texts for each block of passages."""
+    spark, out = docs.sparkSession, None
+    blocks = max(1, -(-bare.count() // BARE_BLOCK))
+    schema = StructType([docs.schema["doc_id"], bare.schema["item_id"]])
+    for b in range(blocks):
+        rows = bare.where(F.pmod(F.xxhash64("passage"), F.lit(blocks)) == b).toArrow()
+        shared = spark.sparkContext.broadcast((rows.column("passage").to_pylist(), rows.column("item_id").to_pylist()))  # about BARE_BLOCK rows
+
+        def run(batches, shared=shared, kind=rows.schema.field("item_id").type):
+            import ahocorasick
+            import pyarrow as pa
+
+            held: dict[str, list] = {}
+            for passage, item in zip(*shared.value, strict=True):
+                held.setdefault(passage, []).append(item)
+            words = ahocorasick.Automaton()
+            for passage, items in held.items():
+                words.add_word(passage, items)
+            words.make_automaton()
+            for batch in batches:
+                found = [{i for _, items in words.iter(text or "") for i in items} if held else () for text in batch.column(1).to_pylist()]
+                at = [k for k, items in enumerate(found) for _ in items]
+                ids = pa.array([i for items in found for i in items], type=kind)
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(at, pa.int64())), ids], names=schema.fieldNames())
+
+        made = docs.select("doc_id", "text").mapInArrow(run, schema)
+        out = made if out is None else out.unionByName(made)
+    return out
 
 
 def contaminated(docs: DataFrame, passages: DataFrame, words: int = 8) -> DataFrame:
@@ -156,7 +188,7 @@ def contaminated(docs: DataFrame, passages: DataFrame, words: int = 8) -> DataFr
 
     A passage is looked for by its first ``words`` inner words (the first word may continue one of the
     document's, the last may go on), or by as many as it has. Passages of one or two words have none; up to
-    BARE_PASSAGES of them are tested one by one. Empty passages are in no document.
+    BARE_PASSAGES of them are tested one by one, more of them by automata. Empty passages are in no document.
     """
     tokens = tokens_of("text")
     inner = F.slice(tokens, 2, F.greatest(F.least(F.size(tokens) - 2, F.lit(words)), F.lit(0)))
@@ -175,10 +207,12 @@ def contaminated(docs: DataFrame, passages: DataFrame, words: int = 8) -> DataFr
         found = rows.select("doc_id", F.explode(made).alias("s")).join(wanted.select("item_id", "s"), "s").select("doc_id", "item_id").distinct()
         checked = found.join(docs.select("doc_id", "text"), "doc_id").join(wanted.select("item_id", "passage"), "item_id")
         hits = checked.where(F.contains("text", "passage")).select("doc_id", "item_id")
-    bare = keys.where("size = 0").select("item_id", "passage").limit(BARE_PASSAGES + 1).collect()
+    short = keys.where("size = 0").select("item_id", "passage")
+    bare = short.limit(BARE_PASSAGES + 1).collect()
     if len(bare) > BARE_PASSAGES:
-        raise ValueError(f"more than {BARE_PASSAGES} passages of one or two words")
-    if bare or hits is None:
+        plain = _by_automata(docs, short)
+        hits = plain if hits is None else hits.unionByName(plain)
+    elif bare or hits is None:
         tests = [F.when(F.contains("text", F.lit(r.passage)), F.lit(r.item_id)) for r in bare] or [F.lit(None).cast(passages.schema["item_id"].dataType)]
         plain = docs.select("doc_id", F.explode(F.array_compact(F.array(*tests))).alias("item_id"))
         hits = plain if hits is None else hits.unionByName(plain)

@@ -77,10 +77,17 @@ def test_near_duplicates_equal_brute_force(spark):
     assert made == {k: pytest.approx(v) for k, v in expected.items() if v >= 0.8} and made
 
 
-def test_contamination_of_short_passages(spark):
+def test_contamination_of_short_passages(spark, monkeypatch):
     docs = spark.createDataFrame([(1, "aa bb cc dd ee ff gg hh ii jj kk ll"), (2, "only a few"), (3, None)], "doc_id bigint, text string")
     pins = spark.createDataFrame([(1, "b cc dd ee ff gg hh ii jj k"), (2, "a few"), (3, "zz"), (4, "")], "item_id bigint, text string")
-    assert {tuple(r) for r in relational.contaminated(docs, pins).collect()} == {(1, 1), (2, 2)}
+    expected = {tuple(r) for r in relational.contaminated(docs, pins).collect()}
+    assert expected == {(1, 1), (2, 2)}
+    # Beyond their bound, passages of one or two words are found by automata, some at a time.
+    short = spark.createDataFrame([(i, p) for i, p in enumerate(["a b", "b", "zz", "a b", "c d", "", "x"])], "item_id bigint, text string")
+    expected = {tuple(r) for r in relational.contaminated(docs, short).collect()}
+    monkeypatch.setattr(relational, "BARE_PASSAGES", 2)
+    monkeypatch.setattr(relational, "BARE_BLOCK", 2)
+    assert {tuple(r) for r in relational.contaminated(docs, short).collect()} == expected
 
 
 def test_stream_replay_changes_nothing(spark, sf, tmp_path):
