@@ -257,12 +257,29 @@ def op_join_shuffle_hash(spark, sf_dir):
 @TABLE.query("""SELECT a.p_brand, count(*) AS pairs FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_partkey < b.p_partkey
     AND abs(a.p_retailprice - b.p_retailprice) <= 5 GROUP BY ALL""")
 def op_join_theta(spark, sf_dir):
-    """Pairs of a brand within a price band: prices are cut into bands, so only neighbours meet."""
-    band = F.floor(F.col("p_retailprice") / 5)
-    a = t(spark, sf_dir, "part", "p_partkey", "p_brand", "p_retailprice").withColumn("band", band)
-    b = a.select(F.col("p_partkey").alias("k"), "p_brand", F.col("p_retailprice").alias("v"), F.explode(F.sequence(F.col("band") - 1, F.col("band") + 1)).alias("band"))
-    close = (F.col("p_partkey") < F.col("k")) & (F.abs(F.col("p_retailprice") - F.col("v")) <= 5)
-    return a.join(b, ["p_brand", "band"]).where(close).groupBy("p_brand").agg(F.count("*").alias("pairs"))
+    return close_pairs(t(spark, sf_dir, "part", "p_partkey", "p_brand", "p_retailprice"), "p_brand", "p_partkey", "p_retailprice", 5)
+
+
+def close_pairs(rows: DataFrame, by: str, key: str, value: str, width: float) -> DataFrame:
+    """(by, pairs): how many pairs of rows of a group have different keys, and values at most ``width`` apart.
+
+    Values are cut into bands, so only neighbours meet, and equal ones meet as one row with their number: no
+    pair of rows is ever made. Pairs of rows that share a key are counted the same way and taken off.
+    """
+    rows = rows.select(F.col(by).alias("g"), F.col(key).alias("k"), F.col(value).alias("v")).where("g IS NOT NULL AND k IS NOT NULL")
+    rows = rows.where(F.abs("v") < float("inf"))  # a NaN is above
+
+    def counted(df: DataFrame, *at: str) -> DataFrame:
+        a = df.groupBy(*at, "v").agg(F.count("*").alias("n")).withColumn("band", F.floor(F.col("v") / width))
+        b = a.select(*at, F.col("v").alias("w"), F.col("n").alias("m"), F.explode(F.sequence(F.col("band") - 1, F.col("band") + 1)).alias("band"))
+        met = a.join(b, [*at, "band"]).where((F.col("v") <= F.col("w")) & (F.abs(F.col("v") - F.col("w")) <= width))
+        own = F.when(F.col("v") == F.col("w"), (F.col("n") * (F.col("n") - 1) / 2).cast("bigint")).otherwise(F.col("n") * F.col("m"))
+        return met.groupBy("g").agg(F.sum(own).alias("pairs"))
+
+    again = rows.groupBy("g", "k").agg(F.count("*").alias("n")).where("n > 1").select("g", "k")
+    off = counted(rows.join(again, ["g", "k"], "left_semi"), "g", "k").withColumnRenamed("pairs", "off")
+    made = counted(rows, "g").join(off, "g", "left").select(F.col("g").alias(by), (F.col("pairs") - F.coalesce("off", F.lit(0))).alias("pairs"))
+    return made.where("pairs > 0")
 
 
 @TABLE.query("""SELECT s.event_id AS signup_id, e.event_id FROM events s JOIN events e ON s.user_id = e.user_id AND s.event_type = 'signup'
