@@ -255,7 +255,8 @@ def components(edges: DataFrame, rounds: int = 50) -> DataFrame:
 
     def pointed(pairs: DataFrame) -> DataFrame:
         least = pairs.groupBy("a").agg(F.min("b").alias("m"))
-        return pairs.join(least.select(F.col("a"), F.least("a", "m").alias("m")), "a")
+        # Both sides lie dealt by ``a``: a broadcast would only send them through the driver, round after round.
+        return pairs.join(least.select(F.col("a"), F.least("a", "m").alias("m")).hint("merge"), "a")
 
     def stamp(df: DataFrame) -> tuple:
         row = df.agg(F.count("*"), F.bit_xor(F.xxhash64("a", "b"))).first()
