@@ -128,15 +128,15 @@ def test_whole_small_table(spark, sf):
 
 
 def test_component_rounds_send_nothing_through_the_driver(spark, monkeypatch):
-    plans, cut = [], near_copies.cut
+    plans, cut = [], N.cut
 
     def watched(df):
         df.collect()
         plans.append(df._jdf.queryExecution().executedPlan().toString())
         return cut(df)
 
-    monkeypatch.setattr(near_copies, "cut", watched)
+    monkeypatch.setattr(N, "cut", watched)
     edges = spark.createDataFrame([(k, k + 1) for k in range(40)] + [(100, 101)], "u bigint, v bigint")
-    made = {r.node: r.root for r in near_copies.components(edges).collect()}
+    made = {r.node: r.root for r in N.components(edges).collect()}
     assert made == {k: 0 for k in range(41)} | {100: 100, 101: 100}
     assert any("SortMergeJoin" in p for p in plans) and not any("BroadcastHashJoin" in p for p in plans)
