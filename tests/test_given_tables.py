@@ -1,10 +1,10 @@
-", ", "Queries that once only repeated printed numbers read the given tables.", ""
+", ", "Queries that once only repeated printed numbers read the given tables.", ", "
 
 import pytest
 
 from spanfocus import registry
 
-READING = ["task_rollup_published", "improvement_published", "improvement_over_double_budget"]
+READING = ["task_rollup_published", "improvement_published", "improvement_over_double_budget", "table_inconsistencies"]
 
 
 @pytest.mark.parametrize("name", READING)
