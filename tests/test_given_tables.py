@@ -4,7 +4,7 @@ import pytest
 
 from spanfocus import registry
 
-READING = ["task_rollup_published", "improvement_published", "improvement_over_double_budget", "table_inconsistencies", "perplexity_margins_published", "cost_counters", "ablation_published", "strides_published"]
+READING = ["task_rollup_published", "improvement_published", "improvement_over_double_budget", "table_inconsistencies", "perplexity_margins_published", "cost_counters", "ablation_published", "strides_published", "needles_by_piece_published"]
 
 
 @pytest.mark.parametrize("name", READING)
