@@ -1,14 +1,17 @@
 """Exact top-k inner products over bit-sliced indexes.
 
 Rows are indexed in blocks. An index holds, for every vector component, its quantised value as bit
-slices: one bitmap per binary digit, a bit per row. A query multiplies by adding shifted slices with
-bitmap arithmetic (carry-save adders), which leaves the scores themselves as bit slices; the top rows are
-selected from the most significant slice downward, and rows that tie at the boundary are resolved by id.
+slices: one bitmap per binary digit, a bit per row. A batch of queries multiplies by adding shifted slices with
+bitmap arithmetic (carry-save adders), which leaves the scores themselves as bit slices. The upper slices and the
+upper digits of the weights come first: what they leave out is bounded, so the bit slices of these scores,
+compared from the most significant downward, tell which rows can be among the best. Those few are compared by
+exact scores, and rows that tie at the boundary are resolved by id.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import cached_property
 
 import numpy as np
 import pandas as pd
@@ -19,6 +22,9 @@ from spanfocus.session import cut, ship_package
 
 #: Rows of an index block and queries of a query block.
 BLOCK_ROWS, BLOCK_QUERIES = 8_192, 256
+#: Weights of the queries that are added up together; slices of a component and digits of a weight that the first pass
+#: adds; share of a block's rows beyond which a first pass is followed by one over all slices.
+BATCH_WEIGHTS, UPPER_SLICES, UPPER_DIGITS, MANY = 1_024, 7, 6, 0.1
 
 
 def _packed(bits: np.ndarray) -> np.ndarray:
@@ -28,8 +34,9 @@ def _packed(bits: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(np.pad(by_byte, [(0, 0)] * (bits.ndim - 1) + [(0, short)])).view(np.uint64)
 
 
-def _unpacked(words: np.ndarray, n: int) -> np.ndarray:
-    return np.unpackbits(words.view(np.uint8), bitorder="little")[:n].astype(bool)
+def _positions(words: np.ndarray) -> np.ndarray:
+    """The rows whose bit is set."""
+    return np.flatnonzero(np.unpackbits(words.view(np.uint8), bitorder="little"))
 
 
 class BitSlices:
@@ -53,74 +60,182 @@ class BitSlices:
         index.slices = np.frombuffer(slices, np.uint64).reshape(-1, bits, index.all.size)
         return index
 
-    def scores(self, query: np.ndarray) -> tuple[list[np.ndarray], int]:
-        """Bit slices of every row's score, and the constant to add to the number they spell.
-
-        A component with a negative weight uses the complement of its slices, so all terms add up.
+    @cached_property
+    def values(self) -> np.ndarray:
+        """The rows' components, read back from the slices."""
+        spelled = np.zeros((len(self.slices), len(self.ids)), np.uint64)
+        for b in range(self.bits):
+            bits = np.unpackbits(self.slices[:, b].view(np.uint8), axis=1, count=len(self.ids), bitorder="little")
+            spelled |= bits.astype(np.uint64) << np.uint64(b)
+        return np.ascontiguousarray((spelled.view(np.int64) - self.offset).T)
+
+    @cached_property
+    def longest(self) -> float:
+        """The largest length of a row."""
+        return float(np.sqrt(np.square(self.values.astype(float)).sum(1)).max(initial=0.0))
+
+    @cached_property
+    def _sources(self) -> dict[int, tuple[np.ndarray, float]]:
+        return {}
+
+    def _source(self, drop: int) -> tuple[np.ndarray, float]:
+        """All slices without the ``drop`` lowest, then their complements, then an empty one; and the length of what
+        the slices left out can add to a row, counted from its middle."""
+        if drop not in self._sources:
+            kept = self.slices[:, drop:].reshape(-1, self.all.size)
+            mask = (1 << drop) - 1
+            twice = 2 * (self.values + self.offset & mask) - mask
+            rest = float(np.sqrt(np.square(twice.astype(float)).sum(1)).max(initial=0.0)) / 2
+            self._sources[drop] = np.concatenate([kept, ~kept & self.all, np.zeros((1, self.all.size), np.uint64)]), rest
+        return self._sources[drop]
+
+    def _added(self, weights: np.ndarray, drop: int) -> tuple[np.ndarray, np.ndarray]:
+        """Bit slices (place, query, word) of every row's score by the slices from ``drop`` on, for a batch of queries;
+        and what each query's numbers are too large by.
+
+        A weight is written with digits 1, 0 and -1, no two neighbours other than 0. A digit -1 uses the
+        complement of the component's slices, so all terms add up.
         """
-        wanted: dict[int, list[np.ndarray]] = {}
-        constant, top = 0, (1 << self.bits) - 1
-        complement = ~self.slices & self.all
-        for weight in np.unique(np.abs(query[query != 0])).tolist():
-            for sign, source in ((1, self.slices), (-1, complement)):
-                at = np.flatnonzero(query == sign * weight)
-                if not at.size:
-                    continue
-                constant -= sign * weight * self.offset * at.size + (weight * top * at.size if sign < 0 else 0)
-                for shift in range(weight.bit_length()):
-                    if weight >> shift & 1:
-                        for b in range(self.bits):
-                            wanted.setdefault(shift + b, []).append(source[at, b])
-        out, place = [], 0
-        while place <= max(wanted, default=-1):
-            columns = np.concatenate(wanted.pop(place)) if place in wanted else np.zeros((0, self.all.size), np.uint64)
-            carries = []
-            while len(columns) > 1:
+        source, _ = self._source(drop)
+        n, bits = len(weights), self.bits - drop
+        size = np.abs(weights).astype(np.uint64)
+        half = size >> np.uint64(1)
+        sums = size + half
+        plus, minus = sums & (half ^ sums), half & (half ^ sums)
+        plus, minus = np.where(weights < 0, minus, plus), np.where(weights < 0, plus, minus)
+        terms, excess = [], np.zeros(n, object)
+        for shift in range(int(max(plus.max(initial=0), minus.max(initial=0))).bit_length()):
+            for digits, first in ((plus, 0), (minus, weights.shape[1])):
+                query, component = np.nonzero(digits >> np.uint64(shift) & np.uint64(1))
+                terms.append((query, (component + first) * bits, np.full(len(query), shift)))
+                if first:
+                    excess += np.bincount(query, minlength=n).astype(object) * ((1 << bits) - 1 << shift)
+        query, base, shift = (np.concatenate([np.zeros(0, np.int64), *x]) for x in (zip(*terms, strict=True) if terms else ((),) * 3))
+        wanted, heights, place = [], [], 0
+        while place < bits + int(shift.max(initial=-1)) or heights and heights[-1] > 1:
+            here = np.flatnonzero((shift <= place) & (place < shift + bits))
+            here = here[np.argsort(query[here], kind="stable")]
+            count = np.bincount(query[here], minlength=n)
+            at = np.full((int(count.max(initial=0)), n), len(source) - 1)
+            at[np.arange(len(here)) - np.repeat(np.cumsum(count) - count, count), query[here]] = base[here] + place - shift[here]
+            wanted.append(at)
+            heights.append(len(at) + (heights[-1] // 2 if heights else 0))
+            place += 1
+        out = np.zeros((place, n, self.all.size), np.uint64)
+        columns, following, spare = (np.empty((max(heights, default=0) // x + 1, n, self.all.size), np.uint64) for x in (1, 1, 3))
+        for place, at in enumerate(wanted):
+            np.take(source, at, axis=0, out=columns[: len(at)], mode="clip")
+            left, carries = heights[place], following[len(wanted[place + 1]) if place + 1 < len(wanted) else 0 :]
+            while left > 1:
                 # Full adders take three bitmaps of one place to one of it and one of the next.
-                n = len(columns) // 3
-                if n:
-                    a, b, c = columns[:n], columns[n : 2 * n], columns[2 * n : 3 * n]
-                    half = a ^ b
-                    carries.append(a & b | half & c)
-                    columns = np.concatenate([half ^ c, columns[3 * n :]])
+                m = left // 3
+                if m:
+                    a, b, c, half, carry = columns[:m], columns[m : 2 * m], columns[2 * m : 3 * m], spare[:m], carries[:m]
+                    np.bitwise_xor(a, b, out=half)
+                    np.bitwise_and(a, b, out=carry)
+                    np.bitwise_xor(half, c, out=a)
+                    half &= c
+                    carry |= half
+                    columns[m : left - 2 * m] = columns[3 * m : left]
+                    left, carries = left - 2 * m, carries[m:]
                 else:
-                    carries.append(columns[:1] & columns[1:2])
-                    columns = columns[:1] ^ columns[1:2]
-            if carries:
-                wanted.setdefault(place + 1, []).extend(carries)
-            out.append(columns[0] if len(columns) else np.zeros_like(self.all))
-            place += 1
-        return out, constant
+                    np.bitwise_and(columns[0], columns[1], out=carries[0])
+                    columns[0] ^= columns[1]
+                    left = 1
+            if left:
+                out[place] = columns[0]
+            columns, following = following, columns
+        return out, excess
+
+    @staticmethod
+    def _first(slices: np.ndarray, rows: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """Of the bitmap ``rows`` of each query, those sure to be among the ``k`` largest numbers, and those tied for the rest."""
+        sure, tied = np.zeros_like(rows), rows.copy()
+        for s in slices[::-1]:
+            with_one = tied & s
+            grown = sure | with_one
+            over = (np.bitwise_count(grown).sum(1, dtype=np.int64) > k)[:, None]
+            tied = np.where(over, with_one, tied & ~s)
+            sure = np.where(over, sure, grown)
+        return sure, tied
+
+    @staticmethod
+    def _at_least(slices: np.ndarray, rows: np.ndarray, least: list[int]) -> np.ndarray:
+        """Of the bitmap ``rows`` of each query, those whose number is no less than the query's own bound."""
+        above, equal = np.zeros_like(rows), rows.copy()
+        for place in reversed(range(len(slices))):
+            one = np.array([[x >> place & 1] for x in least], bool)
+            above |= np.where(one, np.uint64(0), equal & slices[place])
+            equal &= np.where(one, slices[place], ~slices[place])
+        return above | equal
+
+    def _exact(self, rows: np.ndarray, query: np.ndarray) -> np.ndarray:
+        """Inner products of some rows, in numbers that hold them."""
+        bound = self.longest * float(np.sqrt(np.square(query.astype(float)).sum()))
+        kind = np.int64 if bound < 2.0**61 else object
+        return self.values[rows].astype(kind, copy=False) @ query.astype(kind, copy=False)
+
+    def _near_top(self, queries: np.ndarray, k: int, rows: np.ndarray, drop: int, weight_bits: int) -> np.ndarray:
+        """Of the bitmap ``rows`` of each query, at least those that no ``k`` others beat, ties included.
+
+        Slices below ``drop`` are not added, and a weight keeps ``weight_bits`` digits. What is left out of a score is
+        bounded by lengths (Cauchy-Schwarz), so no row is lost whose exact score may reach the k-th.
+        """
+        _, rest = self._source(drop)
+        cuts = [max(0, int(x).bit_length() - weight_bits) for x in np.abs(queries).astype(np.uint64).max(1, initial=0)]
+        cut_at = np.array(cuts)[:, None]
+        weights = (queries >> cut_at) + np.where(cut_at > 0, queries >> np.maximum(cut_at - 1, 0) & 1, 0)
+        slices, excess = self._added(weights, drop)
+        sure, tied = self._first(slices, rows, k)
+        length = np.sqrt(np.square(queries.astype(float)).sum(1))
+        length_cut = np.sqrt(np.square((queries - (weights << cut_at)).astype(float)).sum(1))
+        least = []
+        for i, query in enumerate(queries):
+            best = _positions(sure[i])
+            seeds = np.concatenate([best, _positions(tied[i])[: k - len(best)]])
+            if len(seeds) < k:
+                least.append(0)
+                continue
+            error = int((length[i] * rest + length_cut[i] * (self.longest + rest)) * (1 + 1e-9)) + 1
+            # Twice the numbers: a row counts from the middle of what its lowest slices spell.
+            middle = ((1 << drop) - 1 - 2 * self.offset) * int(weights[i].astype(object).sum()) << cuts[i]
+            low = 2 * (int(self._exact(seeds, query).min()) - error) - middle
+            least.append(max(0, -(-low >> cuts[i] + drop + 1) + excess[i]))
+        return self._at_least(slices, rows, least)
+
+    def top_many(self, queries: np.ndarray, k: int, own: np.ndarray | None = None) -> list[list[tuple[int, int]]]:
+        """Each query's ``k`` best (id, score), ties to the smaller id; rows with its id in ``own`` take no part.
+
+        The upper slices alone leave few rows that can be among the best; where they leave many, all slices
+        are added. The rows left are compared by their exact scores.
+        """
+        if not len(self.ids):
+            return [[] for _ in queries]
+        out: list[list[tuple[int, int]]] = []
+        together = max(1, BATCH_WEIGHTS // max(1, queries.shape[1]))
+        for start in range(0, len(queries), together):
+            batch = queries[start : start + together]
+            rows = np.repeat(self.all[None], len(batch), 0)
+            if own is not None:
+                first, last = (np.searchsorted(self.ids, own[start : start + together], side) for side in ("left", "right"))
+                for i in np.flatnonzero(first < last):
+                    mask = np.zeros(len(self.ids), bool)
+                    mask[first[i] : last[i]] = True
+                    rows[i] &= ~_packed(mask[None])[0]
+            near = self._near_top(batch, k, rows, max(0, self.bits - UPPER_SLICES), UPPER_DIGITS)
+            many = np.flatnonzero(np.bitwise_count(near).sum(1, dtype=np.int64) > max(4 * k, len(self.ids) * MANY))
+            if len(many):
+                near[many] = self._near_top(batch[many], k, near[many], 0, 64)
+            for query, bitmap in zip(batch, near, strict=True):
+                left = _positions(bitmap)
+                score = self._exact(left, query)
+                order = np.argsort(-score, kind="stable")[:k]
+                out.append(list(zip(self.ids[left[order]].tolist(), score[order].tolist(), strict=True)))
+        return out
 
     def top(self, query: np.ndarray, k: int, own: int | None = None) -> list[tuple[int, int]]:
-        """The ``k`` best (id, score), ties to the smaller id; rows with id ``own`` take no part."""
-        slices, constant = self.scores(query)
-        open_rows = self.all.copy()
-        if own is not None:
-            a, b = np.searchsorted(self.ids, [own, own + 1])
-            if b > a:
-                mask = np.zeros(len(self.ids), bool)
-                mask[a:b] = True
-                open_rows &= ~_packed(mask[None])[0]
-        sure = np.zeros_like(open_rows)
-        for s in reversed(slices):
-            grown = sure | open_rows & s
-            n = int(np.bitwise_count(grown).sum())
-            if n > k:
-                open_rows &= s
-            else:
-                sure = grown
-                open_rows &= ~s
-                if n == k:
-                    open_rows[:] = 0
-                    break
-        best = np.flatnonzero(_unpacked(sure, len(self.ids)))
-        tied = np.flatnonzero(_unpacked(open_rows, len(self.ids)))[: k - len(best)]
-        rows = np.concatenate([best, tied])
-        value = np.zeros(len(rows), object)
-        for place, s in enumerate(slices):
-            value += (s[rows // 64] >> (rows % 64).astype(np.uint64) & np.uint64(1)).astype(object) << place
-        return sorted(((int(self.ids[r]), int(v) + constant) for r, v in zip(rows, value, strict=True)), key=lambda x: (-x[1], x[0]))
+        """:meth:`top_many` of one query."""
+        return self.top_many(query[None], k, None if own is None else np.array([own]))[0]
 
 
 def quantised(vectors: DataFrame, key: str = "vec_id", vector: str = "embedding", scale: int = 256) -> DataFrame:
@@ -206,8 +321,8 @@ def top_k(
                 weights = np.frombuffer(r.weights, np.int64).reshape(len(own), -1)
                 # Components beyond the shorter of the two are zero.
                 weights = np.pad(weights, [(0, 0), (0, max(0, len(block.slices) - weights.shape[1]))])[:, : len(block.slices)]
-                for one, w in zip(own.tolist(), weights, strict=True):
-                    out += [(one, i, s) for i, s in block.top(w, k, one)]
+                for one, best in zip(own.tolist(), block.top_many(weights, k, own), strict=True):
+                    out += [(one, i, s) for i, s in best]
                 yield pd.DataFrame(out, columns=["query_id", key, "score"])
 
     found = pairs.mapInPandas(search, f"query_id bigint, {key} bigint, score bigint")

@@ -23,6 +23,44 @@ def test_scores_and_top_k_in_memory():
                 assert index.top(query, 5, own) == expected
 
 
+def test_upper_slices_leave_few_rows_and_lose_none(monkeypatch):
+    """The first pass adds the upper slices only; all slices follow just where it leaves many rows, as among near copies."""
+    passes = []
+    near_top = B.BitSlices._near_top
+
+    def noted(self, queries, k, rows, drop, weight_bits):
+        near = near_top(self, queries, k, rows, drop, weight_bits)
+        passes.append((drop, len(queries), int(np.bitwise_count(near).sum())))
+        return near
+
+    monkeypatch.setattr(B.BitSlices, "_near_top", noted)
+    rng = np.random.default_rng(4)
+    unit = rng.normal(size=(3000, 64))
+    spread = np.floor(unit / np.linalg.norm(unit, axis=1)[:, None] * 256).astype(np.int64)
+    close = spread.copy()
+    close[:1500] = spread[0] + rng.integers(-1, 2, (1500, 64))
+    ids = rng.permutation(9000)[:3000]
+    for values, second in ((spread, False), (close, True)):
+        passes.clear()
+        found = B.BitSlices(ids, values).top_many(values[:40], 5, ids[:40])
+        for i, best in enumerate(found):
+            score = values @ values[i]
+            assert best == sorted(((int(d), int(s)) for d, s in zip(ids, score, strict=True) if d != ids[i]), key=lambda x: (-x[1], x[0]))[:5]
+        assert sum(n for drop, n, _ in passes if drop) == 40
+        assert any(drop == 0 for drop, _, _ in passes) == second
+        assert second or sum(left for _, _, left in passes) < 40 * 3000 * B.MANY
+
+
+def test_scores_beyond_64_bits_and_least_ids():
+    values = np.array([[2**61, -5, 3], [-(2**61), 7, 1], [2**61 - 1, 0, 0], [2**61, -5, 3]], np.int64)
+    ids = np.array([4, 2**63 - 1, -(2**63), 1])
+    queries = np.array([[2**62, 1, 1], [-(2**62), 9, -9], [0, 0, 1]])
+    for query, best in zip(queries, B.BitSlices(ids, values).top_many(queries, 3, np.array([9, 2**63 - 1, -(2**63)])), strict=True):
+        score = values.astype(object) @ query.astype(object)
+        own = {2**62: 9, -(2**62): 2**63 - 1, 0: -(2**63)}[int(query[0])]
+        assert best == sorted(((int(i), s) for i, s in zip(ids, score, strict=True) if i != own), key=lambda x: (-x[1], x[0]))[:3]
+
+
 def plain_top(rows, k, nth):
     ok = {i: np.floor(np.array(v, float) * 256).astype(int) for i, v in rows if i is not None and v and all(x is not None and np.isfinite(x) for x in v)}
     out = []
