@@ -158,14 +158,31 @@ Linked = Callable[[list[np.ndarray], list], np.ndarray]
 
 
 def _cell_links(columns: list[np.ndarray], is_home: np.ndarray, linked: Linked) -> tuple[np.ndarray, np.ndarray]:
-    """Links between members at home and all members, reduced to a spanning forest, as values of the first column."""
-    nodes, spot = np.unique(columns[0], return_inverse=True)
-    forest, places = Forest(len(nodes)), spot.tolist()
-    for i in np.flatnonzero(is_home).tolist():
-        for j in np.flatnonzero(linked(columns, [c[i] for c in columns])).tolist():
-            forest.join(places[i], places[j])
-    u, v = forest.links()
-    return nodes[u], nodes[v]
+    """Links between members at home and all members, reduced to a spanning forest, as values of the first column.
+
+    A component grows from a member at home; those it has reached are compared only with members that none has
+    reached, so a cell full of copies costs little more than one pass over it.
+    """
+    left, reached, us, vs = np.arange(len(is_home)), np.zeros(len(is_home), bool), [columns[0][:0]], [columns[0][:0]]
+    rest, homes = columns, is_home
+    for first in np.flatnonzero(is_home).tolist():
+        if reached[first]:
+            continue
+        other, waiting = left != first, [first]
+        left, rest, homes = left[other], [c[other] for c in rest], homes[other]
+        while waiting and left.size:
+            i = waiting.pop()
+            hit = linked(rest, [c[i] for c in columns])
+            if not is_home[i]:
+                hit &= homes
+            if hit.any():
+                found, other = left[hit], ~hit
+                reached[found] = True
+                us.append(columns[0][found])
+                vs.append(np.full(found.size, columns[0][first]))
+                waiting.extend(found.tolist())
+                left, rest, homes = left[other], [c[other] for c in rest], homes[other]
+    return np.concatenate(us), np.concatenate(vs)
 
 
 def differing_bits(fps: np.ndarray, fp: int) -> np.ndarray:

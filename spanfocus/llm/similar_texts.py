@@ -1,11 +1,13 @@
 """Groups of texts whose five-word shingles are alike: SimHash finds the neighbourhoods, exact Jaccard decides.
 
 Three bits of 64 catch few of the pairs with a similarity of 0.8 (there, about ten bits differ), and no
-covering code over 64 bits reaches that far. So fingerprints also meet at anchors taken from the text: the
-smallest shingle hashes of each. At such an anchor, as at the anchors of the covering code, fingerprints
-are compared in blocks of bounded size, here up to ``NEAR_BITS`` differing bits, and a spanning forest of
-the links leaves the block. The components are neighbourhoods. Inside each, whole shingle sets are
-compared block by block, exactly, and again only a forest of the links leaves a block.
+covering code over 64 bits reaches that far. So texts also meet at cells taken from their shingles: pairs of
+shingles that come first in two random orders. One common line is not enough to share such a pair, so cells
+stay small however many texts hold the line. At a cell sketches of the whole sets are compared, one bit for
+each of 256 orders: they tell a similarity of 0.8 from one of 0.5, so no chain of chance neighbours runs
+through unrelated texts. A spanning forest of the links leaves the cell; the components, with the links of
+the covering code, are neighbourhoods. Inside each, whole shingle sets are compared block by block, exactly,
+and again only a forest of the links leaves a block.
 """
 
 from __future__ import annotations
@@ -24,14 +26,15 @@ from spanfocus.session import cut, release
 
 #: Fingerprints and whole sets of one block.
 BLOCK_PRINTS, BLOCK_SETS = 16_384, 512
-#: Smallest shingle hashes of a text that are its anchors. Two texts of similarity 0.8 share none of them with
-#: probability 0.2 ** ANCHORS.
-ANCHORS = 8
-#: Differing bits up to which fingerprints are neighbours. At similarity 0.8 the mean is 9.7, the deviation 2.9.
-NEAR_BITS = 18
-#: Texts of up to so many shingles are neighbours whatever their fingerprints: few shingles make noisy bits.
-FEW = 20
-_COLUMNS = 4096
+#: Cells of a text, each of two orders' first shingles. Two texts of similarity 0.8 share none with probability
+#: (1 - 0.8 ** 2) ** CELLS, which is 6e-7.
+CELLS = 14
+#: Differing bits of 256 up to which sketches are neighbours. At similarity 0.8 the mean is 25.6, the deviation 4.8.
+NEAR_BITS = 50
+#: Columns of the sketch, 64 orders each.
+SKETCH = ("b0", "b1", "b2", "b3")
+_ORDERS = np.random.default_rng(11).integers(0, 1 << 32, 64 * len(SKETCH), np.uint32) | np.uint32(1)
+_COLUMNS, _SHINGLES = 4096, 256
 
 
 def shingle_set(h: np.ndarray) -> np.ndarray:
@@ -43,15 +46,35 @@ def text_digest(text: str = "text") -> Column:
     return F.unhex(F.md5(F.coalesce(F.col(text), F.lit(""))))
 
 
+def first_shingles(s: np.ndarray) -> np.ndarray:
+    """For each order the place in it of the shingle that comes first; equal for two sets as often as they are similar."""
+    x, first = (s.view(np.uint64) >> np.uint64(32)).astype(np.uint32), np.full(_ORDERS.size, 0xFFFFFFFF, np.uint32)
+    for a in range(0, x.size, _SHINGLES):
+        np.minimum(first, (_ORDERS[:, None] * x[None, a : a + _SHINGLES]).min(axis=1), out=first)
+    return first
+
+
+def sketch(first: np.ndarray) -> np.ndarray:
+    """One bit for each order, packed."""
+    return np.packbits((first * np.uint32(0x9E3779B1) >> np.uint32(31)).astype(np.uint8)).view(np.int64)
+
+
+def cells_of(first: np.ndarray) -> np.ndarray:
+    """The cells of a text: two orders' first shingles and the number of the pair, mixed into one number."""
+    one, two = first[: 2 * CELLS].astype(np.uint64).reshape(-1, 2).T
+    return ((one << np.uint64(32) | two) ^ np.arange(CELLS, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)).view(np.int64)
+
+
 def neighbours(classes: DataFrame, least: float) -> DataFrame:
-    """(u, v): forest of links between distinct fingerprints that meet at an anchor of either kind."""
+    """(u, v): forest of links between distinct fingerprints that meet at an anchor, or whose sketches meet at a cell."""
     fps = classes.select("fp").distinct()
-    cells = classes.select(F.explode("anchors").alias("cell"), F.lit(True).alias("is_home"), "fp", "n").distinct()
+    prints = classes.select("fp", "n", *SKETCH, "cells").dropDuplicates(["fp", "n", *SKETCH])
+    cells = prints.select(F.explode("cells").alias("cell"), F.lit(True).alias("is_home"), "fp", "n", *SKETCH)
 
     def linked(columns: list[np.ndarray], one: list) -> np.ndarray:
-        (fps, n), (fp, size) = columns, one
-        small, large = np.minimum(n, size), np.maximum(n, size)
-        return (small >= least * large - 1e-9) & ((large <= FEW) | (differing_bits(fps, fp) <= NEAR_BITS))
+        (_, n, *bits), (_, size, *own) = columns, one
+        near = np.minimum(n, size) >= least * np.maximum(n, size) - 1e-9
+        return near & (sum(differing_bits(b, o).astype(np.int32) for b, o in zip(bits, own, strict=True)) <= NEAR_BITS)
 
     return links(fps).unionByName(links_in_cells(cells, linked, BLOCK_PRINTS))
 
@@ -117,26 +140,30 @@ def similar_text_groups(docs: DataFrame, words: int = 5, least: float = 0.8, key
     """(digest, first_id, root): every distinct text with its smallest id and its component.
 
     Links are pairs of distinct texts with a Jaccard similarity of at least ``least``, compared in full where
-    their fingerprints are neighbours; components are closed over them. Null and empty texts are alike.
+    they are neighbours; components are closed over them. Null and empty texts are alike.
     ``first_id`` is null where no row of the text has an id. An empty table gives an empty result.
     """
     docs = docs.select(key, text, text_digest(text).alias("digest"))
 
     def sketched(texts: list[str]) -> dict[str, list]:
-        out: dict[str, list] = {"fp": [], "n": [], "anchors": []}
+        out: dict[str, list] = {c: [] for c in ("fp", "n", "cells", *SKETCH)}
         for t in texts:
             h = shingle_hashes(t, words)
             s = shingle_set(h)
             out["fp"].append(majority_bits(h))
             out["n"].append(len(s))
-            out["anchors"].append(s[:ANCHORS])
+            first = first_shingles(s)
+            out["cells"].append(cells_of(first))
+            for c, bits in zip(SKETCH, sketch(first).tolist(), strict=True):
+                out[c].append(bits)
         return out | {"fp": np.array(out["fp"], np.uint64).view(np.int64)}
 
-    rows = map_texts(docs, [key, "digest"], text, "fp bigint, n int, anchors array<bigint>", sketched)
-    classes = rows.groupBy("digest").agg(F.min(key).alias("first_id"), *(F.first(c).alias(c) for c in ("fp", "n", "anchors")))
+    schema = f"fp bigint, n int, cells array<bigint>, {', '.join(f'{c} bigint' for c in SKETCH)}"
+    rows = map_texts(docs, [key, "digest"], text, schema, sketched)
+    classes = rows.groupBy("digest").agg(F.min(key).alias("first_id"), *(F.first(c).alias(c) for c in ("fp", "n", "cells", *SKETCH)))
     classes = cut(classes.withColumn("cid", F.monotonically_increasing_id()))
     near = components(neighbours(classes, least)).withColumnsRenamed({"node": "fp", "root": "cluster"})
-    held = classes.drop("anchors").join(near, "fp", "left").withColumn("cluster", F.coalesce("cluster", "fp"))
+    held = classes.drop("cells", *SKETCH).join(near, "fp", "left").withColumn("cluster", F.coalesce("cluster", "fp"))
     sizes = held.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK_SETS).cast("int").alias("parts"), F.count("*").alias("of"))
     members = cut(held.join(sizes.where("of > 1").drop("of"), "cluster"))
     release(docs.sparkSession)

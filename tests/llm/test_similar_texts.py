@@ -75,3 +75,16 @@ def test_stage_drops_copies_beyond_three_bits(spark, sf):
     docs = spark.createDataFrame([(i, t, "en", "src0", 1) for i, t in enumerate(texts)], KINDS)
     left = P.distinct(spark, docs, sf).collect()
     assert sorted(r.doc_id for r in left) == sorted(set(plain_roots(texts)))
+
+
+def test_a_common_line_makes_no_neighbourhood(spark, monkeypatch):
+    """Only texts that are alike are dealt out for comparison, however many others hold their line."""
+    rnd, line, dealt = random.Random(6), [f"common{i}" for i in range(14)], []
+    texts = [" ".join([*line, *(f"x{rnd.random()}" for _ in range(rnd.randint(16, 60)))]) for _ in range(1500)]
+    texts += [" ".join(edited(rnd, texts[0].split(), 1)) for _ in range(3)]
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id bigint, text string")
+    verified = S._verified
+    monkeypatch.setattr(S, "_verified", lambda rows, least: dealt.append(rows.count()) or verified(rows, least))
+    monkeypatch.setattr(S, "BLOCK_SETS", 100)
+    S.similar_text_groups(docs).count()
+    assert dealt[0] < 100
