@@ -53,8 +53,8 @@ def distinct(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     first = first.withColumnsRenamed({"doc_id": "_id", "digest": "_digest"})
     same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("digest") == F.col("_digest"))
     rows = docs.select(*COLUMNS, similar_texts.text_digest().alias("digest"))
-    keep = cut(rows.select("doc_id", "digest").join(first, same).groupBy("_id", "_digest").agg(F.count("*").alias("rows")))
-    kept = rows.join(keep.select("_id", "_digest"), same, "left_semi")
+    keep = cut(rows.select("doc_id", "digest").join(first.hint("merge"), same).groupBy("_id", "_digest").agg(F.count("*").alias("rows")))
+    kept = rows.join(keep.select("_id", "_digest").hint("merge"), same, "left_semi")
     # Only rows that repeat need the texts grouped once more.
     return (kept if keep.where("rows > 1").isEmpty() else kept.dropDuplicates(["doc_id", "digest"])).select(*COLUMNS)
 
@@ -71,7 +71,7 @@ def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     taken = cut(taken.groupBy("row_key").agg(F.sum("copies").cast("int").alias("copies"), F.count("*").alias("rows")))
     # Only rows that repeat need the texts grouped once more.
     once = rows if taken.where("rows > 1").isEmpty() else rows.dropDuplicates(["row_key"])
-    chosen = once.join(taken.select("row_key", "copies"), "row_key")
+    chosen = once.join(taken.select("row_key", "copies").hint("merge"), "row_key")
     return chosen.withColumn("pass", F.explode(F.sequence(F.lit(1), "copies"))).select(*COLUMNS)
 
 

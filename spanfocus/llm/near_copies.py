@@ -208,7 +208,7 @@ def links_in_cells(at: DataFrame, linked: Linked, block: int = BLOCK) -> DataFra
     as_other = F.transform(all_parts, lambda i: F.struct(i.alias("i"), own.alias("j"), F.lit(False).alias("as_home")))
     many = F.when(F.col("is_home"), F.concat(as_home, as_other)).otherwise(as_other)
     dealt = (
-        at.join(sizes, "cell")
+        at.join(sizes.hint("merge"), "cell")
         .select("cell", *payload, F.explode(F.when(F.col("parts_") == 1, single).otherwise(many)).alias("d"))
         .select(F.xxhash64("cell", "d.i", "d.j").alias("pair"), "cell", "d.i", "d.j", "d.as_home", *payload)
     )
@@ -317,7 +317,7 @@ def near_duplicate_groups(docs: DataFrame, key: str = "doc_id", text: str = "tex
     classes = rows.groupBy("fp").agg(F.min(key).alias("first_id"))
     classes = cut(classes)
     roots = components(links(classes.select("fp")))
-    rooted = classes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select(
+    rooted = classes.join(roots.withColumnRenamed("node", "fp").hint("merge"), "fp", "left").select(
         "fp", "first_id", F.coalesce("root", "fp").alias("root")
     )
     least = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))

@@ -163,13 +163,14 @@ def similar_text_groups(docs: DataFrame, words: int = 5, least: float = 0.8, key
     classes = rows.groupBy("digest").agg(F.min(key).alias("first_id"), *(F.first(c).alias(c) for c in ("fp", "n", "cells", *SKETCH)))
     classes = cut(classes.withColumn("cid", F.monotonically_increasing_id()))
     near = components(neighbours(classes, least)).withColumnsRenamed({"node": "fp", "root": "cluster"})
-    held = classes.drop("cells", *SKETCH).join(near, "fp", "left").withColumn("cluster", F.coalesce("cluster", "fp"))
+    # Whatever Spark takes their sizes for, these tables grow with the input: no join sends one through the driver.
+    held = classes.drop("cells", *SKETCH).join(near.hint("merge"), "fp", "left").withColumn("cluster", F.coalesce("cluster", "fp"))
     sizes = held.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK_SETS).cast("int").alias("parts"), F.count("*").alias("of"))
-    members = cut(held.join(sizes.where("of > 1").drop("of"), "cluster"))
+    members = cut(held.join(sizes.where("of > 1").drop("of").hint("merge"), "cluster"))
     release(docs.sparkSession)
     same = F.col("digest").eqNullSafe(F.col("_digest")) & F.col(key).eqNullSafe(F.col("_id"))
     asked = members.select("cid", "cluster", "parts", F.col("digest").alias("_digest"), F.col("first_id").alias("_id"))
-    found = docs.join(asked, same).select("cid", "cluster", "parts", text)
+    found = docs.join(asked.hint("merge"), same).select("cid", "cluster", "parts", text)
     sets = map_texts(
         found, ["cid", "cluster", "parts"], text, "s array<bigint>", lambda texts: {"s": [shingle_set(shingle_hashes(t, words)) for t in texts]}
     )
@@ -179,6 +180,6 @@ def similar_text_groups(docs: DataFrame, words: int = 5, least: float = 0.8, key
         F.xxhash64("cluster", "b.i", "b.j").alias("pair"), "cluster", "b.i", "b.j", "cid", "s"
     )
     roots = components(_verified(dealt, least))
-    return classes.select("digest", "first_id", "cid").join(roots.withColumnRenamed("node", "cid"), "cid", "left").select(
+    return classes.select("digest", "first_id", "cid").join(roots.withColumnRenamed("node", "cid").hint("merge"), "cid", "left").select(
         "digest", "first_id", F.coalesce("root", "cid").alias("root")
     )

@@ -1,8 +1,10 @@
 import random
 
 import numpy as np
+from pyspark.sql import functions as F
 
 import corpus_pipeline as P
+from spanfocus.llm import near_copies
 from spanfocus.llm import similar_texts as S
 from tests.llm.fixtures import no_docs
 
@@ -88,3 +90,12 @@ def test_a_common_line_makes_no_neighbourhood(spark, monkeypatch):
     monkeypatch.setattr(S, "BLOCK_SETS", 100)
     S.similar_text_groups(docs).count()
     assert dealt[0] < 100
+
+
+def test_joins_of_growing_tables_are_not_broadcast(spark, sf):
+    """A small estimate, as of rows made from few bytes, sends nothing through the driver."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    fps = spark.range(100).select(F.col("id").alias("fp"))
+    for made in (near_copies.links(fps), P.distinct(spark, docs, sf), P.mixed(spark, docs, sf)):
+        made.collect()
+        assert "BroadcastHashJoin" not in made._jdf.queryExecution().executedPlan().toString()
